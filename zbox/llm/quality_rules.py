@@ -58,6 +58,8 @@ class LineRules:
 
 #: Ends of a line of prose: closing marks, then quotes or brackets.
 _ENDS = r"""[.!?:;,\x{2026}\x{3002}\x{061F}\x{0964}]["'\x{2019}\x{201D}\x{00BB})\]]*[\x20\x09-\x0D]*$"""
+#: A sentence that ends within the line: such a line is prose even if its own end was cut off.
+_ENDS_WITHIN = r"""[.!?\x{2026}\x{3002}\x{061F}\x{0964}]["'\x{2019}\x{201D}\x{00BB})\]]*[\x20\x09]"""
 
 
 def _line_failure(line: Column, n: Column, rules: LineRules) -> Column:
@@ -71,7 +73,7 @@ def _line_failure(line: Column, n: Column, rules: LineRules) -> Column:
         F.when(n == 0, F.lit(None).cast("string"))
         .when((bars >= rules.min_separators) & (bars * 100 > n * rules.max_separators_pct), F.lit("navigation"))
         .when(
-            (symbols * 100 > n * rules.max_symbols_pct) | (shouts * 100 > n * rules.max_shout_pct) | ~F.rlike(line, F.lit(_ENDS)),
+            (symbols * 100 > n * rules.max_symbols_pct) | (shouts * 100 > n * rules.max_shout_pct) | ~(F.rlike(line, F.lit(_ENDS)) | F.rlike(line, F.lit(_ENDS_WITHIN))),
             F.lit("punctuation"),
         )
         .when((n <= rules.boilerplate_max_words) & F.rlike(line, phrases), F.lit("boilerplate"))

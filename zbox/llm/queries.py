@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import quality_rules, simhash
+from . import license_scan, packing, quality_rules, simhash
 from .common import read_table
 
 
@@ -14,13 +14,27 @@ def op1_line_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.clean_lines(read_table(spark, sf_dir, "documents").select("doc_id", "text")).select(*cols)
 
 
+def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan(read_table(spark, sf_dir, "documents")).drop("spans")
+
+
+def byte_bpe() -> dict:
+    import public_tokenizers
+
+    return {"json_path": public_tokenizers.path("byte_bpe_50k.json"), "ranks_path": public_tokenizers.path("byte_bpe_50k.tiktoken"), "pattern": public_tokenizers.PATTERN}
+
+
+def op3_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(read_table(spark, sf_dir, "documents"), byte_bpe())
+
+
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(read_table(spark, sf_dir, "documents"))
     return found.select("doc_id", simhash.hex_digits(F.col("fp")).alias("fingerprint"), "component_id")
 
 
 def queries() -> dict:
-    return {"op1_line_rules": op1_line_rules, "op6_simhash": op6_simhash}
+    return {"op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op6_simhash": op6_simhash}
 
 
 def oracle_sql() -> dict[str, str]:
