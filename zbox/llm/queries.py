@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, packing, quality_rules, simhash
+from . import license_scan, mixing, packing, quality_rules, simhash
 from .common import read_table
 
 
@@ -33,8 +33,12 @@ def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", simhash.hex_digits(F.col("fp")).alias("fingerprint"), "component_id")
 
 
+def op8_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(read_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+
+
 def queries() -> dict:
-    return {"op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op6_simhash": op6_simhash}
+    return {"op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op6_simhash": op6_simhash, "op8_source_mixing": op8_source_mixing}
 
 
 def oracle_sql() -> dict[str, str]:
