@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, mixing, packing, quality_rules, simhash
+from . import license_scan, mixing, packing, pii, quality_rules, simhash
 from .common import read_table
 
 
@@ -37,8 +37,18 @@ def op8_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+#: A deployment passes its own secret; the registered query needs a fixed one.
+PII_KEY = "not-a-secret"
+
+
+def op9_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = pii.replace(read_table(spark, sf_dir, "documents").select("doc_id", "text"), PII_KEY)
+    kinds = [F.element_at("entities", k).cast("long").alias(f"n_{k}") for k in pii.PATTERNS]
+    return found.select("doc_id", "text", "n_entities", *kinds)
+
+
 def queries() -> dict:
-    return {"op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op6_simhash": op6_simhash, "op8_source_mixing": op8_source_mixing}
+    return {"op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op6_simhash": op6_simhash, "op8_source_mixing": op8_source_mixing, "op9_pii_surrogates": op9_pii_surrogates}
 
 
 def oracle_sql() -> dict[str, str]:
