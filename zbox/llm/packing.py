@@ -120,7 +120,7 @@ def best_fit_plan(counts: dict[int, int], capacity: int) -> tuple[list[tuple[int
     return runs, bins
 
 
-def pack(docs: DataFrame, tokenizer: dict, id_col: str = "doc_id", text: str = "text", capacity: int = 1024, end_id: int = 2, keep_ids: bool = False, bucket_rows: int = 50_000) -> DataFrame:
+def pack(docs: DataFrame, tokenizer: dict, id_col: str = "doc_id", text: str = "text", capacity: int = 1024, end_id: int = 2, keep_ids: bool = False, bucket_rows: int = 2_000) -> DataFrame:
     """A row per piece: id_col, piece, start, length, ids_crc32, sequence_id, offset[, ids].
 
     ``tokenizer``: arguments of :func:`encoder`. Null and empty texts are one piece of the end id
@@ -143,7 +143,8 @@ def pack(docs: DataFrame, tokenizer: dict, id_col: str = "doc_id", text: str = "
     plan = plan.withColumn("block", block).repartition("length", "block", "first_rank")
     step = F.explode(F.sequence(F.col("block"), F.least(F.col("block") + bucket_rows, F.col("number")) - 1))
     slots = plan.withColumn("step", step).select("length", (F.col("first_rank") + F.col("step")).alias("rank"), (F.col("first_bin") + F.col("step")).alias("sequence_id"), "offset")
-    placed = ranked.join(slots, ["length", "rank"])
+    # both sides hold a row per piece; the plan's few rows would have Spark take the exploded slots for small
+    placed = ranked.join(slots.hint("merge"), ["length", "rank"])
     return placed.select(id_col, "piece", "start", "length", "ids_crc32", "sequence_id", "offset", *(["ids"] if keep_ids else []))
 
 
