@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, mixing, packing, pii, quality_rules, simhash
-from .common import read_table
+from . import ann, license_scan, mixing, packing, pii, quality_mil, quality_rules, simhash
+from .common import fold_bucket, read_table
 
 
 def op1_line_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -28,6 +28,17 @@ def op3_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(read_table(spark, sf_dir, "documents"), byte_bpe())
 
 
+def op4_posting_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.search(read_table(spark, sf_dir, "embeddings"), lambda i: i % 20 == 0)
+
+
+def op5_quality_mil(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = quality_mil.train(docs, read_table(spark, sf_dir, "labels"))
+    scored = quality_mil.add_score(docs, model, keep=["doc_id"])
+    return scored.select("doc_id", (fold_bucket(F.col("doc_id"), 5) == 0).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(read_table(spark, sf_dir, "documents"))
     return found.select("doc_id", simhash.hex_digits(F.col("fp")).alias("fingerprint"), "component_id")
@@ -47,8 +58,14 @@ def op9_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "text", "n_entities", *kinds)
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
-    return {"op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op6_simhash": op6_simhash, "op8_source_mixing": op8_source_mixing, "op9_pii_surrogates": op9_pii_surrogates}
+    return {"pipeline": pipeline, "op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op4_posting_lists": op4_posting_lists, "op5_quality_mil": op5_quality_mil, "op6_simhash": op6_simhash, "op8_source_mixing": op8_source_mixing, "op9_pii_surrogates": op9_pii_surrogates}
 
 
 def oracle_sql() -> dict[str, str]:
