@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import ann, license_scan, mixing, packing, pii, quality_mil, quality_rules, simhash
+from . import ann, license_scan, lm_scoring, mixing, packing, pii, quality_mil, quality_rules, simhash
 from .common import fold_bucket, read_table
 
 
@@ -44,6 +44,10 @@ def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", simhash.hex_digits(F.col("fp")).alias("fingerprint"), "component_id")
 
 
+def op7_log_bilinear(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scoring.score(read_table(spark, sf_dir, "documents"))
+
+
 def op8_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -65,7 +69,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"pipeline": pipeline, "op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op4_posting_lists": op4_posting_lists, "op5_quality_mil": op5_quality_mil, "op6_simhash": op6_simhash, "op8_source_mixing": op8_source_mixing, "op9_pii_surrogates": op9_pii_surrogates}
+    return {"pipeline": pipeline, "op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op4_posting_lists": op4_posting_lists, "op5_quality_mil": op5_quality_mil, "op6_simhash": op6_simhash, "op7_log_bilinear": op7_log_bilinear, "op8_source_mixing": op8_source_mixing, "op9_pii_surrogates": op9_pii_surrogates}
 
 
 def oracle_sql() -> dict[str, str]:
