@@ -66,7 +66,7 @@ def _line_failure(line: Column, n: Column, rules: LineRules) -> Column:
     """Name of the first rule that a line fails, or null. ``n``: its words."""
     symbols = F.regexp_count(line, F.lit(r"[#*$%&<>~^=_\\]"))
     shouts = F.regexp_count(line, F.lit(r"[!?]{2,}"))
-    bars = F.regexp_count(line, F.lit(r"(?:^|[\x20\x09])(?:[|\x{00BB}\x{203A}\x{2022}\x{00B7}>/-])(?=[\x20\x09]|$)"))
+    bars = F.regexp_count(line, F.lit(r"(?:^|[\x20\x09-\x0D])(?:[|\x{00BB}\x{203A}\x{2022}\x{00B7}>/-])(?=[\x20\x09-\x0D]|$)"))
     distinct = F.size(F.array_distinct(F.regexp_extract_all(line, F.lit(WORD), F.lit(0))))
     phrases = F.lit("(?i)(?:" + "|".join(BOILERPLATE_PHRASES) + ")")
     return (
