@@ -73,6 +73,12 @@ def _stream(key: str, kind: Column, normal: Column, attempt: Column) -> Column:
     return F.concat(F.sha2(seed, 256), F.sha2(F.concat(seed, F.lit("\x1f2")), 512))
 
 
+def _let(value: Column, body) -> Column:
+    """``body(value)`` with the value worked out once: a column named inside a lambda would be made anew
+    for every element."""
+    return F.get(F.transform(F.array(value), lambda x: body(x)), F.lit(0))
+
+
 def _draw(stream: Column, i: Column, below: int) -> Column:
     """The i-th number (from 0) below ``below``, out of four hex digits."""
     return F.pmod(F.conv(F.substr(stream, F.pmod(i * 4, F.lit(188)) + 1, F.lit(4)), 16, 10).cast("int"), F.lit(below))
@@ -139,6 +145,9 @@ def _person(e: Column, key: str, attempt: Column) -> Column:
     def name(w: Column, i: Column) -> Column:
         family = i == F.size(names) - 1
         stream = _stream(key, F.when(family, F.lit("family")).otherwise(F.concat(F.lit("given"), gender)), F.lower(w), attempt)
+        return _let(stream, lambda x: draw_name(w, family, x))
+
+    def draw_name(w: Column, family: Column, stream: Column) -> Column:
         script = [("cyrillic", F.rlike(w, F.lit(r"\p{IsCyrillic}"))), ("latin", F.lit(True))]
         made = []
         for s, test in script:
@@ -153,8 +162,11 @@ def _person(e: Column, key: str, attempt: Column) -> Column:
 
 def surrogate(e: Column, kind: Column, attempt: Column, key: str) -> Column:
     """The replacement of entity ``e``."""
+    return _let(_stream(key, kind, _normal(e, kind), attempt), lambda stream: _made(e, kind, attempt, key, stream))
+
+
+def _made(e: Column, kind: Column, attempt: Column, key: str, stream: Column) -> Column:
     value = _value(e, kind)
-    stream = _stream(key, kind, _normal(e, kind), attempt)
     octets = F.array_join(F.transform(F.split(e, r"\."), lambda o, i: F.pmod(o.cast("int") + 1 + _draw(stream, i, 255), F.lit(256)).cast("string")), ".")
     prefix = F.substr(e, F.lit(1), F.length(e) - F.length(value))
     hexed = F.rlike(value, F.lit("^(?:[0-9a-f]+|[0-9A-F]+)$"))
@@ -183,7 +195,8 @@ def _distinct_entities(docs: DataFrame, text: str) -> DataFrame:
 def resolve_collisions(entities: DataFrame, key: str, max_rounds: int = 20) -> DataFrame | None:
     """(kind, normal, attempt) of the entities that need another attempt than the first; None if no
     entity does."""
-    state = materialize(entities.withColumn("attempt", F.lit(0)))
+    tasks = 4 * entities.sparkSession.sparkContext.defaultParallelism  # few bytes, much work: not for one task
+    state = materialize(entities.repartition(tasks, "normal").withColumn("attempt", F.lit(0)))
     moved = False
     for _ in range(max_rounds):
         made = state.withColumn("s", surrogate(F.col("e"), F.col("kind"), F.col("attempt"), key))
@@ -195,7 +208,7 @@ def resolve_collisions(entities: DataFrame, key: str, max_rounds: int = 20) -> D
         if again.isEmpty():
             return state.filter("attempt > 0").select("kind", "normal", "attempt") if moved else None
         moved = True
-        state = materialize(state.join(again.withColumn("again", F.lit(1)), ["kind", "normal"], "left").withColumn("attempt", F.col("attempt") + F.coalesce("again", F.lit(0))).drop("again"))
+        state = materialize(state.repartition(tasks, "normal").join(again.withColumn("again", F.lit(1)), ["kind", "normal"], "left").withColumn("attempt", F.col("attempt") + F.coalesce("again", F.lit(0))).drop("again"))
     raise RuntimeError(f"surrogates still collide after {max_rounds} attempts")
 
 
