@@ -66,8 +66,8 @@ def quantize(col: Column, d: DimSpec) -> Column:
 
 
 def _div(a: Column, b: int) -> Column:
-    """Floor division of longs, exact."""
-    return ((a - F.pmod(a, F.lit(b).cast("bigint"))) / F.lit(b)).cast("bigint") if b > 1 else a
+    """Whole quotient of longs."""
+    return F.call_function("div", a, F.lit(b).cast("bigint"))
 
 
 @dataclass(frozen=True)
