@@ -395,8 +395,8 @@ def z_table_append(spark, sf):
     """Two batches appended, compacted, read by manifest."""
     df, spec = W.points(spark, sf, "lineitem", 3)
     a, b = scratch(spark, "batches"), scratch(spark, "compact")
-    Z.append_z(df.filter(F.col("quantity") % 2 == 0), spec, a, 4)
-    Z.append_z(df.filter(F.col("quantity") % 2 != 0), spec, a, 4)
+    Z.append_z(df.filter(F.col("partkey") % 2 == 0), spec, a, 4)
+    Z.append_z(df.filter(F.col("partkey") % 2 != 0), spec, a, 4)
     Z.compact(spark, a, b, 8)
     return Z.ZTable.open(spark, b).query(W.value_box(spec, 1, 220), strategy="manifest", columns=["l_orderkey", "l_linenumber", "l_extendedprice"]).withColumn("box_id", F.lit(1).cast("bigint"))
 
@@ -589,12 +589,10 @@ add("udaf_box_cover", lambda spark, sf: W.points(spark, sf, "events", 3)[0].grou
 
 
 def udaf_box_cover_pandas(spark, sf):
-    import pandas as pd
-
-    @F.pandas_udf("array<bigint>")
-    def cover(a: pd.Series, b: pd.Series) -> list:
+    def ends(a, b):
         return [int(a.min()), int(b.min()), int(a.max()), int(b.max())]
 
+    cover = F.pandas_udf(ends, "array<bigint>", F.PandasUDFType.GROUPED_AGG)
     return W.points(spark, sf, "events", 3)[0].groupBy("user").agg(cover("ts_minute", "value_cents").alias("ends"))
 
 
@@ -637,7 +635,7 @@ add("ev_stream_equals_batch", ev_stream_equals_batch, SQL["ev_tumbling"])
 
 
 def ev_dedup(spark, sf):
-    e = _stream(spark, sf).select("event_id", "ts", "user_id")
+    e = _stream(spark, sf).select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id")
     twice = e.withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["event_id"]).drop("copy", "ts")
     return S.run_once(twice, f"zbox_{abs(hash(sf)) % 10**8}_dedup")
 
