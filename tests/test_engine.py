@@ -128,7 +128,7 @@ def test_choosing():
     spec = ZSpec.grid(2, 3)
     assert choose(refine(Box((0, 0), (7, 7)), spec, "exact"), spec, True) == "scan"
     assert choose(refine(Box((0, 0), (1, 0)), spec, "exact"), spec, True) == "manifest"
-    assert choose(refine(Box((0, 0), (1, 0)), spec, "exact"), spec, False) == "prefix_join"
+    assert choose(refine(Box((0, 0), (1, 0)), spec, "exact"), spec, False) == "scan"
     with pytest.raises(ValueError):
         choose(refine(None, spec), spec, False, "guess")
     assert choose_threshold(1_000_000, 10) == 64 and choose_threshold(1000, 10_000_000_000) == 5000

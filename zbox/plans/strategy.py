@@ -22,9 +22,9 @@ def choose(r: Refined, spec: ZSpec, stored: bool, asked: str = "auto") -> str:
         return "prefix_join"
     if asked != "auto":
         return asked
-    if r.covered > SCAN_SHARE * (1 << spec.key_bits):
-        return "scan"
-    return "manifest" if stored else "prefix_join"
+    if not stored or r.covered > SCAN_SHARE * (1 << spec.key_bits):
+        return "scan"  # a key that is worked out on the way lets nothing be skipped
+    return "manifest"
 
 
 def choose_threshold(row_group_rows: int, rows: int, piece_cost_rows: int = 2_000) -> float:

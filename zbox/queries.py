@@ -230,7 +230,7 @@ add("piece_intersect", piece_intersect, f"WITH {pieces_sql(2, 6, 21, 2)} SELECT
 # --- box queries ------------------------------------------------------------------------------------
 
 
-def box_query(name: str, m: int, side: int, n: int = 3, method: str = "widened", strategy: str = "auto", drop: tuple[int, ...] = ()) -> tuple[Query, str]:
+def box_query(name: str, m: int, side: int, n: int = 3, method: str = "widened", strategy: str = "prefix_join", drop: tuple[int, ...] = ()) -> tuple[Query, str]:
     f = W.FIXTURES[name]
 
     def run(spark, sf):
@@ -445,7 +445,7 @@ add("key_projection", *box_query("orders", 3, 300, 1))
 def null_dims(spark, sf):
     df, spec = W.points(spark, sf, "orders", 3)
     df = df.withColumn("price_cents", F.when(F.col("o_orderkey") % 5 != 0, F.col("price_cents")))
-    return Z.ZTable.of(df, spec).query(W.value_box(spec, 0, 400), columns=["o_orderkey"])
+    return Z.ZTable.of(df, spec).query(W.value_box(spec, 0, 400), strategy="prefix_join", columns=["o_orderkey"])
 
 
 add("null_dims", null_dims, f"WITH {_OB(1, 400)} SELECT o_orderkey FROM p, b WHERE {_IN3} AND o_orderkey % 5 <> 0")

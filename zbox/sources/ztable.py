@@ -76,6 +76,24 @@ def compact(spark: SparkSession, path: str, to: str, files: int) -> None:
     df.repartitionByRange(files, "z").sortWithinPartitions("z").withMetadata("z", {"zspec": spec.to_json()}).write.mode("overwrite").parquet(to)
 
 
+def piece_table(spark: SparkSession, pieces: list[tuple[int, int]], box_id: int = 0) -> DataFrame:
+    """Pieces at hand as a table: one literal that the planner takes apart, no Python behind it."""
+    text = json.dumps([{"piece": k, "z_lo": a, "z_hi": b} for k, (a, b) in enumerate(pieces)])
+    rows = F.from_json(F.lit(text), "array<struct<piece:int,z_lo:bigint,z_hi:bigint>>")
+    return spark.range(1).select(F.lit(box_id).cast("bigint").alias("box_id"), F.inline(rows))
+
+
+def _ranges_of(z: str, pieces: list[tuple[int, int]]):
+    """:func:`in_ranges` on a plain column, parsed from one text: far fewer calls to the JVM."""
+
+    def tree(p) -> str:
+        if len(p) == 1:
+            return f"(`{z}` >= {p[0][0]} AND `{z}` <= {p[0][1]})"
+        return f"({tree(p[: len(p) // 2])} OR {tree(p[len(p) // 2 :])})"
+
+    return F.expr(tree(pieces))
+
+
 def _once(z, test):
     """``test(z)`` with a computed key worked out once a row, not once a range."""
     return F.get(F.transform(F.array(z), lambda v: test(v)), F.lit(0))
@@ -116,8 +134,10 @@ class ZTable:
                 out.append(r["path"])
         return out
 
-    def extracted(self, box: Box, method: str = "widened", strategy: str = "auto", **options) -> tuple[DataFrame, Refined]:
-        """Rows whose key lies in the pieces, before the original condition."""
+    def extracted(self, box: Box, method: str = "widened", strategy: str = "auto", exact: bool = True, **options) -> tuple[DataFrame, Refined]:
+        """Rows whose key lies in the pieces, before the original condition. ``exact`` False: perhaps
+        more rows; what files and row groups can be skipped is skipped, and rows are not told apart by
+        key, which is dearer than by the original condition that follows."""
         cells = box.cells(self.spec)
         r = refine(cells, self.spec, method, **options)
         if not r.pieces:
@@ -133,24 +153,23 @@ class ZTable:
             return df, r
         if strategy == "pushed_or":
             few = coalesce_pieces(r.pieces, PUSHED)
-            return df.filter(in_ranges(z, few) if self.path else _once(z, lambda v: in_ranges(v, few))), r
-        pieces = df.sparkSession.createDataFrame([(0, k, a, b) for k, (a, b) in enumerate(r.pieces)], "box_id bigint, piece int, z_lo bigint, z_hi bigint")
+            return df.filter(_ranges_of(self.z, few) if self.path else _once(z, lambda v: in_ranges(v, few))), r
         if strategy == "array_search":
             spans = F.array(*(F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in r.pieces))
             return df.filter(_once(z, lambda v: F.exists(spans, lambda s: (v >= s["a"]) & (v <= s["b"])))), r
         if strategy == "range_join":
-            return pieces_join(df, pieces, self.z, "nested").select(*df.columns), r
+            return pieces_join(df, piece_table(df.sparkSession, r.pieces), self.z, "nested").select(*df.columns), r
         # coarse ranges go to the scan of a stored key, the exact pieces are joined; a key that is worked
         # out on the way has no statistics to skip by
         if self.path:
-            df = df.filter(in_ranges(z, coalesce_pieces(r.pieces, PUSHED)))
-        if not self.path or len(r.pieces) > PUSHED:
-            df = pieces_join(df, pieces, self.z, known=r.pieces).select(*df.columns)
+            df = df.filter(_ranges_of(self.z, coalesce_pieces(r.pieces, PUSHED)))
+        if exact and (not self.path or len(r.pieces) > PUSHED):
+            df = pieces_join(df, piece_table(df.sparkSession, r.pieces), self.z, known=r.pieces).select(*df.columns)
         return df, r
 
     def query(self, box: Box, method: str = "widened", strategy: str = "auto", columns: list[str] | None = None, **options) -> DataFrame:
         """Rows in the box."""
-        df, _ = self.extracted(box, method, strategy, **options)
+        df, _ = self.extracted(box, method, strategy, strategy not in ("auto", "manifest"), **options)
         out = df.filter(in_box(box, [F.col(d.column) for d in self.spec.dims]))
         return out.select(*columns) if columns else out.drop(self.z)
 
