@@ -91,20 +91,22 @@ class AttentionMil:
         logit = np.clip(z @ p["c"] + p["d"][0], -30, 30)
         return h, t, s, w, z, 1 / (1 + np.exp(-logit))
 
-    def fit(self, bags: list[np.ndarray], labels: np.ndarray, steps: int = 400, rate: float = 0.02, decay: float = 1e-4) -> AttentionMil:
+    def fit(self, bags: list[np.ndarray], labels: np.ndarray, steps: int = 240, rate: float = 0.02, decay: float = 1e-4) -> AttentionMil:
         """No labels, or labels of one kind: every score is the prior (one half without labels)."""
         y = np.asarray(labels, dtype=np.float64)
         if len(y):
             self.prior = float((y.sum() + 1) / (len(y) + 2))
         if len(set(y.tolist())) < 2:
             return self
-        x = np.concatenate(bags).astype(np.float64)
-        self.mean, self.scale = x.mean(0), np.maximum(x.std(0), 1e-3)
+        x = np.concatenate(bags)
+        self.mean, self.scale = x.mean(0, dtype=np.float64).astype(np.float32), np.maximum(x.std(0, dtype=np.float64), 1e-3).astype(np.float32)
         x = np.clip((x - self.mean) / self.scale, -8, 8)
         counts = np.array([len(b) for b in bags])
         starts = np.concatenate([[0], np.cumsum(counts)[:-1]])
         r, f = np.random.default_rng(self.seed), x.shape[1]
         p = {"W": r.normal(0, f**-0.5, (f, self.hidden)), "b": np.zeros(self.hidden), "V": r.normal(0, 0.2, (self.hidden, self.gate)), "U": r.normal(0, 0.2, (self.hidden, self.gate)), "a": r.normal(0, 0.2, self.gate), "c": r.normal(0, 0.2, self.hidden), "d": np.array([np.log(self.prior / (1 - self.prior))])}
+        p = {k: q.astype(np.float32) for k, q in p.items()}
+        y = y.astype(np.float32)
         m, v = ({k: np.zeros_like(q) for k, q in p.items()} for _ in range(2))
         for step in range(1, steps + 1):
             h, t, s, w, z, out = self._forward(x, starts, counts, p)
@@ -117,9 +119,9 @@ class AttentionMil:
             gs_, gt_ = gt * t * s * (1 - s), gt * s * (1 - t * t)
             gh = (gzr * w[:, None] + gt_ @ p["V"].T + gs_ @ p["U"].T) * (1 - h * h)
             grad = {"W": x.T @ gh, "b": gh.sum(0), "V": h.T @ gt_, "U": h.T @ gs_, "a": (ge[:, None] * t * s).sum(0), "c": z.T @ g, "d": np.array([g.sum()])}
-            lr = rate * 0.5 * (1 + np.cos(np.pi * step / (steps + 1)))
+            lr = np.float32(rate * 0.5 * (1 + np.cos(np.pi * step / (steps + 1))))
             for k in p:
-                q = grad[k] + (decay * p[k] if k not in "bd" else 0)
+                q = np.asarray(grad[k], dtype=np.float32) + (decay * p[k] if k not in "bd" else 0)
                 m[k] = 0.9 * m[k] + 0.1 * q
                 v[k] = 0.999 * v[k] + 0.001 * q * q
                 p[k] -= lr * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.999**step)) + 1e-8)
@@ -129,9 +131,9 @@ class AttentionMil:
     def score(self, bags: list[np.ndarray]) -> np.ndarray:
         if self.p is None:
             return np.full(len(bags), self.prior)
-        x = np.clip((np.concatenate(bags).astype(np.float64) - self.mean) / self.scale, -8, 8)
+        x = np.clip((np.concatenate(bags) - self.mean) / self.scale, -8, 8)
         counts = np.array([len(b) for b in bags])
-        return self._forward(x, np.concatenate([[0], np.cumsum(counts)[:-1]]), counts, self.p)[-1]
+        return self._forward(x, np.concatenate([[0], np.cumsum(counts)[:-1]]), counts, self.p)[-1].astype(np.float64)
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, id_col: str, text: str, label: str, folds: int, max_docs: int) -> tuple[list[np.ndarray], np.ndarray]:
