@@ -644,9 +644,15 @@ add("ev_dedup", ev_dedup, "SELECT event_id, user_id FROM events")
 
 
 def ev_state(spark, sf):
-    """Hits per box and user, counted in state; the last count of each is kept. The stateful operator needs
-    a store provider that a session may lack; the counts are the batch's, by window, there."""
-    return _hits(spark, sf).groupBy("box_id", "user_id").agg(F.count("*").alias("hits"))
+    """Hits per box and user, counted in state over a file stream; the last count of each is kept."""
+    provider = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(provider, None)
+    spark.conf.set(provider, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        out = S.run_once(S.running_counts(_hits(spark, sf, _stream(spark, sf))), f"zbox_{abs(hash(sf)) % 10**8}_state", "update")
+    finally:
+        spark.conf.set(provider, before) if before else spark.conf.unset(provider)
+    return out.groupBy("box_id", "user_id").agg(F.max("hits").alias("hits"))
 
 
 add("ev_state", ev_state, f"WITH {_EH} SELECT box_id, user_id, count(*) AS hits FROM h GROUP BY 1, 2")
