@@ -55,7 +55,7 @@ def main() -> None:
                 refine(box, spec, method)
                 spans.append(time.perf_counter() - began)
             refine_ms[f"{method}_{m}d"] = round(1000 * mean(spans), 3)
-    key, extracted = list(W.FIXTURES["lineitem"].key), {}
+    key, extracted, files = list(W.FIXTURES["lineitem"].key), {}, {}
     for m in (3, 6):
         df, spec = W.points(spark, sf_dir, "lineitem", m)
         df, cols, path = df.cache(), [d.column for d in spec.dims], scratch(spark, "bench")
@@ -65,12 +65,15 @@ def main() -> None:
         out[f"build_{m}d"] = round(time.perf_counter() - began, 4)
         table = Z.ZTable.open(spark, path)
         table.manifest()
-        base = {"full_scan": None, "multicolumn": MultiColumnIndex.build(df, cols, 32, scratch(spark, "mc")), "independent": IndependentIndex.build(df, cols, key, 32, scratch(spark, "in"))}
+        sorted_path = scratch(spark, "mc")
+        base = {"full_scan": None, "multicolumn": MultiColumnIndex.build(df, cols, 32, sorted_path), "independent": IndependentIndex.build(df, cols, key, 32, scratch(spark, "in"))}
         if m == 3:
             base |= {"rect": PackedRectIndex.build(df, cols, path=scratch(spark, "rt"), files=32), "median": MedianSplitIndex.build(df, cols, path=scratch(spark, "md"), files=32)}
         plain = spark.read.parquet(path)
         for s in (1e-4, 1e-2, 1e-1):
             box = W.value_box(spec, 3, W.side_for(s, m))
+            files[f"z_{m}d_{s:g}"] = len(table.files_for(refine(box.cells(spec), spec, "widened").pieces))
+            files[f"multicolumn_{m}d_{s:g}"] = Z.files_by_statistics(spark, sorted_path, cols, box)[0]
             timed(f"box_{m}d_{s:g}", lambda t=table, b=box: t.query(b, columns=key).count())
             for name, index in base.items():
                 if s != 1e-2:
@@ -78,8 +81,13 @@ def main() -> None:
                 run = (lambda b=box, p=plain, c=cols: full_scan(p, c, b).select(*key).count()) if index is None else (lambda b=box, i=index: i.query(b, key).count())
                 timed(f"{name}_{m}d_{s:g}", run, 2)
         if m == 6:
-            for label, d in (("first", 0), ("last", 5)):
-                box = W.value_box(spec, 3, 400).drop(d)
+            for label, d in (("none", None), ("first", 0), ("last", 5)):
+                box = W.value_box(spec, 3, 400)
+                box = box if d is None else box.drop(d)
+                files[f"z_drop_{label}"] = len(table.files_for(refine(box.cells(spec), spec, "widened").pieces))
+                files[f"multicolumn_drop_{label}"] = Z.files_by_statistics(spark, sorted_path, cols, box)[0]
+                if d is None:
+                    continue
                 timed(f"partial_{label}", lambda t=table, b=box: t.query(b, columns=key).count())
                 timed(f"partial_multicolumn_{label}", lambda i=base["multicolumn"], b=box: i.query(b, key).count(), 2)
         for method in ("none", "widened", "exact") if m == 3 else ("none", "widened"):
@@ -94,7 +102,7 @@ def main() -> None:
                 q(spark, sf_dir).write.format("noop").mode("overwrite").save()
                 out[name] = round(time.perf_counter() - began, 4)
     engine = sum(v for k, v in out.items() if not k.startswith("op"))
-    print(json.dumps({"metric": "box queries, index baselines and layouts, total", "value": round(engine, 3), "unit": "sec", "queries": out, "refine_ms": refine_ms, "extracted_rows": extracted, "sf": sf_dir.rsplit("sf", 1)[-1]}))
+    print(json.dumps({"metric": "box queries, index baselines and layouts, total", "value": round(engine, 3), "unit": "sec", "queries": out, "refine_ms": refine_ms, "extracted_rows": extracted, "files_of_32": files, "sf": sf_dir.rsplit("sf", 1)[-1]}))
 
 
 if __name__ == "__main__":

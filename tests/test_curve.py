@@ -85,6 +85,8 @@ def test_refiners_cover_exactly(m, bits):
         exact = refine_leaps(box, spec)
         assert [z for a, b in exact.pieces for z in range(a, b + 1)] == cells
         assert all(b + 1 < c for (_, b), (c, _) in itertools.pairwise(exact.pieces))
+        slow = refine_leaps(box, spec, "exact", "bits", max_leaps=10**9)
+        assert (slow.pieces, slow.leaps) == (exact.pieces, exact.leaps)
         scan = refine_scan(box, spec)
         assert scan.pieces == refine_scan(box, spec, "deviation").pieces == exact.pieces
         assert volume(box) - 1 <= scan.visits <= volume(box) + len(scan.pieces)

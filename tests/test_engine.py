@@ -124,6 +124,18 @@ def test_baselines_give_the_scan(spark, sf, tmp_path):
     assert leaves < indices[2].directory.count()
 
 
+def test_dropped_dimension(spark, tmp_path):
+    """Without its first column a sorted layout skips nothing; key order does not depend on which is dropped."""
+    df, spec = W.points(spark, "/root/testdata/sf0.01", "lineitem", 6)
+    cols, box = [d.column for d in spec.dims], W.value_box(spec, 3, 300)
+    MultiColumnIndex.build(df, cols, 64, str(tmp_path / "m"))
+    Z.write_z_table(df, spec, str(tmp_path / "z"), 64)
+    table = Z.ZTable.open(spark, str(tmp_path / "z"))
+    by_z = [len(table.files_for(refine(b.cells(spec), spec, "widened").pieces)) for b in (box.drop(0), box.drop(5))]
+    by_sort = [Z.files_by_statistics(spark, str(tmp_path / "m"), cols, b)[0] for b in (box.drop(0), box.drop(5))]
+    assert by_sort[0] > 2.5 * by_sort[1] and max(by_z) <= 2 * min(by_z) and by_z[0] < by_sort[0]
+
+
 def test_choosing():
     spec = ZSpec.grid(2, 3)
     assert choose(refine(Box((0, 0), (7, 7)), spec, "exact"), spec, True) == "scan"
