@@ -162,5 +162,8 @@ def test_dimensions():
             DimSpec("x", **bad)
     spec = ZSpec((d, DimSpec("y", 0.0, 1.0, 8, integer=False)))
     assert ZSpec.from_json(spec.to_json()) == spec and spec.layers == 20
+    assert Box.from_conditions(spec, y=(0.5, None)) == Box((None, 0.5), (None, None))
+    with pytest.raises(ValueError):
+        Box.from_conditions(spec, w=(1, 2))
     assert Box((5, None), (3, None)).cells(spec) is None
     assert Box((None, 0.5), (0, None)).cells(spec) == Box((0, 128), (511, 255))

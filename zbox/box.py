@@ -18,6 +18,16 @@ class Box:
         if len(self.lo) != len(self.hi):
             raise ValueError("lo and hi have different numbers of dimensions")
 
+    @classmethod
+    def from_conditions(cls, spec: ZSpec, **between) -> Box:
+        """``column=(lo, hi)`` for the columns with a condition, None for an open end; the others are
+        unconstrained. A column that the key does not hold is an error: it belongs in a filter."""
+        names = [d.column for d in spec.dims]
+        if unknown := set(between) - set(names):
+            raise ValueError(f"not selection columns: {sorted(unknown)}")
+        ends = [between.get(n, (None, None)) for n in names]
+        return cls(tuple(a for a, _ in ends), tuple(b for _, b in ends))
+
     def drop(self, d: int) -> Box:
         """The same box without a condition on dimension d (from 0)."""
         put = lambda t: tuple(None if i == d else x for i, x in enumerate(t))
