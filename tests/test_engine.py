@@ -136,6 +136,24 @@ def test_dropped_dimension(spark, tmp_path):
     assert by_sort[0] > 2.5 * by_sort[1] and max(by_z) <= 2 * min(by_z) and by_z[0] < by_sort[0]
 
 
+def test_stream_drops_late_rows_and_appends_to_a_table(spark, tmp_path):
+    import time
+
+    from zbox.streaming import stream as S
+
+    schema, spec = "box_id bigint, c1 bigint, c2 bigint, ts timestamp", ZSpec.grid(2, 6)
+    for k, rows in enumerate(([(0, 1, 2, "2024-01-01 00:05:00"), (0, 3, 4, "2024-01-01 05:00:00")], [(0, 7, 8, "2024-01-01 09:00:00")], [(0, 5, 6, "2024-01-01 00:06:00")], [(0, 9, 9, "2024-01-01 23:00:00")])):
+        df = spark.createDataFrame([(a, b, c, t) for a, b, c, t in rows], "box_id bigint, c1 bigint, c2 bigint, t string")
+        df.select("box_id", "c1", "c2", F.to_timestamp("t").alias("ts")).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        time.sleep(1.1)  # files are taken in order of time
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    hits = S.run_once(S.windowed_hits(stream, "ts", "1 hour", delay="1 hour"), "late_hits").collect()
+    assert {(r.start.hour, r.hits) for r in hits} == {(0, 1), (5, 1), (9, 1)}  # 00:06 came after its window had closed; Spark sifts late rows by the watermark of the batch before
+    S.append_to_z_table(stream.drop("ts"), spec, str(tmp_path / "z"), str(tmp_path / "c")).awaitTermination()
+    table = Z.ZTable.open(spark, str(tmp_path / "z"))
+    assert sorted(r.c1 for r in table.query(Box((3, 0), (7, 63))).collect()) == [3, 5, 7]
+
+
 def test_choosing():
     spec = ZSpec.grid(2, 3)
     assert choose(refine(Box((0, 0), (7, 7)), spec, "exact"), spec, True) == "scan"
