@@ -37,17 +37,24 @@ ALPHABETS = ("0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUV
 _LOCAL = r"[\p{L}\p{N}._%+'-]"
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|\d{1,2})"
 _KEYWORD = r"(?i:token|secret|password|passwd|api[_-]?key|access[_-]?key|private[_-]?key|auth)"
+_PASSWORD = r"(?i:password|passwd|api[_-]?key|access[_-]?key|private[_-]?key)"
+_MARK = r"[^\s\"'<>,;]"  # what a secret without quotes runs over
+_SOME = r"(?=(?:[^\s\"'\p{L}0-9]*+[\p{L}0-9]){4})"  # four characters that a surrogate can move
+#: A digit of an international number, with or without a mark before it; the last group has two digits or more.
+_DIGITS = r"(?:(?:[ .-](?=\d{2}|\d[ .-]\d{2}))?\d)"
+_INITIALS = r"\p{Lu}\.(?:-?\p{Lu}\.)*+"
+_NAME = rf"(?:{_INITIALS}|\p{{Lu}}[\p{{L}}\p{{M}}’'-]*+)"
 #: Pattern per kind, in order of precedence. Each is linear: it starts at a token's edge or a literal.
 PATTERNS = {
     "email": rf"(?<!{_LOCAL}){_LOCAL}++@[\p{{L}}\p{{N}}-]{{1,63}}(?:\.[\p{{L}}\p{{N}}-]{{1,63}}){{1,8}}",
-    "secret": rf"(?<![\p{{L}}\p{{N}}]){_KEYWORD}[\"']?[\x20\t]{{0,3}}[=:][\x20\t]{{0,3}}[\"']?[A-Za-z0-9_/+=.-]{{12,512}}",
+    "secret": rf"(?<![\p{{L}}\p{{N}}]){_KEYWORD}[\"']?[\x20\t]{{0,3}}(?:[=:][\x20\t]{{0,3}}(?:\"{_SOME}[^\"\s]{{4,}}+(?=\"|\z)|'{_SOME}[^'\s]{{4,}}+(?='|\z)|[\"']?{_SOME}{_MARK}{{12,}}+)|(?:=|(?<={_PASSWORD}[\"']?[\x20\t]{{0,3}}):|:(?=[\x20\t]{{0,3}}[\"']?\p{{L}}*+(?!\.*+(?:[\s\"'<>,;]|\z)){_MARK}))[\x20\t]{{0,3}}[\"']?{_SOME}{_MARK}{{4,}}+)",
     "key": r"(?<![0-9A-Za-z])(?:[0-9a-f]{32,128}|[0-9A-F]{32,128}|AKIA[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{36}|sk-[A-Za-z0-9]{20,64})(?![0-9A-Za-z])",
     "ip": rf"(?<![\d.])(?:{_OCTET}\.){{3}}{_OCTET}(?!\d|\.\d)",
-    "phone": r"(?<![\d+])(?:\+\d{1,3}[ .-]?\(\d{1,4}\)[ .-]?\d{2,4}[ .-]\d{2,4}(?:[ .-]\d{2,4})?|\+\d{1,3}(?:[ .-]\d{2,4}){2,4}|\+\d{9,14}|\(\d{3}\)[ .-]?\d{3}[ .-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})(?!\d)",
+    "phone": r"(?<![\d+])(?:\+[1-9]\d{0,3}[ .-]?\(\d{1,5}\)" + _DIGITS + r"{5,15}(?!\d)|\+[1-9]\d{0,3}(?=[ .-])" + _DIGITS + r"{6,16}(?!\d)|\+\d{1,3}[ .-]?\(\d{1,4}\)[ .-]?\d{2,4}[ .-]\d{2,4}(?:[ .-]\d{2,4})?|\+\d{1,3}(?:[ .-]\d{2,4}){2,4}|\+\d{9,14}|\(\d{3}\)[ .-]?\d{3}[ .-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})(?!\d)",
     "ssn": r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])",
     "card": r"(?<!\d)(?:\d{13,19}|\d{4}(?:[ -]\d{4}){3}|\d{4}[ -]\d{6}[ -]\d{5})(?!\d)",
     "iban": r"(?<![\p{L}\p{N}])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\p{N}])",
-    "person": rf"(?<!\p{{L}})(?:{'|'.join(h for g in HONORIFICS.values() for h in g)})\.?\x20\p{{Lu}}[\p{{L}}’'-]{{1,40}}(?:\x20\p{{Lu}}[\p{{L}}’'-]{{1,40}})?",
+    "person": rf"(?<!\p{{L}})(?:{'|'.join(h for g in HONORIFICS.values() for h in g)})\.?\x20{_NAME}(?:\x20{_NAME})*+",
 }
 PATTERN = "|".join(f"(?:{p})" for p in PATTERNS.values())
 #: What every entity holds: a quick test before the patterns.
@@ -86,26 +93,31 @@ def _draw(stream: Column, i: Column, below: int) -> Column:
 
 def _spelled(text: Column, stream: Column) -> Column:
     """Each digit or letter moved within its alphabet by one place or more, so none stays itself."""
-
-    def one(c: Column, i: Column) -> Column:
-        moved = [
-            F.when(F.instr(F.lit(a), c) > 0, F.substr(F.lit(a), F.pmod(F.instr(F.lit(a), c) + _draw(stream, i, len(a) - 1), F.lit(len(a))) + 1, F.lit(1)))
-            for a in ALPHABETS
-        ]
-        other = F.when(F.rlike(c, F.lit(r"\p{L}")), F.substr(F.lit(ALPHABETS[1]), _draw(stream, i, 26) + 1, F.lit(1)))
-        return F.coalesce(*moved, other, c)
-
     at = lambda i: F.substr(text, i, F.lit(1))
     # a digit's number counts digits and letters only, so that spellings of one number agree
     index = lambda i: F.length(F.regexp_replace(F.substr(text, F.lit(1), i), r"[^\p{L}\p{N}]", ""))
-    return F.array_join(F.transform(F.sequence(F.lit(1), F.greatest(F.length(text), F.lit(1))), lambda i: one(at(i), index(i))), "")
+    return F.array_join(F.transform(F.sequence(F.lit(1), F.greatest(F.length(text), F.lit(1))), lambda i: _moved(at(i), index(i), stream)), "")
+
+
+def _moved(c: Column, i: Column, stream: Column) -> Column:
+    moved = [
+        F.when(F.instr(F.lit(a), c) > 0, F.substr(F.lit(a), F.pmod(F.instr(F.lit(a), c) + _draw(stream, i, len(a) - 1), F.lit(len(a))) + 1, F.lit(1)))
+        for a in ALPHABETS
+    ]
+    other = F.when(F.rlike(c, F.lit(r"\p{L}")), F.substr(F.lit(ALPHABETS[1]), _draw(stream, i, 26) + 1, F.lit(1)))
+    return F.coalesce(*moved, other, c)
+
+
+def _each(text: Column, move) -> Column:
+    """``move(character, its number from 1)`` for every character, in time linear in the length."""
+    return F.array_join(F.transform(F.split(text, ""), lambda c, i: move(c, i + 1)), "")
 
 
 def _hex_spelled(text: Column, stream: Column) -> Column:
     low, up = F.lit("0123456789abcdef"), F.lit("0123456789ABCDEF")
     move = lambda a, c, i: F.substr(a, F.pmod(F.instr(a, c) + _draw(stream, i, 15), F.lit(16)) + 1, F.lit(1))
     alphabet = F.when(F.rlike(text, F.lit("[A-F]")), up).otherwise(low)
-    return F.array_join(F.transform(F.sequence(F.lit(1), F.greatest(F.length(text), F.lit(1))), lambda i: move(alphabet, F.substr(text, i, F.lit(1)), i)), "")
+    return _each(text, lambda c, i: move(alphabet, c, i))
 
 
 def _check_digit(prefix: Column) -> Column:
@@ -142,6 +154,8 @@ def _person(e: Column, key: str, attempt: Column) -> Column:
     gender = F.when(bare.isin(*HONORIFICS["f"]), "f").when(bare.isin(*HONORIFICS["m"]), "m").otherwise("n")
     names = F.split(F.substr(e, F.length(honorific) + 2), "\x20")
 
+    bare_name = lambda w: F.replace(w, F.lit("."), F.lit(""))
+
     def name(w: Column, i: Column) -> Column:
         family = i == F.size(names) - 1
         stream = _stream(key, F.when(family, F.lit("family")).otherwise(F.concat(F.lit("given"), gender)), F.lower(w), attempt)
@@ -155,7 +169,10 @@ def _person(e: Column, key: str, attempt: Column) -> Column:
             tail = F.when(family, F.lit("")).otherwise(reduce(lambda a, g, s=s: a.when(gender == g, ENDINGS[s][g]), "fm", F.when(gender == "n", ENDINGS[s]["n"])))
             made.append(F.when(test, F.concat(F.initcap(F.concat(part(0), part(1), part(2))), part(3), tail)))
         new = F.coalesce(*made)
-        return F.when((F.upper(w) == w) & (F.length(w) > 1), F.upper(new)).otherwise(new)
+        new = F.when((F.upper(w) == w) & (F.length(bare_name(w)) > 1) & ~F.rlike(w, F.lit(r"\.")), F.upper(new)).otherwise(new)
+        # initials stay initials, but a last name is always a whole one: 26 letters cannot tell people apart
+        initials = F.rlike(w, F.lit(rf"^(?:{_INITIALS}|\p{{Lu}})$"))
+        return F.when(initials & ~family, _spelled(w, stream)).when(F.endswith(w, F.lit(".")), F.concat(new, F.lit("."))).otherwise(new)
 
     return F.concat(honorific, F.lit(" "), F.array_join(F.transform(names, name), " "))
 
@@ -176,6 +193,7 @@ def _made(e: Column, kind: Column, attempt: Column, key: str, stream: Column) ->
         .when(kind == "card", _card(e, stream))
         .when(kind == "person", _person(e, key, attempt))
         .when(kind.isin("secret", "key") & hexed, F.concat(prefix, _hex_spelled(value, stream)))
+        .when(kind == "secret", F.concat(prefix, _each(value, lambda c, i: _moved(c, i, stream))))
         .otherwise(F.concat(prefix, _spelled(value, stream)))
     )
 
