@@ -2,15 +2,18 @@
 
 A 64-bit fingerprint is eight positional bytes. Two fingerprints that differ in at most d bits
 differ in at most d bytes, so they share at least 8 - d positional bytes: the guaranteed minimum.
-The index posts every *distinct* fingerprint under composite positional keys (all unions of the
-byte groups that d differing bytes must leave whole); candidates are the pairs of a posting, whose
-shared positional bytes are tallied, filtered by the minimum, and verified by counting bits.
+Postings of single bytes would be 2,048 whatever the corpus, and their pairs its square; so the index
+posts every *distinct* fingerprint under blocks of four positional bytes. The 14 blocks are the
+4-subsets of the positions 0 to 7 that XOR to zero. Of them 14, 7, 3 lie within 8, 7, 6 shared
+bytes, and at most one within 5 or fewer: a pair's tally of shared blocks tells exactly whether it
+shares the guaranteed bytes. Pairs that reach the minimum are verified by counting bits.
 
 Copies never multiply: fingerprints are made distinct before the index. A posting list longer than
 ``list_cap`` (a dense heap of near copies) is not paired at all; its members are linked by midpoints
 instead: fingerprints within two bits of each other are exactly those that share a point at one bit
 or less from both, so every member is posted under itself and its 64 one-bit neighbours and tied to
-the least member of each point. That is exact, linear, and a point has at most 65 members."""
+the least member of each point. That is exact, linear, and a point has at most 65 members. A pair
+that shares a long posting has both ends among these members; one that shares none is tallied whole."""
 
 from __future__ import annotations
 
@@ -26,6 +29,10 @@ from .common import materialize
 from .components import connected_components
 
 SEED = 42
+#: Blocks of positional bytes, by their rule.
+BLOCKS = tuple(x for x in combinations(range(8), 4) if x[0] ^ x[1] ^ x[2] ^ x[3] == 0)
+#: Blocks that a pair shares at least, by the bits it may differ in.
+MINIMUM = (14, 7, 3)
 
 
 def fingerprint(text: str | None, shingle: int = 3) -> int:
@@ -62,9 +69,18 @@ def _bytes_key(fp: Column, positions: tuple[int, ...]) -> Column:
     return fp.bitwiseAND(F.lit(mask - (1 << 64) if mask >> 63 else mask).cast("bigint"))
 
 
-def _shared_bytes(x: Column) -> Column:
-    """Zero bytes of an exclusive or: positional bytes that two fingerprints share."""
-    return sum((F.shiftrightunsigned(x, 8 * p).bitwiseAND(F.lit(255)) == 0).cast("int") for p in range(8))
+def postings(distinct: DataFrame) -> DataFrame:
+    """(fp, slot, bytes): each fingerprint under its blocks."""
+    entry = F.array(*(F.struct(F.lit(k).alias("slot"), _bytes_key(F.col("fp"), pos).alias("bytes")) for k, pos in enumerate(BLOCKS)))
+    return distinct.select("fp", F.explode(entry).alias("e")).select("fp", F.col("e.slot").alias("slot"), F.col("e.bytes").alias("bytes"))
+
+
+def tallied_pairs(light: DataFrame, max_bits: int) -> DataFrame:
+    """(u, v, shared), u > v: pairs of the postings with their tally of shared blocks, the guaranteed
+    minimum or more. Not yet verified."""
+    a, b = light.select("slot", "bytes", F.col("fp").alias("u")), light.select("slot", "bytes", F.col("fp").alias("v"))
+    pairs = a.join(b, ["slot", "bytes"]).filter(F.col("u") > F.col("v"))
+    return pairs.groupBy("u", "v").agg(F.count("*").alias("shared")).filter(F.col("shared") >= MINIMUM[max_bits])
 
 
 def link_fingerprints(distinct: DataFrame, max_bits: int = 2, list_cap: int = 64) -> DataFrame:
@@ -74,18 +90,11 @@ def link_fingerprints(distinct: DataFrame, max_bits: int = 2, list_cap: int = 64
     midpoint."""
     if not 0 <= max_bits <= 2:
         raise ValueError("midpoints are exact for 0 to 2 bits")
-    groups = [(0, 1), (2, 3), (4, 5), (6, 7)]  # two differing bytes leave at least two groups whole
-    keys = [a + b for a, b in combinations(groups, 2)]
-    entry = F.array(*(F.struct(F.lit(k).alias("slot"), _bytes_key(F.col("fp"), pos).alias("bytes")) for k, pos in enumerate(keys)))
-    posts = distinct.select("fp", F.explode(entry).alias("e")).select("fp", F.col("e.slot").alias("slot"), F.col("e.bytes").alias("bytes"))
+    posts = postings(distinct)
     sizes = posts.groupBy("slot", "bytes").agg(F.count("*").alias("n")).filter(F.col("n") > 1)
     listed = materialize(posts.join(sizes, ["slot", "bytes"]))
-    light = listed.filter(F.col("n") <= list_cap)
-    a, b = light.select("slot", "bytes", F.col("fp").alias("u")), light.select("slot", "bytes", F.col("fp").alias("v"))
-    x = F.col("u").bitwiseXOR(F.col("v"))
-    first = F.coalesce(*(F.when(_bytes_key(x, pos) == 0, F.lit(k)) for k, pos in enumerate(keys)))
-    pairs = a.join(b, ["slot", "bytes"]).filter((F.col("u") > F.col("v")) & (F.col("slot") == first))
-    pairs = pairs.filter(_shared_bytes(x) >= 8 - max_bits).filter(F.bit_count(x) <= max_bits).select("u", "v")
+    pairs = tallied_pairs(listed.filter(F.col("n") <= list_cap), max_bits)
+    pairs = pairs.filter(F.bit_count(F.col("u").bitwiseXOR(F.col("v"))) <= max_bits).select("u", "v")
     dense = listed.filter(F.col("n") > list_cap).select("fp").distinct()
     near = [F.lit(0)] + [F.lit(1 << i if i < 63 else -(1 << 63)) for i in range(64)]
     near = near[:1] if max_bits == 0 else near
@@ -103,9 +112,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     """One row per row of ``docs``: (id_col, fp bigint, component_id), component_id being the least
     id reachable over links of ``max_bits`` or fewer differing bits, the row's own included.
 
-    Null and empty texts have fingerprint zero and link like any other. Null ids are carried; they
-    never become a component's id unless it has no other. Repeated rows stay repeated. Columns beside
-    id and text are not read. An empty table gives an empty result."""
+    Null and empty texts have fingerprint zero and link like any other. Whole texts are read, long ones
+    in bounded steps. Null ids are carried; they never become a component's id unless it has no other.
+    Repeated rows stay repeated. Columns beside id and text are not read, whatever their names. An empty
+    table gives an empty result."""
     prints = materialize(add_fingerprints(docs, text, [id_col], shingle))
     classes = materialize(prints.groupBy("fp").agg(F.min(id_col).alias("least")))
     roots = connected_components(link_fingerprints(classes.select("fp"), max_bits, list_cap))
