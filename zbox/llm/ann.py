@@ -5,6 +5,11 @@ come from balanced splitting of a bounded sample; every vector is then posted, t
 to several lists. A query finds its nearest centroids through a graph over the centroids, keeps the
 lists whose distance is within a ratio of the nearest one's, and scans these lists exactly.
 
+The ratio is fitted, not set: for a bounded sample of vectors the true neighbours are worked out against
+all rows, and the ratio is the least that would have reached ``target_recall`` of them. Where vectors form
+clusters that prunes nearly all lists, however many there are; where their components are independent
+nothing can be pruned much, and the lists scanned remain a share of all (README has figures of both).
+
 Largest inner product is made nearest distance by one more component that lifts all vectors to the
 same norm. Equal vectors are searched once: a vector keeps the least ids that bear it, as many as an
 answer can show. Lists too long for one task are cut into parts, and so are the queries of a list."""
@@ -25,76 +30,98 @@ from .common import materialize
 
 @dataclass(frozen=True)
 class ListParams:
-    """``list_rows``: aim for the vectors of a list before replication. ``max_lists`` and
-    ``sample_rows`` bound what the driver holds. ``replicas``, ``boundary``: a vector goes to up to so
-    many lists within 1 + boundary of its nearest distance. A query looks through lists within 1 + ratio of
-    its nearest, at most ``probe_share`` of all (32 at least). In many dimensions with little structure
-    distances are nearly alike: then the share decides, and recall rises with replicas times share.
-    ``part_rows``: most vectors, and most queries, that one task takes at a time."""
-
-    list_rows: int = 160
+    """``lists_per_root``: lists over the square root of the vectors, so that choosing lists and scanning
+    one grow alike. ``max_lists`` and ``sample_rows`` bound what the driver holds; the sample fits the
+    centroids only. ``replicas``, ``boundary``: a vector goes to up to so many lists within 1 + boundary of
+    its nearest distance. ``target_recall``, ``fit_queries``: the ratio is the least that reaches this recall
+    on so many vectors. ``part_rows``: most vectors, and most queries, that one task takes at a time."""
+
+    lists_per_root: float = 1.5
     max_lists: int = 4096
     sample_rows: int = 40_000
     replicas: int = 4
-    boundary: float = 0.25
-    probe_share: float = 0.16
-    ratio: float = 0.3
+    boundary: float = 0.02
+    target_recall: float = 0.95
+    fit_queries: int = 96
     degree: int = 16
     beam: int = 24
     part_rows: int = 4_000
 
 
 class CentroidGraph:
-    """Centroids with links to their nearest ones, searched best first by a beam, many queries at once."""
+    """Centroids with links to their nearest ones, searched best first by a beam, many queries at once. A
+    step looks at the links of a few centroids of the beam alone; a beam of a quarter of all centroids
+    or more is a plain scan of them, which is then less work."""
 
     def __init__(self, centroids: np.ndarray, degree: int):
         self.c = np.ascontiguousarray(centroids, dtype=np.float32)
         k = len(self.c)
         self.norm = (self.c * self.c).sum(1)
-        d = self.norm[:, None] + self.norm - 2 * self.c @ self.c.T
-        np.fill_diagonal(d, np.inf)
-        near = np.argsort(d, axis=1, kind="stable")[:, : max(1, min(degree, k - 1))] if k > 1 else np.zeros((1, 1), dtype=np.int64)
+        near = np.zeros((k, max(1, min(degree, k - 1))), dtype=np.int64)
+        for at in range(0, k, 512) if k > 1 else ():
+            d = self.norm - 2 * self.c[at : at + 512] @ self.c.T
+            d[np.arange(len(d)), at + np.arange(len(d))] = np.inf
+            near[at : at + 512] = np.argsort(d, axis=1, kind="stable")[:, : near.shape[1]]
         # a ring through all centroids keeps the graph connected
         ring = np.stack([(np.arange(k) + 1) % k, (np.arange(k) - 1) % k], axis=1)
         self.links = np.hstack([near, ring]).astype(np.int32)
         step = max(1, k // 32)
         self.entry = np.arange(0, k, step, dtype=np.int32)
 
-    def search(self, x: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+    def distances(self, q: np.ndarray, ids: np.ndarray | None = None) -> np.ndarray:
+        """Squared distances of rows to all centroids, or to each row's own ``ids``."""
+        qn = (q * q).sum(1)[:, None]
+        d = qn + self.norm - 2 * q @ self.c.T if ids is None else qn + self.norm[ids] - 2 * np.einsum("bnd,bd->bn", self.c[ids], q)
+        return np.maximum(d, 0)
+
+    def search(self, x: np.ndarray, width: int, step: int = 4) -> tuple[np.ndarray, np.ndarray]:
         """Nearest centroids found of each row: (ids, distances), nearest first, ``width`` of them."""
         k = len(self.c)
         width = min(width, k)
-        ids, dist = [], []
-        for at in range(0, len(x), 128):
-            q = np.ascontiguousarray(x[at : at + 128], dtype=np.float32)
-            rows = np.arange(len(q))[:, None]
-            seen = np.zeros((len(q), k), dtype=bool)
-            best = np.full((len(q), k), np.inf, dtype=np.float32)
-            qn = (q * q).sum(1)[:, None]
-            new = np.broadcast_to(self.entry, (len(q), len(self.entry)))
-            for _ in range(64):
-                fresh = ~seen[rows, new]
-                if not fresh.any():
-                    break
-                d = qn + self.norm[new] - 2 * np.einsum("bnd,bd->bn", self.c[new], q)
-                best[rows, new] = np.where(fresh, np.maximum(d, 0), best[rows, new])
-                seen[rows, new] = True
-                top = np.argpartition(best, width - 1, axis=1)[:, :width]
-                edge = self.links[top].reshape(len(q), -1)
-                if width == k and seen.all():
-                    break
-                # only what no one has looked at yet costs a distance
-                open_ = ~seen[rows, edge]
-                if not open_.any():
-                    break
-                most = int(open_.sum(1).max())
-                new = np.take_along_axis(edge, np.argsort(~open_, axis=1, kind="stable")[:, :most], axis=1)
-            top = np.argpartition(best, width - 1, axis=1)[:, :width]
-            order = np.argsort(np.take_along_axis(best, top, 1), axis=1, kind="stable")
-            top = np.take_along_axis(top, order, 1)
-            ids.append(top)
-            dist.append(np.sqrt(np.take_along_axis(best, top, 1)))
-        return (np.concatenate(ids), np.concatenate(dist)) if ids else (np.zeros((0, width), int), np.zeros((0, width)))
+        ids, dist = [np.zeros((0, width), np.int32)], [np.zeros((0, width), np.float32)]
+        for at in range(0, len(x), 256):
+            q = np.ascontiguousarray(x[at : at + 256], dtype=np.float32)
+            top, d = self._all(q, width) if 4 * width >= k else self._beam(q, max(width, 8), step)
+            ids.append(top[:, :width])
+            dist.append(np.sqrt(d[:, :width]))
+        return np.concatenate(ids), np.concatenate(dist)
+
+    def _all(self, q: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+        d = self.distances(q)
+        top = np.argpartition(d, width - 1, axis=1)[:, :width]
+        return _in_order(top, np.take_along_axis(d, top, 1))
+
+    def _beam(self, q: np.ndarray, width: int, step: int) -> tuple[np.ndarray, np.ndarray]:
+        n, rows = len(q), np.arange(len(q))[:, None]
+        seen, opened = np.zeros((n, len(self.c)), dtype=bool), np.zeros((n, len(self.c)), dtype=bool)
+        beam = np.broadcast_to(self.entry, (n, len(self.entry)))
+        seen[:, self.entry] = True
+        d = self.distances(q, beam)
+        while True:
+            beam, d = _in_order(beam, d)
+            beam, d = beam[:, :width], d[:, :width]
+            todo = np.where(opened[rows, beam] | np.isinf(d), np.inf, d)
+            some = np.argpartition(todo, min(step, todo.shape[1]) - 1, axis=1)[:, :step]
+            open_ = ~np.isinf(np.take_along_axis(todo, some, 1))
+            if not open_.any():
+                return beam, d
+            centre = np.take_along_axis(beam, some, 1)
+            r, c = np.nonzero(open_)
+            opened[r, centre[r, c]] = True
+            new = self.links[centre].reshape(n, -1)
+            fresh = ~seen[rows, new] & np.repeat(open_, self.links.shape[1], axis=1)
+            # a centroid that two of them link to counts once
+            order = np.argsort(new, axis=1, kind="stable")
+            new, fresh = np.take_along_axis(new, order, 1), np.take_along_axis(fresh, order, 1)
+            fresh[:, 1:] &= (new[:, 1:] != new[:, :-1]) | ~fresh[:, :-1]
+            r, c = np.nonzero(fresh)
+            seen[r, new[r, c]] = True
+            beam, d = np.hstack([beam, new]), np.hstack([d, np.where(fresh, self.distances(q, new), np.inf)])
+
+
+def _in_order(ids: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    order = np.argsort(d, axis=1, kind="stable")
+    return np.take_along_axis(ids, order, 1), np.take_along_axis(d, order, 1)
 
 
 def balanced_centroids(x: np.ndarray, lists: int, seed: int = 11, rounds: int = 4) -> np.ndarray:
@@ -128,7 +155,7 @@ def balanced_centroids(x: np.ndarray, lists: int, seed: int = 11, rounds: int =
 
 def _matrix(column) -> np.ndarray:
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-    flat = np.asarray(column.flatten())
+    flat = np.asarray(column.flatten())  # honours the offset of a sliced batch
     return flat.reshape(len(column), -1) if len(column) else flat.reshape(0, 0)
 
 
@@ -142,65 +169,136 @@ def valid_vectors(vectors: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     return rows.filter(F.size("v") == (width["n"] if width else 0))
 
 
-def search(vectors: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 20, params: ListParams = ListParams()) -> DataFrame:
-    """(query_id, rank, vec_id, score): for every row that ``is_query`` (a function of the id column)
-    picks, the ``k`` other rows of largest inner product found, nearest first, ties to the smaller id.
+@dataclass
+class PostingIndex:
+    """Distinct vectors (rep, v, ids) in lists, with what choosing lists needs. ``norm2`` is the largest
+    squared norm; ``ratio`` and ``width`` choose a query's lists."""
 
-    A query gets ``k`` rows wherever there are as many others: one whose lists hold too few looks
-    through all lists. Rows repeated in id and vector count once. Null, zero, non-finite and odd-sized
-    vectors take no part, as query or answer. Other columns are not read. No valid rows: no result."""
-    spark, p, want = vectors.sparkSession, params, k + 1
-    rows = materialize(valid_vectors(vectors, id_col, vec_col).distinct())
+    unique: DataFrame
+    posts: DataFrame
+    graph: CentroidGraph
+    norm2: float
+    n: int
+    ratio: float
+    width: int
+
+    def chosen(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(row, list) of the lists that queries look through."""
+        ids, d = self.graph.search(_as_query(x, self.norm2), self.width)
+        row, col = np.nonzero(d <= self.ratio * d[:, :1] + 1e-6)
+        return row, ids[row, col]
+
+
+def _lifted(x: np.ndarray, norm2: float) -> np.ndarray:
+    return np.hstack([x, np.sqrt(np.maximum(0.0, norm2 - (x * x).sum(1)))[:, None]])
+
+
+def _as_query(x: np.ndarray, norm2: float) -> np.ndarray:
+    long = np.sqrt(norm2 / (x * x).sum(1))
+    return np.hstack([x * long[:, None], np.zeros((len(x), 1))])
+
+
+def build_index(rows: DataFrame, want: int, p: ListParams) -> PostingIndex | None:
+    """The index of valid rows (id, v); None without any. ``want``: neighbours that answers show."""
     # each distinct vector with its least ids, in two steps so that a very common vector meets in no one task
     salt = F.pmod(F.xxhash64("id"), F.lit(16))
     least = rows.withColumn("s", salt).withColumn("r", F.row_number().over(Window.partitionBy("v", "s").orderBy("id"))).filter(F.col("r") <= want)
     least = least.withColumn("r", F.row_number().over(Window.partitionBy("v").orderBy("id"))).filter(F.col("r") <= want)
     unique = materialize(least.groupBy("v").agg(F.array_sort(F.collect_list("id")).alias("ids")).withColumn("rep", F.col("ids")[0]))
     stats = unique.agg(F.count("*").alias("n"), F.max(F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))).alias("m")).first()
-    empty = spark.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
     if not stats["n"]:
-        return empty
-    top2, n = stats["m"], stats["n"]
-    cells = 1 << 20
-    picked = unique.filter(F.pmod(F.xxhash64("rep", F.lit("sample")), F.lit(cells)) < max(1, int(cells * min(1.0, p.sample_rows / n))))
-    sample = [np.array(r["v"], dtype=np.float64) for r in picked.orderBy("rep").select("v").limit(2 * p.sample_rows).collect()] or [np.array(unique.select("v").first()["v"])]
-
-    def lift(x: np.ndarray) -> np.ndarray:
-        return np.hstack([x, np.sqrt(np.maximum(0.0, top2 - (x * x).sum(1)))[:, None]])
-
-    lists = int(min(p.max_lists, max(1, n // p.list_rows)))
-    graph = CentroidGraph(balanced_centroids(lift(np.stack(sample)), lists), p.degree)
-    lists = len(graph.c)
+        return None
+    norm2, n, cells = stats["m"], stats["n"], 1 << 20
+    part = lambda name, rows_: F.pmod(F.xxhash64("rep", F.lit(name)), F.lit(cells)) < max(1, math.ceil(cells * min(1.0, rows_ / n)))
+    picked = unique.filter(part("sample", p.sample_rows))
+    sample = [np.array(r["v"], dtype=np.float64) for r in picked.orderBy("rep").select("v").limit(2 * p.sample_rows).collect()] or [np.array(unique.select("v").first()["v"], dtype=np.float64)]
+    lists = int(min(p.max_lists, max(1, round(p.lists_per_root * math.sqrt(n)))))
+    graph = CentroidGraph(balanced_centroids(_lifted(np.stack(sample), norm2), lists), p.degree)
 
     def post(batches):
         for b in batches:
             if not b.num_rows:
                 continue
-            x = lift(_matrix(b.column("v")).astype(np.float64))
-            ids, d = graph.search(x, p.beam)
+            ids, d = graph.search(_lifted(_matrix(b.column("v")).astype(np.float64), norm2), p.beam)
             ids, d = ids[:, : p.replicas], d[:, : p.replicas]
             row, col = np.nonzero(d <= (1 + p.boundary) * d[:, :1] + 1e-6)
-            to = ids[row, col]
-            yield pa.RecordBatch.from_arrays([pa.array(to, pa.int32()), *b.take(pa.array(row)).columns], names=["list", "rep", "v"])
+            yield pa.RecordBatch.from_arrays([pa.array(ids[row, col].astype(np.int32)), *b.take(pa.array(row)).columns], names=["list", "rep", "v"])
+
+    of = dict(unique.dtypes)["v"]
+    posts = materialize(unique.select("rep", "v").mapInArrow(post, f"list int, rep bigint, v {of}"))
+    # the fit's queries are the vectors of least hash
+    asked = unique.filter(part("fit", 4 * p.fit_queries)).orderBy(F.xxhash64("rep", F.lit("fit")), "rep").limit(p.fit_queries).select("rep", "v").collect()
+    ratio, width = _fit(unique, posts, graph, norm2, asked, want, p)
+    return PostingIndex(unique, posts, graph, norm2, n, ratio, width)
+
+
+def _fit(unique: DataFrame, posts: DataFrame, graph: CentroidGraph, norm2: float, asked: list, want: int, p: ListParams) -> tuple[float, int]:
+    """(ratio, width): the least distance ratio at which the lists within it hold ``target_recall`` of the
+    true neighbours of ``asked``, and a beam that finds that many lists with some to spare."""
+    k = len(graph.c)
+    if not asked:
+        return math.inf, k
+    q, q_rep = np.array([r["v"] for r in asked], dtype=np.float64), np.array([r["rep"] for r in asked])
+
+    def nearest(batches):
+        """Each task's best for every one of the queries."""
+        rep, score = np.zeros((len(q), 0), np.int64), np.zeros((len(q), 0))
+        for b in batches:
+            if not b.num_rows:
+                continue
+            ids = np.asarray(b.column("rep"))
+            s = q @ _matrix(b.column("v")).astype(np.float64).T
+            s[q_rep[:, None] == ids] = -np.inf
+            rep, score = np.hstack([rep, np.broadcast_to(ids, s.shape)]), np.hstack([score, s])
+            top = np.argsort(-score, axis=1, kind="stable")[:, : want - 1]
+            rep, score = np.take_along_axis(rep, top, 1), np.take_along_axis(score, top, 1)
+        real = np.isfinite(score)
+        row = np.nonzero(real)[0].astype(np.int32)
+        yield pa.RecordBatch.from_arrays([pa.array(row), pa.array(rep[real]), pa.array(score[real])], names=["q", "rep", "score"])
+
+    best = unique.select("rep", "v").mapInArrow(nearest, "q int, rep bigint, score double")
+    order = Window.partitionBy("q").orderBy(F.desc("score"), "rep")
+    best = best.withColumn("r", F.row_number().over(order)).filter(F.col("r") < want).select("q", "rep")
+    held = best.join(posts.select("list", "rep"), "rep").collect()  # at most fit_queries * want * replicas
+    d = np.sqrt(graph.distances(_as_query(q, norm2).astype(np.float32)))
+    ratio = d / np.maximum(d.min(1, keepdims=True), 1e-9)
+    need: dict = {}
+    for r in held:
+        at = (r["q"], r["rep"])
+        need[at] = min(need.get(at, math.inf), ratio[r["q"], r["list"]])
+    if not need:
+        return math.inf, k
+    fitted = float(np.quantile(np.array(list(need.values())), p.target_recall, method="higher"))
+    most = int((ratio <= fitted).sum(1).max())
+    return fitted, min(k, max(p.beam, most + most // 4))
+
+
+def search(vectors: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 20, params: ListParams = ListParams()) -> DataFrame:
+    """(query_id, rank, vec_id, score): for every row that ``is_query`` (a function of the id column)
+    picks, the ``k`` other rows of largest inner product found, nearest first, ties to the smaller id.
 
-    posts = materialize(unique.select("rep", "v").mapInArrow(post, "list int, rep bigint, v array<float>" if dict(rows.dtypes)["v"] == "array<float>" else "list int, rep bigint, v array<double>"))
+    A query gets ``k`` rows wherever there are as many others: one whose lists hold too few looks
+    through all lists. Rows repeated in id and vector count once. Null, zero, non-finite and odd-sized
+    vectors and null ids take no part, as query or answer. Other columns are not read, whatever their
+    names. No valid rows, or an empty table: no result."""
+    spark, p, want = vectors.sparkSession, params, k + 1
+    rows = materialize(valid_vectors(vectors, id_col, vec_col).distinct())
+    index = build_index(rows, want, p)
+    if index is None:
+        return spark.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
+    unique, posts, n, lists = index.unique, index.posts, index.n, len(index.graph.c)
     queries = rows.filter(is_query(F.col("id")))
     linked = materialize(queries.join(unique.select("v", "rep"), "v").select(F.col("id").alias("query_id"), "rep", "v"))
     asked = linked.select("rep", "v").dropDuplicates(["rep"])
+    chooser = PostingIndex(None, None, index.graph, index.norm2, n, index.ratio, index.width)
 
     def probe(batches):
         for b in batches:
-            if not b.num_rows:
-                continue
-            x = _matrix(b.column("v")).astype(np.float64)
-            long = np.sqrt(top2 / (x * x).sum(1))
-            ids, d = graph.search(np.hstack([x * long[:, None], np.zeros((len(x), 1))]), max(32, math.ceil(p.probe_share * lists)))
-            near = d <= (1 + p.ratio) * d[:, :1] + 1e-6
-            row, col = np.nonzero(near)
-            yield pa.RecordBatch.from_arrays([pa.array(ids[row, col].astype(np.int32)), *b.take(pa.array(row)).columns], names=["list", "rep", "v"])
+            if b.num_rows:
+                row, to = chooser.chosen(_matrix(b.column("v")).astype(np.float64))
+                yield pa.RecordBatch.from_arrays([pa.array(to.astype(np.int32)), *b.take(pa.array(row)).columns], names=["list", "rep", "v"])
 
-    schema = posts.schema
-    found = materialize(_scan(posts, asked.mapInArrow(probe, schema), want, p))
+    found = materialize(_scan(posts, asked.mapInArrow(probe, posts.schema), want, p))
     enough = min(want, n)
     few = asked.join(found.groupBy("rep").agg(F.count("*").alias("got")), "rep", "left").filter(F.coalesce("got", F.lit(0)) < enough).select("rep", "v")
     held = unique.select(F.col("rep").alias("near"), F.size("ids").alias("held"))
