@@ -40,6 +40,39 @@ def test_quantize_matches_value(spark):
         df.select(quantize(F.col("v"), DimSpec("v", 0, 1, overflow="error"))).collect()
 
 
+@pytest.mark.parametrize("top", [20, 52, 53, 58, 61, 62])
+@pytest.mark.parametrize("bits", [1, 10, 31, 62])
+def test_rows_and_box_ends_fall_in_the_same_cell(spark, top, bits):
+    """At any width: row by row, the column's cell is the box end's."""
+    import random
+
+    r = random.Random(top * 100 + bits)
+    lo, hi = -r.randrange(1 << top), r.randrange(1 << (top - 1), 1 << top)
+    d = DimSpec("v", lo, hi, bits)
+    values = [lo, hi, lo - 1, hi + 1, 0, lo + 1, hi - 1, -(1 << 63), (1 << 63) - 1, *(r.randint(lo, hi) for _ in range(60))]
+    edge = hi - lo + 1
+    values += [lo + (k * edge >> min(bits, 20)) + e for k in range(0, 1 << min(bits, 20), max(1, (1 << min(bits, 20)) // 30)) for e in (-1, 0)]
+    df = spark.createDataFrame([(v,) for v in values], "v bigint")
+    got = {x.v: x.c for x in df.select("v", quantize(F.col("v"), d).alias("c")).collect()}
+    assert got == {v: d.quantize_value(v) for v in values}
+
+
+def test_wide_domain_and_keyless_rows(spark):
+    """Every strategy returns what the scan returns."""
+    rows = [(1 << 52, 1), ((1 << 52) + 1, 2), (50, 3), (150, 4), (None, 5), (-3, 6)]
+    df = spark.createDataFrame(rows, "v bigint, k bigint")
+    for d, box, want in (
+        (DimSpec("v", 0, 1 << 53), Box((0,), (1 << 52,)), {1, 3, 4}),
+        (DimSpec("v", 0, 1 << 61), Box((0,), (1 << 52,)), {1, 3, 4}),
+        (DimSpec("v", 0, 100, overflow="null"), Box((0,), (200,)), {3, 4}),
+        (DimSpec("v", 0, 100, overflow="null"), Box((None,), (60,)), {3, 6}),
+        (DimSpec("v", 0, 100, overflow="null"), Box((101,), (1 << 60,)), {1, 2, 4}),
+        (DimSpec("v", 0, 100, overflow="null"), Box((0,), (100,)), {3}),
+    ):
+        for strategy in STRATEGIES:
+            assert {r.k for r in Z.ZTable.of(df, ZSpec((d,))).query(box, strategy=strategy).collect()} == want, (d, strategy)
+
+
 def test_too_wide_for_a_long():
     with pytest.raises(ValueError):
         curve.z_encode([None] * 7, 10)

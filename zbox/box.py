@@ -33,6 +33,12 @@ class Box:
         put = lambda t: tuple(None if i == d else x for i, x in enumerate(t))
         return Box(put(self.lo), put(self.hi))
 
+    def beyond(self, spec: ZSpec) -> bool:
+        """Whether rows without a key may be in the box: where values outside a dimension's range have none
+        and the box reaches outside it."""
+        ends = zip(self.lo, self.hi, spec.dims, strict=True)
+        return not self.empty and any(d.overflow == "null" and (a is None or a < d.lo or b is None or b > d.hi) for a, b, d in ends)
+
     @property
     def empty(self) -> bool:
         return any(a is not None and b is not None and a > b for a, b in zip(self.lo, self.hi, strict=True))

@@ -259,6 +259,43 @@ add("partial_first", *box_query("lineitem", 6, 400, 2, drop=(0,)))
 add("partial_last", *box_query("lineitem", 6, 400, 2, drop=(5,)))
 
 
+def _wide(spark, sf):
+    """Orders over a domain of 2**62 values, where a double would lose the cell."""
+    from zbox.spec import DimSpec
+
+    df = spark.read.parquet(f"{sf}/orders.parquet").select("o_orderkey", (F.col("o_orderkey") * (1 << 43) + F.col("o_custkey")).alias("far"), F.col("o_custkey").alias("custkey"))
+    return df, ZSpec((DimSpec("far", -5, (1 << 62) - 7, 20), DimSpec("custkey", 0, (1 << 53) - 1, 20)), 20)
+
+
+def box_query_wide_domain(spark, sf):
+    df, spec = _wide(spark, sf)
+    table, out = Z.ZTable.of(df, spec), []
+    for i, strategy in enumerate(("prefix_join", "range_join", "array_search", "pushed_or")):
+        box = W.Box((0, 0), ((1 << 43) * (1000 + 4000 * i) + 10 * i, 1 << (9 + i)))
+        out.append(table.query(box, strategy=strategy, columns=["o_orderkey"]).withColumn("box_id", F.lit(i).cast("bigint")))
+    return union(out)
+
+
+_WIDE = "p AS (SELECT o_orderkey, CAST(o_orderkey AS BIGINT) * 8796093022208 + o_custkey AS far, CAST(o_custkey AS BIGINT) AS custkey FROM orders)"
+_WIDE_CELLS = ["CAST((CAST(far AS HUGEINT) + 5) * 1048576 // (4611686018427387897 + 6) AS BIGINT)", "CAST(CAST(custkey AS HUGEINT) * 1048576 // 9007199254740992 AS BIGINT)"]
+add("z_encode_wide_domain", lambda spark, sf: (lambda d: d[0].select("o_orderkey", curve.z_of(d[1]).alias("z")))(_wide(spark, sf)), f"WITH {_WIDE}, q AS (SELECT o_orderkey, {_WIDE_CELLS[0]} AS c0, {_WIDE_CELLS[1]} AS c1 FROM p) SELECT o_orderkey, {W.encode_sql(['c0', 'c1'], 20)} AS z FROM q")
+add("box_query_wide_domain", box_query_wide_domain, f"WITH {_WIDE} SELECT o_orderkey, i AS box_id FROM p, range(0, 4) t(i) WHERE far BETWEEN 0 AND 8796093022208 * (1000 + 4000 * i) + 10 * i AND custkey BETWEEN 0 AND 1 << CAST(9 + i AS INTEGER)")
+
+
+def box_query_keyless(spark, sf):
+    """Rows outside a dimension's range have no key; boxes that reach there still find them."""
+    from zbox.spec import DimSpec
+
+    df = spark.read.parquet(f"{sf}/orders.parquet").select("o_orderkey", F.col("o_custkey").alias("custkey"))
+    table, out = Z.ZTable.of(df, ZSpec((DimSpec("o_orderkey", 0, 3000, 10, overflow="null"), DimSpec("custkey", 0, 700, 10, overflow="null")))), []
+    for i, box in enumerate((W.Box((100, 50), (2000, 900)), W.Box((None, 500), (2500, 600)), W.Box((3500, 0), (5000, 2000)), W.Box((10, 10), (2900, 690)))):
+        out.append(table.query(box, strategy=("prefix_join", "pushed_or", "array_search", "range_join")[i], columns=["o_orderkey"]).withColumn("box_id", F.lit(i).cast("bigint")))
+    return union(out)
+
+
+add("box_query_keyless", box_query_keyless, " UNION ALL ".join(f"SELECT o_orderkey, CAST({i} AS BIGINT) AS box_id FROM orders WHERE o_orderkey BETWEEN {a} AND {b} AND o_custkey BETWEEN {c} AND {d}" for i, (a, b, c, d) in enumerate(((100, 2000, 50, 900), (0, 2500, 500, 600), (3500, 5000, 0, 2000), (10, 2900, 10, 690)))))
+
+
 def index_query(build, m: int, side: int, drop: tuple[int, ...] = ()) -> Query:
     def run(spark, sf):
         df, spec = W.points(spark, sf, "lineitem", m)

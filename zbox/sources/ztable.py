@@ -149,34 +149,41 @@ class ZTable:
         """Rows whose key lies in the pieces, before the original condition. ``exact`` False: perhaps
         more rows; what files and row groups can be skipped is skipped, and rows are not told apart by
         key, which is dearer than by the original condition that follows."""
-        cells = box.cells(self.spec)
-        r = refine(cells, self.spec, method, **options)
+        r = refine(box.cells(self.spec), self.spec, method, **options)
+        if not box.beyond(self.spec):
+            return self._of_pieces(r, strategy, exact), r
+        # rows outside a dimension's range have no key, and this box reaches there
+        keyless = self.df.filter(F.col(self.z).isNull())
+        keyed = self._of_pieces(r, strategy, exact).filter(F.col(self.z).isNotNull())
+        return keyed.unionByName(keyless), r
+
+    def _of_pieces(self, r: Refined, strategy: str, exact: bool) -> DataFrame:
         if not r.pieces:
-            return self.df.limit(0), r
+            return self.df.limit(0)
         df, z = self.df, F.col(self.z)
         strategy = choose(r, self.spec, bool(self.path), strategy)
         if strategy == "manifest" or (strategy == "auto" and self.path):
             files = self.files_for(r.pieces)
             if not files:
-                return df.limit(0), r
+                return df.limit(0)
             df = df.sparkSession.read.schema(df.schema).parquet(*files)
         if strategy == "scan":
-            return df, r
+            return df
         if strategy == "pushed_or":
             few = coalesce_pieces(r.pieces, PUSHED)
-            return df.filter(_ranges_of(self.z, few) if self.path else _once(z, lambda v: in_ranges(v, few))), r
+            return df.filter(_ranges_of(self.z, few) if self.path else _once(z, lambda v: in_ranges(v, few)))
         if strategy == "array_search":
             spans = F.array(*(F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in r.pieces))
-            return df.filter(_once(z, lambda v: F.exists(spans, lambda s: (v >= s["a"]) & (v <= s["b"])))), r
+            return df.filter(_once(z, lambda v: F.exists(spans, lambda s: (v >= s["a"]) & (v <= s["b"]))))
         if strategy == "range_join":
-            return pieces_join(df, piece_table(df.sparkSession, r.pieces), self.z, "nested").select(*df.columns), r
+            return pieces_join(df, piece_table(df.sparkSession, r.pieces), self.z, "nested").select(*df.columns)
         # coarse ranges go to the scan of a stored key, the exact pieces are joined; a key that is worked
         # out on the way has no statistics to skip by
         if self.path:
             df = df.filter(_ranges_of(self.z, coalesce_pieces(r.pieces, PUSHED)))
         if exact and (not self.path or len(r.pieces) > PUSHED):
             df = pieces_join(df, piece_table(df.sparkSession, r.pieces), self.z, known=r.pieces).select(*df.columns)
-        return df, r
+        return df
 
     def query(self, box: Box, method: str = "widened", strategy: str = "auto", columns: list[str] | None = None, **options) -> DataFrame:
         """Rows in the box."""

@@ -30,6 +30,8 @@ class DimSpec:
     def __post_init__(self):
         if self.hi < self.lo or not 1 <= self.bits <= 62 or self.overflow not in ("clamp", "null", "error"):
             raise ValueError(f"bad dimension: {self}")
+        if self.integer and not -(1 << 62) <= int(self.lo) <= int(self.hi) <= 1 << 62:
+            raise ValueError(f"whole values from -2**62 to 2**62 only: {self}")
 
     def quantize_value(self, v) -> int | None:
         if v is None:
@@ -40,20 +42,29 @@ class DimSpec:
             if self.overflow == "error":
                 raise ValueError(f"{self.column} = {v} is outside {self.lo}..{self.hi}")
         if self.integer:
-            cell = (int(v) - int(self.lo)) * (1 << self.bits) // (int(self.hi) - int(self.lo) + 1)
+            lo, hi = int(self.lo), int(self.hi)
+            cell = (min(hi, max(lo, int(v))) - lo) * (1 << self.bits) // (hi - lo + 1)
         else:
             cell = floor((v - self.lo) * (1 << self.bits) / ((self.hi - self.lo) or 1.0))
         return min((1 << self.bits) - 1, max(0, cell))
 
 
 def quantize(col: Column, d: DimSpec) -> Column:
-    """Cell coordinate of a column: built-in functions only."""
+    """Cell coordinate of a column: built-in functions only. Whole numbers are dealt by whole arithmetic at
+    any width, so a row's cell and a box end's cell never differ: in longs where the product fits, else in
+    38-digit decimals."""
     top = F.lit((1 << d.bits) - 1).cast("bigint")
     if d.integer:
-        lo, width = int(d.lo), int(d.hi) - int(d.lo) + 1
-        # values are brought near the range first, so that the product cannot overflow
-        v = F.greatest(F.lit(lo - 1).cast("bigint"), F.least(F.lit(lo + width).cast("bigint"), col.cast("bigint")))
-        cell = F.floor((v - lo) * F.lit(1 << d.bits).cast("bigint") / F.lit(width)) if width >= 1 << (62 - d.bits) else _div((v - lo) * F.lit(1 << d.bits).cast("bigint"), width)
+        lo, hi = int(d.lo), int(d.hi)
+        width = hi - lo + 1
+        v = F.greatest(F.lit(lo).cast("bigint"), F.least(F.lit(hi).cast("bigint"), col.cast("bigint")))
+        if width << d.bits <= (1 << 63) - 1:
+            cell = _div((v - lo) * F.lit(1 << d.bits).cast("bigint"), F.lit(width).cast("bigint"))
+        else:
+            wide = lambda x: x.cast("decimal(20,0)")
+            # up to 2**63 * 2**62 < 10**38
+            product = ((wide(v) - wide(F.lit(lo))) * wide(F.lit(1 << d.bits))).cast("decimal(38,0)")
+            cell = _div(product, F.lit(str(width)).cast("decimal(20,0)"))
     else:
         cell = F.floor((col.cast("double") - d.lo) * float(1 << d.bits) / ((d.hi - d.lo) or 1.0))
     cell = F.when(col.isNull(), F.lit(None).cast("bigint")).otherwise(F.greatest(F.lit(0).cast("bigint"), F.least(top, cell.cast("bigint"))))
@@ -65,9 +76,9 @@ def quantize(col: Column, d: DimSpec) -> Column:
     return cell
 
 
-def _div(a: Column, b: int) -> Column:
-    """Whole quotient of longs."""
-    return F.call_function("div", a, F.lit(b).cast("bigint"))
+def _div(a: Column, b: Column) -> Column:
+    """Whole quotient."""
+    return F.call_function("div", a, b)
 
 
 @dataclass(frozen=True)
