@@ -1,13 +1,17 @@
 """Language-model scores of documents: a log-bilinear neural model trained by noise contrast.
 
-The corpus is counted first, all of it: words, then runs of three word classes (the ``classes`` most
-frequent words, one class for the end of a text, one for every other word). The model predicts a class
-from the two before it: context vectors, weighted component by component, are summed and multiplied
-with target vectors, plus a bias. It is trained on the counted runs by noise-contrastive estimation in
-numpy, on several trainers whose parameters are averaged after every round. Noise contrast needs no
-normalising; scoring does it exactly, by matrix products over all classes for every possible context,
-once. A word of the open class gets the class's probability times its smoothed share within the class,
-so probabilities sum to one over all words, unseen ones included.
+All words are counted first. The model's vocabulary is the ``head_words`` most frequent ones, the end of a
+text, and ``BUCKETS`` buckets that every other word falls into by a hash; a word of a bucket gets the bucket's
+probability times its smoothed share within it, so probabilities sum to one over all words, unseen
+ones included. What comes before is seen through ``contexts`` context classes: the most frequent words and the
+end by themselves, all others by a hash of their last two bytes. Two context vectors, weighted component
+by component, are summed and multiplied with target vectors, plus a bias.
+
+Training is noise-contrastive estimation in numpy over every run of the learnt texts: in each of four rounds a
+quarter of the documents, the trainers (as many as the cluster has cores) each on the texts of its part,
+after which parameters are averaged, each row by how often its trainer met it. Noise contrast needs no
+normalising; scoring does it exactly: the normaliser of all contexts is one product of two matrices of
+exponentials, taken in blocks of the vocabulary.
 
 Word counts grow with the corpus and are joined, not broadcast, save the most frequent ones: a head of
 at most ``head_words`` words is held in memory, which takes the hot keys out of the join."""
@@ -16,6 +20,7 @@ from __future__ import annotations
 
 import math
 import uuid
+import zlib
 from collections import Counter
 from itertools import repeat
 
@@ -27,7 +32,9 @@ from pyspark.sql import functions as F
 from .common import fold_bucket, materialize
 
 DIM = 24
-_FLUSH = 300_000
+BUCKETS = 1024
+BLOCK = 4096
+_FLUSH = 200_000
 _CACHE: dict = {}
 
 
@@ -79,151 +86,216 @@ def head_of(counts: DataFrame, head_words: int) -> list[tuple[str, int]]:
 # --- the model ------------------------------------------------------------------------------------
 
 
-def new_model(unigram: np.ndarray, seed: int = 5) -> dict[str, np.ndarray]:
-    r, m = np.random.default_rng(seed), len(unigram)
-    return {"in": r.normal(0, 0.1, (m, DIM)), "out": r.normal(0, 0.1, (m, DIM)), "near": np.ones(DIM), "far": np.full(DIM, 0.5), "bias": np.log(unigram)}
-
-
-def train_nce(model: dict, far: np.ndarray, near: np.ndarray, target: np.ndarray, count: np.ndarray, unigram: np.ndarray, steps: int, seed: int, batch: int = 1024, noise: int = 128, rate: float = 0.1) -> dict:
-    """``steps`` steps of AdaGrad on runs drawn by their counts, each against ``noise`` draws from the
-    unigram distribution that the batch shares."""
-    p = {k: v.astype(np.float64).copy() for k, v in model.items()}
-    sums = {k: np.full_like(v, 1e-6) for k, v in p.items()}
-    r = np.random.default_rng(seed)
-    upto, noise_upto = np.cumsum(count.astype(np.float64)), np.cumsum(unigram)
-    shift = np.log(noise * unigram)
-    sig = lambda x: 1 / (1 + np.exp(-np.clip(x, -30, 30)))
-    for _ in range(steps):
-        i = np.searchsorted(upto, r.random(batch) * upto[-1])
-        a, b, w = near[i], far[i], target[i]
-        z = np.minimum(np.searchsorted(noise_upto, r.random(noise) * noise_upto[-1]), len(unigram) - 1)
+def suffix_bucket(word: bytes, buckets: int) -> int:
+    return zlib.crc32(word[-2:]) % buckets
+
+
+def new_model(unigram: np.ndarray, contexts: int, seed: int = 5) -> dict[str, np.ndarray]:
+    """``out``, ``bias``: a row per word of the vocabulary; ``in``: a row per context class."""
+    r, f = np.random.default_rng(seed), np.float32
+    return {"in": r.normal(0, 0.1, (contexts, DIM)).astype(f), "out": r.normal(0, 0.1, (len(unigram), DIM)).astype(f), "mix": np.stack([np.ones(DIM), np.full(DIM, 0.5)]).astype(f), "bias": np.log(unigram).astype(f)}
+
+
+def _summed(rows: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
+    """(n, DIM): sums of ``rows`` by their number ``at``."""
+    order = np.argsort(at, kind="stable")
+    of = at[order]
+    starts = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]]))
+    out = np.zeros((n, rows.shape[1]), dtype=np.float32)
+    out[of[starts]] = np.add.reduceat(rows[order], starts, axis=0)
+    return out
+
+
+class NceTrainer:
+    """AdaGrad on runs (far, near, target) against ``noise`` draws from the unigram distribution that a batch
+    shares. Only rows that a batch meets are touched."""
+
+    def __init__(self, model: dict, unigram: np.ndarray, seed: int, rate: float = 0.05, noise: int = 64, batch: int = 2048):
+        self.p = {k: v.copy() for k, v in model.items()}
+        self.sums = {k: np.full_like(v, 1e-6) for k, v in self.p.items()}
+        self.r, self.rate, self.noise, self.batch = np.random.default_rng(seed), rate, noise, batch
+        self.upto, self.shift = np.cumsum(unigram), np.log(noise * unigram).astype(np.float32)
+        self.met = {"in": np.zeros(len(model["in"]), np.float32), "out": np.zeros(len(unigram), np.float32)}
+        self.runs = 0
+
+    def _move(self, name: str, rows, grad: np.ndarray) -> None:
+        self.sums[name][rows] += grad * grad
+        self.p[name][rows] += self.rate * grad / np.sqrt(self.sums[name][rows])
+
+    def learn(self, far: np.ndarray, near: np.ndarray, target: np.ndarray) -> None:
+        for at in range(0, len(target), self.batch):
+            self._step(far[at : at + self.batch], near[at : at + self.batch], target[at : at + self.batch])
+
+    def _step(self, b: np.ndarray, a: np.ndarray, w: np.ndarray) -> None:
+        p, n = self.p, np.float32(1 / len(w))
+        z = np.minimum(np.searchsorted(self.upto, self.r.random(self.noise) * self.upto[-1]), len(self.upto) - 1)
         va, vb, vw, vz = p["in"][a], p["in"][b], p["out"][w], p["out"][z]
-        q = p["near"] * va + p["far"] * vb
-        up = 1 - sig((q * vw).sum(1) + p["bias"][w] - shift[w])
-        down = sig(q @ vz.T + p["bias"][z] - shift[z])
+        q = p["mix"][0] * va + p["mix"][1] * vb
+        sig = lambda x: 1 / (1 + np.exp(-np.clip(x, -30, 30)))
+        up = (1 - sig((q * vw).sum(1) + p["bias"][w] - self.shift[w])) * n
+        down = sig(q @ vz.T + (p["bias"][z] - self.shift[z])) * n
         gq = up[:, None] * vw - down @ vz
-        grad = {k: np.zeros_like(v) for k, v in p.items()}
-        np.add.at(grad["out"], w, up[:, None] * q)
-        np.add.at(grad["out"], z, -(down.T @ q))
-        np.add.at(grad["bias"], w, up)
-        np.add.at(grad["bias"], z, -down.sum(0))
-        np.add.at(grad["in"], a, gq * p["near"])
-        np.add.at(grad["in"], b, gq * p["far"])
-        grad["near"], grad["far"] = (gq * va).sum(0), (gq * vb).sum(0)
-        for k, g in grad.items():
-            g /= batch
-            sums[k] += g * g
-            p[k] += rate * g / np.sqrt(sums[k])
-    return p
-
-
-def normalise(model: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Tables that give any run's log10 probability by four look-ups: near[a, w] + far[b, w] + bias[w]
-    - z[b, a]. z is the normaliser of every context, by matrix products over all classes."""
-    near, far = (model["in"] * model["near"]) @ model["out"].T, (model["in"] * model["far"]) @ model["out"].T
-    base = near + model["bias"]
-    z = np.empty((len(near), len(near)))
-    for b in range(len(near)):
-        s = base + far[b]
-        top = s.max(1)
-        z[b] = top + np.log(np.exp(s - top[:, None]).sum(1))
-    k = 1 / math.log(10)
-    return tuple((x * k).astype(np.float32) for x in (near, far, model["bias"], z))
-
-
-def runs_of(ids: np.ndarray, end: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(far, near, target) of a text whose ids end with ``end``; what stands before it counts as end."""
-    near = np.concatenate([[end], ids[:-1]])
-    return np.concatenate([[end], near[:-1]]), near, ids
-
-
-def _flat(model: dict) -> bytes:
-    return np.concatenate([model[k].ravel() for k in ("in", "out", "near", "far", "bias")]).astype("<f8").tobytes()
-
-
-def _unflat(raw: np.ndarray, m: int) -> dict:
-    cut = np.cumsum([m * DIM, m * DIM, DIM, DIM])
-    a, b, c, d, e = np.split(raw, cut)
-    return {"in": a.reshape(m, DIM), "out": b.reshape(m, DIM), "near": c, "far": d, "bias": e}
-
-
-def _lookup(shared) -> dict:
-    """The head's dictionary, built once a worker."""
+        rows, at = np.unique(np.concatenate([w, z]), return_inverse=True)
+        self._move("out", rows, _summed(np.concatenate([up[:, None] * q, -(down.T @ q)]), at, len(rows)))
+        self._move("bias", rows, np.bincount(at, weights=np.concatenate([up, -down.sum(0)]), minlength=len(rows)).astype(np.float32))
+        m = len(p["in"])
+        self._move("in", slice(None), _summed(gq * p["mix"][0], a, m) + _summed(gq * p["mix"][1], b, m))
+        self._move("mix", slice(None), np.stack([(gq * va).sum(0), (gq * vb).sum(0)]))
+        self.met["in"] += np.bincount(a, minlength=m) + np.bincount(b, minlength=m)
+        self.met["out"][rows] += np.bincount(at, minlength=len(rows))
+        self.runs += len(w)
+
+
+def normaliser(model: dict) -> np.ndarray:
+    """Natural logarithm of the sum over the vocabulary, by (near, far) context class: the exponentials of the
+    two halves of a score multiply, so that all sums are one matrix product, taken block by block."""
+    near, far = model["in"].astype(np.float64) * model["mix"][0], model["in"].astype(np.float64) * model["mix"][1]
+    out, bias = model["out"].astype(np.float64), model["bias"].astype(np.float64)
+    total, top = np.zeros((len(near), len(near))), np.full((len(near), len(near)), -np.inf)
+    for at in range(0, len(out), BLOCK):
+        a, b = near @ out[at : at + BLOCK].T + bias[at : at + BLOCK], far @ out[at : at + BLOCK].T
+        ma, mb = a.max(1), b.max(1)
+        part, scale = np.exp(a - ma[:, None]) @ np.exp(b - mb[:, None]).T, ma[:, None] + mb
+        new = np.maximum(top, scale)
+        total = total * np.exp(top - new) + part * np.exp(scale - new)
+        top = new
+    return top + np.log(np.maximum(total, 1e-300))
+
+
+def log10_of(model: dict, z: np.ndarray, far: np.ndarray, near: np.ndarray, target: np.ndarray) -> np.ndarray:
+    """log10 probability of each run's target."""
+    q = model["mix"][0] * model["in"][near] + model["mix"][1] * model["in"][far]
+    return (np.einsum("nd,nd->n", q, model["out"][target]) + model["bias"][target] - z[near, far]) / math.log(10)
+
+
+class Vocabulary:
+    """Numbers of words: the head in order, then the end, then the buckets; and their context classes."""
+
+    def __init__(self, words: list[str], contexts: int):
+        self.head = {w.encode("utf-8", "surrogatepass"): i for i, w in enumerate(words)}
+        self.end = len(words)
+        self.size = self.end + 1 + BUCKETS
+        own = min(len(words), contexts // 2)
+        self.suffixes = max(1, contexts - own - 1)
+        self.contexts = own + 1 + self.suffixes
+        self.end_context = own
+        self.context = np.array([i if i < own else own + 1 + suffix_bucket(w, self.suffixes) for w, i in self.head.items()] + [own], dtype=np.int32)
+
+    def number(self, w: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(place in the head or -1, target, context class) of a text's words; targets and classes with the end."""
+        place = np.fromiter(map(self.head.get, w, repeat(-1)), dtype=np.int64, count=len(w))
+        target, context = np.append(place, self.end), np.append(self.context[place], self.end_context)
+        for i in np.flatnonzero(place < 0).tolist():
+            target[i] = self.end + 1 + zlib.crc32(w[i]) % BUCKETS
+            context[i] = self.end_context + 1 + suffix_bucket(w[i], self.suffixes)
+        return place, target, context
+
+    def runs(self, target: np.ndarray, context: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(far, near, target) of a text; what stands before it counts as the end."""
+        near = np.concatenate([[self.end_context], context[:-1]])
+        return np.concatenate([[self.end_context], near[:-1]]), near, target
+
+
+def _vocabulary(shared) -> Vocabulary:
+    """The vocabulary, built once a worker."""
     head = shared.value
     if head["key"] not in _CACHE:
         _CACHE.clear()
-        _CACHE[head["key"]] = {w.encode("utf-8", "surrogatepass"): i for i, w in enumerate(head["words"])}
+        _CACHE[head["key"]] = Vocabulary(head["words"], head["contexts"])
     return _CACHE[head["key"]]
 
 
-def train(texts: DataFrame, shared, unigram: np.ndarray, trainers: int = 16, rounds: int = 4, tokens_per_draw: int = 16, least_steps: int = 100) -> dict:
-    """The model, trained on the class runs of all of ``texts``. Each trainer holds the distinct runs
-    of its share, at most classes ** 3 / trainers whatever the corpus, and takes steps in proportion
-    to the tokens they stand for."""
-    m = len(unigram)
-    other, end = m - 1, m - 2
-
-    def count_runs(batches):
-        def emit(codes):
-            code, n = np.unique(np.concatenate(codes), return_counts=True)
-            return pa.RecordBatch.from_arrays([pa.array(code), pa.array(n)], names=["code", "n"])
-
-        head, codes, held = _lookup(shared), [], 0
-        for batch in batches:
-            for x in batch.column(0):
-                w = tokens(x.as_py())
-                ids = np.fromiter(map(head.get, w, repeat(other)), dtype=np.int64, count=len(w))
-                ids = np.append(np.where(ids < end, ids, other), end)
-                far, near, to = runs_of(ids, end)
-                codes.append((far * m + near) * m + to)
-                held += len(ids)
-                if held > 2_000_000:
-                    yield emit(codes)
-                    codes, held = [], 0
-        if codes:
-            yield emit(codes)
-
-    runs = texts.select("text").mapInArrow(count_runs, "code bigint, n bigint").groupBy("code").agg(F.sum("n").alias("n"))
-    runs = materialize(runs.withColumn("context", F.floor(F.col("code") / m).cast("bigint")))
-    # A trainer gets whole contexts, so that what follows each is drawn as in the corpus; the few contexts
-    # that are a large part of all (fewer than 8 * trainers) are divided evenly among all trainers.
-    per = materialize(runs.groupBy("context").agg(F.sum("n").alias("n")))  # at most classes ** 2 rows
-    total = per.agg(F.sum("n")).first()[0] or 0
-    large = [r["context"] for r in per.filter(F.col("n") * (8 * trainers) > total).collect()]
-    is_large = F.col("context").isin(large) if large else F.lit(False)
-    to = F.when(is_large, F.sequence(F.lit(0), F.lit(trainers - 1))).otherwise(F.array(F.pmod(F.xxhash64("context"), F.lit(trainers)).cast("int")))
-    share = F.col("n") / F.when(is_large, float(trainers)).otherwise(1.0)
-    runs = materialize(runs.select("code", share.alias("n"), F.explode(to).alias("trainer")))
-    model = new_model(unigram)
-    def trainer(start: dict, k: int):
-        def one(table: pa.Table) -> pa.Table:
-            code, n, which = np.asarray(table.column("code")), np.asarray(table.column("n")), table.column("trainer")[0].as_py()
-            order = np.argsort(code)  # the same draws whatever order the rows come in
-            code, n = code[order], n[order]
-            steps = max(least_steps, int(n.sum()) // (tokens_per_draw * 1024 * rounds))
-            new = train_nce(start, code // (m * m), code // m % m, code % m, n, unigram, steps, seed=1000 * k + which, rate=0.1 / (1 + k))
-            return pa.table({"p": pa.array([_flat(new)], pa.binary()), "trainer": pa.array([which], pa.int32())})
-
-        return one
-
+def _blocks(trainer: NceTrainer):
+    """A trainer's rows with how often it met each, in blocks."""
+    for name, met in (("in", trainer.met["in"]), ("out", trainer.met["out"]), ("bias", trainer.met["out"]), ("mix", np.full(2, trainer.runs, np.float32))):
+        rows = trainer.p[name].reshape(len(met), -1)
+        for at in range(0, len(met), BLOCK):
+            yield name, at, rows[at : at + BLOCK].astype("<f4").tobytes(), met[at : at + BLOCK].astype("<f4").tobytes()
+
+
+def _average(table: pa.Table) -> pa.Table:
+    """One block's rows over all trainers, each weighted by its trainer's meetings; null where none met it."""
+    total = weight = None
+    order = sorted(range(table.num_rows), key=lambda i: table.column("trainer")[i].as_py())  # the same sum in every run
+    for i in order:
+        w = np.frombuffer(table.column("met")[i].as_py(), "<f4").astype(np.float64)
+        rows = np.frombuffer(table.column("rows")[i].as_py(), "<f4").reshape(len(w), -1) * w[:, None]
+        total, weight = (rows, w) if total is None else (total + rows, weight + w)
+    mean = (total / np.maximum(weight, 1e-30)[:, None]).astype("<f4")
+    return pa.table({"name": table.column("name")[:1], "at": table.column("at")[:1], "rows": pa.array([mean.tobytes()], pa.binary()), "met": pa.array([weight.astype("<f4").tobytes()], pa.binary())})
+
+
+def train(texts: DataFrame, shared, unigram: np.ndarray, runs: int, rounds: int = 4, least_runs: int = 4_000_000) -> dict:
+    """The model, trained on all runs of ``texts`` (``runs`` of them), each once; where they are fewer than
+    ``least_runs``, so many times over that they come to that."""
+    vocabulary = Vocabulary(shared.value["words"], shared.value["contexts"])
+    model = new_model(unigram, vocabulary.contexts)
+    del vocabulary
+    spark = texts.sparkSession
+    trainers, passes = max(1, spark.sparkContext.defaultParallelism), max(1, math.ceil(least_runs / max(1, runs)))
+    # texts that are equal go to one round; which is no matter to the model
+    parts = texts.select("text", F.pmod(F.xxhash64("text"), F.lit(rounds)).alias("round"))
+
+    def trainer(start, rate):
+        def run(batches):
+            from pyspark import TaskContext
+
+            voc, which = _vocabulary(shared), TaskContext.get().partitionId()
+            t = NceTrainer(start.value, unigram_shared.value, seed=1000 + which, rate=rate)
+            held, n, kept = [], 0, []
+
+            def learn():
+                far, near, to = (np.concatenate(x) for x in zip(*held, strict=True))
+                mixed = t.r.permutation(len(to))
+                t.learn(far[mixed], near[mixed], to[mixed])
+
+            for batch in batches:
+                for x in batch.column(0):
+                    _, target, context = voc.number(tokens(x.as_py()))
+                    held.append(voc.runs(target, context))
+                    n += len(target)
+                    if n >= 32 * t.batch:
+                        learn()
+                        kept += held if passes > 1 else []
+                        held, n = [], 0
+            if held:
+                learn()
+                kept += held if passes > 1 else []
+            for _ in range(passes - 1 if kept else 0):  # fewer than least_runs are held
+                held = kept
+                learn()
+            for name, at, rows, met in _blocks(t) if t.runs else ():
+                yield pa.RecordBatch.from_pydict({"name": [name], "at": [at], "rows": [rows], "met": [met], "trainer": [which]}, schema=pa.schema([("name", pa.string()), ("at", pa.int32()), ("rows", pa.binary()), ("met", pa.binary()), ("trainer", pa.int32())]))
+
+        return run
+
+    unigram_shared = spark.sparkContext.broadcast(unigram)
     for k in range(rounds):
-        got = runs.groupBy("trainer").applyInArrow(trainer(model, k), "p binary, trainer int").collect()
-        if got:
-            got.sort(key=lambda r: r["trainer"])
-            model = _unflat(np.mean([np.frombuffer(bytes(r["p"]), dtype="<f8") for r in got], axis=0), m)
+        start = spark.sparkContext.broadcast(model)
+        some = parts.filter(F.col("round") == k).select("text").coalesce(trainers)
+        blocks = some.mapInArrow(trainer(start, 0.05 / (1 + k) ** 0.5), "name string, at int, rows binary, met binary, trainer int")
+        got = blocks.groupBy("name", "at").applyInArrow(_average, "name string, at int, rows binary, met binary").collect()  # the model's size
+        model = {name: v.copy() for name, v in model.items()}
+        for r in got:
+            met = np.frombuffer(bytes(r["met"]), "<f4") > 0
+            rows = np.frombuffer(bytes(r["rows"]), "<f4").reshape(len(met), -1)
+            of = model[r["name"]].reshape(len(model[r["name"]]), -1)
+            of[r["at"] : r["at"] + len(met)][met] = rows[met]
+        start.unpersist()
     return model
 
 
 # --- scoring --------------------------------------------------------------------------------------
 
 
-def score(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folds: int = 7, held_fold: int = 2, classes: int = 512, head_words: int = 100_000) -> DataFrame:
+def score(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folds: int = 7, held_fold: int = 2, contexts: int = 384, head_words: int = 100_000) -> DataFrame:
     """One row per row of ``docs``: id_col, held_out, n_tokens, n_known, train_tokens, base_score, score.
 
     Documents of ``held_fold`` are scored but not learnt from. base_score: smoothed unigram log10
     probability; score: the model's. Null and empty texts are the end alone. Null ids are carried (and
     fall in the fold of the empty string). Repeated rows are counted and scored each. With nothing to
-    learn from, every token is unseen. Other columns are not read. An empty table gives an empty result."""
+    learn from, every token is unseen. Other columns are not read, whatever their names. An empty table
+    gives an empty result."""
     spark = docs.sparkSession
     part = docs.select(F.col(f"`{id_col}`").alias("id"), (fold_bucket(F.col(f"`{id_col}`"), folds) == held_fold).alias("held_out"), F.col(f"`{text}`").alias("text"))
     learn = part.filter(~F.col("held_out")).select("text")
@@ -232,42 +304,44 @@ def score(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folds: in
     words, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
     n, v = words + ends, distinct + (1 if ends else 0)
     head = head_of(counts, head_words)
-    known = head[: classes - 2]
-    m = len(known) + 2
-    rest = words - sum(c for _, c in known)
-    unigram = np.array([c for _, c in known] + [ends, rest], dtype=np.float64) + 0.5
+    # tokens and distinct words of each bucket: all but the head, which is joined away as a small table of words
+    known = spark.createDataFrame([(w,) for w, _ in head], "word string")
+    of_bucket = F.pmod(F.crc32(F.encode("word", "UTF-8")), F.lit(BUCKETS)).cast("int")
+    rest = counts.join(F.broadcast(known), "word", "left_anti").groupBy(of_bucket.alias("b")).agg(F.sum("c").alias("c"), F.count("*").alias("d")).collect()
+    tokens_in, words_in = np.zeros(BUCKETS), np.zeros(BUCKETS)
+    for r in rest:
+        tokens_in[r["b"]], words_in[r["b"]] = r["c"], r["d"]
+    unigram = np.concatenate([[c for _, c in head], [ends], tokens_in]) + 0.5
     unigram /= unigram.sum()
     log_count = np.log10(np.array([c for _, c in head] + [0], dtype=np.float64) + 1)
-    shared = spark.sparkContext.broadcast({"key": uuid.uuid4().hex, "words": [w for w, _ in head]})  # at most head_words
-    tables = normalise(train(learn, shared, unigram))
-    model = spark.sparkContext.broadcast((*tables, log_count))  # at most classes ** 2 numbers each
-    end, other = m - 2, m - 1
-    within = math.log10(rest + (distinct - len(known)) + 1)
+    share = np.log10(tokens_in + words_in + 1)
+    shared = spark.sparkContext.broadcast({"key": uuid.uuid4().hex, "words": [w for w, _ in head], "contexts": contexts})  # at most head_words
+    trained = train(learn, shared, unigram, n)
+    model = spark.sparkContext.broadcast((trained, normaliser(trained), log_count, share))  # (head_words + BUCKETS) * DIM + contexts ** 2 numbers
 
     def run(batches):
-        table, (near_t, far_t, bias_t, z_t, logc) = _lookup(shared), model.value
+        voc, (m, z, logc, inside) = _vocabulary(shared), model.value
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 some = batch.slice(at, 256)
-                out = {k: [] for k in ("n", "known", "head", "open", "n_open", "lm", "rare")}
+                out = {k: [] for k in ("n", "known", "head", "lm", "rare")}
                 for x in some.column(2):
                     w = tokens(x.as_py())
-                    i = np.fromiter(map(table.get, w, repeat(-1)), dtype=np.int64, count=len(w))
-                    ids = np.append(np.where((i >= 0) & (i < end), i, other), end)
-                    b, a, t = runs_of(ids, end)
-                    is_open = ids[:-1] == other
+                    place, target, context = voc.number(w)
+                    far, near, to = voc.runs(target, context)
+                    bucket = to[to > voc.end] - voc.end - 1
                     out["n"].append(len(w) + 1)
-                    out["known"].append(int((i >= 0).sum()) + (1 if ends else 0))
-                    out["head"].append(float(logc[i[i >= 0]].sum()))
-                    out["open"].append(float(logc[i[is_open]].sum()))  # those out of the head point at the last entry, 0
-                    out["n_open"].append(int(is_open.sum()))
-                    out["lm"].append(float((near_t[a, t] + far_t[b, t] + bias_t[t] - z_t[b, a]).sum(dtype=np.float64)))
-                    out["rare"].append([w[k].decode("utf-8", "surrogatepass") for k in np.flatnonzero(i < 0)])
-                arrays = [pa.array(out["n"], pa.int64()), pa.array(out["known"], pa.int64()), pa.array(out["head"]), pa.array(out["open"]), pa.array(out["n_open"], pa.int64()), pa.array(out["lm"]), pa.array(out["rare"], pa.list_(pa.string()))]
+                    out["known"].append(int((place >= 0).sum()) + (1 if ends else 0))
+                    out["head"].append(float(logc[place[place >= 0]].sum()))
+                    # of a bucket's word the share within is (its count + 1) over all of the bucket; the counts are joined
+                    lm = sum(float(log10_of(m, z, far[i : i + 65536], near[i : i + 65536], to[i : i + 65536]).sum(dtype=np.float64)) for i in range(0, len(to), 65536))
+                    out["lm"].append(lm - float(inside[bucket].sum()))
+                    out["rare"].append([w[k].decode("utf-8", "surrogatepass") for k in np.flatnonzero(place < 0)])
+                arrays = [pa.array(out["n"], pa.int64()), pa.array(out["known"], pa.int64()), pa.array(out["head"]), pa.array(out["lm"]), pa.array(out["rare"], pa.list_(pa.string()))]
                 yield pa.RecordBatch.from_arrays([some.column(0), some.column(1), *arrays], names=["id", "held_out", *out])
 
     kind = dict(part.dtypes)["id"]
-    fields = f"id {kind}, held_out boolean, n bigint, known bigint, head double, open double, n_open bigint, lm double, rare array<string>"
+    fields = f"id {kind}, held_out boolean, n bigint, known bigint, head double, lm double, rare array<string>"
     # numbered as written: the number is stored, so it is the same in every later read
     base = materialize(part.mapInArrow(run, fields).withColumn("row", F.monotonically_increasing_id()))
     rare = base.select("row", F.explode_outer("rare").alias("word")).filter(F.col("word").isNotNull()).groupBy("row", "word").agg(F.count("*").alias("k"))
@@ -279,5 +353,5 @@ def score(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folds: in
     return all_.select(
         F.col("id").alias(id_col), "held_out", F.col("n").alias("n_tokens"), (F.col("known") + tail_known).alias("n_known"), F.lit(n).cast("bigint").alias("train_tokens"),
         (F.col("head") + ended + tail_sum - F.col("n") * math.log10(n + v + 1)).alias("base_score"),
-        (F.col("lm") + F.col("open") + tail_sum - F.col("n_open") * within).alias("score"),
+        (F.col("lm") + tail_sum).alias("score"),
     )
