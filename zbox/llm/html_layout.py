@@ -4,11 +4,18 @@ A tree is built from the tags with the implied ones put in (list items, paragrap
 options close where the next one opens; head and body appear where they are missing), hidden elements
 are left out by rule, and the visible rest is laid out: blocks on lines of their own with blank lines
 where the block has a margin, list items with bullets or numbers and indentation, table cells in
-aligned columns, preformatted text as it stands. Every visible character is emitted."""
+aligned columns (spans across rows and columns kept, wide characters counted as two), preformatted text
+as it stands. Every visible character is emitted.
+
+Hidden are: elements without text of their own by kind; the attribute ``hidden``; display none, by a style
+attribute or by a rule of the page's style sheets whose selector is made of names, classes and ids (of
+combinators the descendant one); visibility hidden, but for descendants that are visible again; the body
+of a closed ``details``. Rules inside @media and the like do not count."""
 
 from __future__ import annotations
 
 import re
+import unicodedata
 from html import unescape
 
 import pyarrow as pa
@@ -18,7 +25,7 @@ from pyspark.sql import functions as F
 # Element classes.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title xmp iframe noembed noframes plaintext".split())
-HIDDEN = frozenset("script style head title template noscript iframe object embed audio video canvas svg datalist noembed noframes meta link base param source track".split())
+HIDDEN = frozenset("script style head title template noscript iframe object embed audio video canvas datalist noembed noframes meta link base param source track".split())
 HEAD_ONLY = frozenset("base link meta title style script noscript template".split())
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol optgroup option p pre section summary table tbody td tfoot th thead tr ul caption".split())
 MARGIN = frozenset("blockquote dl figure h1 h2 h3 h4 h5 h6 ol p pre table ul menu dir fieldset hr".split())
@@ -45,7 +52,8 @@ _TOKEN = re.compile(r"<!--.*?(?:-->|--!>|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>
 _NAME = re.compile(r"</?([a-zA-Z][^\s/>]*)")
 _ATTR = re.compile(r"([^\s\"'>/=]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'=<>`]+)))?", re.S)
 _SPACE = re.compile(r"[ \t\n\r\f]+")
-_HIDE_STYLE = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse)|content-visibility\s*:\s*hidden)", re.I)
+_DECLARED = re.compile(r"(?:^|[;{])\s*(display|visibility|content-visibility)\s*:\s*([a-z-]+)\s*(!\s*important)?", re.I)
+_COMPOUND = re.compile(r"([a-z][\w-]*|\*)?((?:[.#][\w-]+)*)\Z", re.I)
 
 
 class Node:
@@ -81,7 +89,7 @@ def parse(html: str | None) -> Node:
     def text(s: str, raw: bool = False) -> None:
         if not s:
             return
-        if body is None and len(open_) == 1:
+        if body is None and (len(open_) == 1 or open_[-1] is head):
             if not s.strip(" \t\n\r\f"):
                 return
             into_body()
@@ -183,10 +191,133 @@ def hidden(node: Node) -> bool:
         or "hidden" in a and a["hidden"].lower() != "until-found"
         or node.name == "input"
         or node.name == "dialog" and "open" not in a
-        or bool("style" in a and _HIDE_STYLE.search(a["style"]))
     )
 
 
+def _declarations(css: str) -> dict[str, tuple[str, bool]]:
+    """Of display and visibility: value and whether important; the last one of equal rank."""
+    found: dict = {}
+    for name, value, important in _DECLARED.findall(css):
+        if important or not found.get(name.lower(), ("", False))[1]:
+            found[name.lower()] = (value.lower(), bool(important))
+    return found
+
+
+def style_rules(sheets: list[str]) -> dict[str, list]:
+    """Rules that say anything of display or visibility, by the last part's id, class or name: (parts,
+    specificity, order, declarations)."""
+    rules: dict[str, list] = {}
+    for sheet in sheets:
+        sheet = re.sub(r"/\*.*?(?:\*/|\Z)", " ", sheet, flags=re.S)
+        depth_free = re.sub(r"@[^{};]*(?:;|\{(?:[^{}]|\{[^{}]*\})*(?:\}|\Z))", " ", sheet)
+        for selectors, body in re.findall(r"([^{}]+)\{([^{}]*)(?:\}|\Z)", depth_free):
+            said = _declarations(body)
+            if not said:
+                continue
+            for selector in selectors.split(","):
+                parts = [_COMPOUND.match(x) for x in selector.split()]
+                if not parts or not all(parts):
+                    continue
+                parts = [((m[1] or "*").lower(), frozenset(re.findall(r"\.([\w-]+)", m[2])), frozenset(re.findall(r"#([\w-]+)", m[2]))) for m in parts]
+                rank = (sum(len(i) for *_, i in parts), sum(len(c) for _, c, _ in parts), sum(n != "*" for n, *_ in parts))
+                name, classes, ids = parts[-1]
+                at = f"#{min(ids)}" if ids else f".{min(classes)}" if classes else name
+                rules.setdefault(at, []).append((parts, rank, sum(map(len, rules.values())), said))
+    return rules
+
+
+def _meets(part, node: Node) -> bool:
+    name, classes, ids = part
+    return (name in ("*", node.name)) and classes <= set(node.attrs.get("class", "").split()) and ids <= {node.attrs.get("id")}
+
+
+def _styled(node: Node, above: list[Node], rules: dict) -> dict[str, str]:
+    """display and visibility that are declared for a node."""
+    won: dict[str, tuple] = {}
+    if rules:
+        keys = [f"#{node.attrs['id']}"] if "id" in node.attrs else []
+        for key in [*keys, *(f".{c}" for c in node.attrs.get("class", "").split()), node.name, "*"]:
+            for parts, rank, order, said in rules.get(key, ()):
+                if not _meets(parts[-1], node):
+                    continue
+                rest = len(parts) - 2
+                for up in reversed(above):
+                    if rest < 0:
+                        break
+                    rest -= _meets(parts[rest], up)
+                if rest >= 0:
+                    continue
+                for what, (value, important) in said.items():
+                    won[what] = max(won.get(what, ((False,),)), ((important, False, rank, order), value))
+    for what, (value, important) in _declarations(node.attrs.get("style", "")).items():
+        won[what] = max(won.get(what, ((False,),)), ((important, True, (0, 0, 0), 0), value))
+    return {what: value for what, (_, value) in won.items()}
+
+
+def visible(root: Node) -> Node:
+    """The tree without what is not seen. Nesting is followed to any depth by an own stack."""
+    sheets, todo = [], [root]
+    while todo:
+        node = todo.pop()
+        if node.name == "style":
+            sheets += [k for k in node.kids if isinstance(k, str)]
+        todo += [k for k in node.kids if isinstance(k, Node)]
+    rules = style_rules(sheets)
+    top = Node(root.name, root.attrs)
+    said = _styled(root, [], rules)
+    if hidden(root) or said.get("display") == "none":
+        return top
+    stack = [(root, top, said.get("visibility", "visible") not in ("hidden", "collapse"), 0)]
+    above: list[Node] = []
+    while stack:
+        node, new, seen, depth = stack.pop()
+        del above[depth:]
+        above.append(node)
+        closed, shown = node.name == "details" and "open" not in node.attrs, False
+        for kid in node.kids:
+            if isinstance(kid, str):
+                if seen and not closed and node.name != "svg":
+                    new.kids.append(kid)
+                continue
+            said = _styled(kid, above, rules) if rules or "style" in kid.attrs else {}
+            if said.get("display") == "none" or said.get("content-visibility") == "hidden":
+                continue
+            button = kid.name == "input" and kid.attrs.get("type", "").lower() in ("submit", "button", "reset") and "hidden" not in kid.attrs
+            if hidden(kid) and not button:
+                continue
+            if closed and (kid.name != "summary" or shown):
+                continue
+            shown = shown or closed
+            kept = seen if "visibility" not in said else said["visibility"] not in ("hidden", "collapse")
+            if kid.name in ("img", "input", "hr") and not kept:
+                continue
+            child = Node(kid.name, kid.attrs)
+            if button:
+                child = Node("span")
+                child.kids.append(kid.attrs.get("value", ""))
+                new.kids.append(child)
+                continue
+            if kid.name == "svg" and any(k for k in kid.kids):
+                new.kids += [" ", child, " "]
+                child.kids += [x for t in _svg_texts(kid) for x in (t, " ")] if kept else []
+                continue
+            new.kids.append(child)
+            stack.append((kid, child, kept, depth + 1))
+    return top
+
+
+def _svg_texts(node: Node) -> list[str]:
+    """Of a drawing what stands in its text elements."""
+    found, todo = [], [(node, False)]
+    while todo:
+        k, inside = todo.pop()
+        if isinstance(k, str):
+            found += [k] if inside and k.strip() else []
+        elif not hidden(k):
+            todo += [(x, inside or k.name == "text") for x in reversed(k.kids)]
+    return found
+
+
 class _Lines:
     """Lines being laid out: words flow into the last one, blocks begin new ones."""
 
@@ -233,7 +364,10 @@ class _Lines:
 
 
 def _width(s: str) -> int:
-    return len(s)
+    """Columns that a line takes: wide characters two, marks on others none."""
+    if s.isascii():
+        return len(s)
+    return sum(0 if unicodedata.combining(c) else 2 if unicodedata.east_asian_width(c) in "WF" else 1 for c in s)
 
 
 def _layout(node: Node, out: _Lines, pre: bool, depth: int) -> None:
@@ -258,10 +392,6 @@ def _layout(node: Node, out: _Lines, pre: bool, depth: int) -> None:
             else:
                 out.words(kid)
             continue
-        if hidden(kid):
-            if kid.name == "input" and kid.attrs.get("type", "").lower() in ("submit", "button", "reset") and "hidden" not in kid.attrs:
-                out.words(kid.attrs.get("value", ""))
-            continue
         name = kid.name
         if name == "br":
             _hard_line(out)
@@ -324,8 +454,6 @@ def _list(node: Node, depth: int) -> list[str]:
     for kid in node.kids:
         if isinstance(kid, str) and not kid.strip(" \t\n\r\f"):
             continue
-        if isinstance(kid, Node) and hidden(kid):
-            continue
         item = kid if isinstance(kid, Node) and kid.name == "li" else None
         if item is None:
             holder = Node("div")
@@ -349,11 +477,11 @@ def _rows(node: Node) -> tuple[list[list[Node]], list[Node]]:
         if isinstance(k, str):
             if k.strip(" \t\n\r\f"):
                 other.append(k)
-        elif hidden(k) or k.name in ("col", "colgroup"):
+        elif k.name in ("col", "colgroup"):
             continue
         elif k.name == "tr":
-            cells = [c for c in k.kids if isinstance(c, Node) and c.name in ("td", "th") and not hidden(c)]
-            other += [c for c in k.kids if (isinstance(c, str) and c.strip(" \t\n\r\f")) or (isinstance(c, Node) and c.name not in ("td", "th") and not hidden(c))]
+            cells = [c for c in k.kids if isinstance(c, Node) and c.name in ("td", "th")]
+            other += [c for c in k.kids if (isinstance(c, str) and c.strip(" \t\n\r\f")) or (isinstance(c, Node) and c.name not in ("td", "th"))]
             rows.append(cells)
         elif k.name in ("thead", "tbody", "tfoot"):
             todo[:0] = k.kids
@@ -362,14 +490,16 @@ def _rows(node: Node) -> tuple[list[list[Node]], list[Node]]:
     return rows, other
 
 
-def _span(cell: Node) -> int:
+def _span(cell: Node, name: str) -> int:
     try:
-        return min(1000, max(1, int(cell.attrs.get("colspan", "1"))))
+        return min(1000, max(0 if name == "rowspan" else 1, int(cell.attrs.get(name, "1"))))
     except ValueError:
         return 1
 
 
 def _table(node: Node, depth: int) -> list[str]:
+    """Cells in columns. A cell across rows keeps its columns free in the rows below and its text stands at
+    its first row, running on into them."""
     if depth >= 100:
         return _plain(node)
     rows, other = _rows(node)
@@ -378,43 +508,67 @@ def _table(node: Node, depth: int) -> list[str]:
         holder = Node("div")
         holder.kids.append(k)
         lines += _block(holder, depth)
-    grid = [[(_block(c, depth), _span(c)) for c in r] for r in rows]
-    widths: dict[int, int] = {}
-    for r in grid:
-        col = 0
-        for text, span in r:
-            if span == 1:
+    taken: dict[int, int] = {}  # column: rows below that a cell above still covers
+    grid, widths = [], {}
+    for r in rows:
+        col, placed = 0, []
+        for cell in r:
+            while taken.get(col, 0):
+                col += 1
+            across, down = _span(cell, "colspan"), _span(cell, "rowspan")
+            down = down or len(rows)  # zero: to the end
+            text = _block(cell, depth)
+            placed.append((col, across, text))
+            if across == 1:
                 widths[col] = max(widths.get(col, 0), max(map(_width, text), default=0))
-            col += span
-    for r in grid:
-        for i in range(max((len(text) for text, _ in r), default=0)):
-            col, parts = 0, []
-            for text, span in r:
-                room = sum(widths.get(c, 0) for c in range(col, col + span)) + 2 * (span - 1)
+            for c in range(col, col + across):
+                taken[c] = max(taken.get(c, 0), down)
+            col += across
+        taken = {c: n - 1 for c, n in taken.items() if n > 1}
+        grid.append(placed)
+    for placed in grid:
+        for i in range(max((len(text) for _, _, text in placed), default=0)):
+            line, at = "", 0
+            for col, across, text in placed:
+                if col > at:  # columns that cells above cover
+                    line += " " * sum(widths.get(c, 0) + 2 for c in range(at, col))
+                room = sum(widths.get(c, 0) for c in range(col, col + across)) + 2 * (across - 1)
                 cell = text[i] if i < len(text) else ""
-                parts.append(cell + " " * max(0, room - _width(cell)))
-                col += span
-            lines.append("  ".join(parts).rstrip(" "))
+                line += cell + " " * (max(0, room - _width(cell)) + 2)
+                at = col + across
+            lines.append(line.rstrip(" "))
     return lines
 
 
 def _plain(node: Node) -> list[str]:
-    """Text of a very deep part, without layout."""
-    words, todo = [], [node]
+    """Text of a very deep part: a line per block, cell and item, without columns and indentation."""
+    lines, flow, todo = [], [], [node]
+
+    def end() -> None:
+        line = _SPACE.sub(" ", "".join(flow)).strip()
+        lines.extend([line] if line else [])
+        flow.clear()
+
     while todo:
         k = todo.pop()
-        if isinstance(k, str):
-            words.append(_SPACE.sub(" ", k))
-        elif not hidden(k):
+        if k is None:
+            end()
+        elif isinstance(k, str):
+            flow.append(k)
+        elif k.name in BLOCK or k.name == "br":
+            end()
+            todo.append(None)
             todo += reversed(k.kids)
-    text = _SPACE.sub(" ", "".join(words)).strip()
-    return [text] if text else []
+        else:
+            flow.append(k.attrs.get("alt", "") if k.name == "img" else "")
+            todo += reversed(k.kids)
+    end()
+    return lines
 
 
 def render(html: str | None) -> str:
     """The visible text of a page, laid out. Null or empty: empty."""
-    root = parse(html)
-    return "\n".join(_block(root, 0)) if not hidden(root) else ""
+    return "\n".join(_block(visible(parse(html)), 0))
 
 
 def title(html: str | None) -> str:
@@ -425,9 +579,9 @@ def title(html: str | None) -> str:
 
 def extract(pages: DataFrame, html: str = "html", keep: list[str] | None = None) -> DataFrame:
     """``keep`` (all columns but ``html`` by default), title and text of every page. Null and empty
-    pages have empty title and text. Repeated rows give equal rows. Columns named title or text are
-    replaced. An empty table gives an empty result."""
-    keep = [c for c in (pages.columns if keep is None else keep) if c not in (html, "title", "text")]
+    pages have empty title and text; pages are read whole, of any length and nesting. Repeated rows give
+    equal rows. Columns named title or text, in any case, are replaced. An empty table gives an empty result."""
+    keep = [c for c in (pages.columns if keep is None else keep) if c.lower() not in (html.lower(), "title", "text")]
     part = pages.select(*(F.col(f"`{c}`") for c in keep), F.col(f"`{html}`").alias("__html"))
     schema = part.drop("__html").withColumn("title", F.lit("")).withColumn("text", F.lit("")).schema
 
