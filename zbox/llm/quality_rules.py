@@ -17,27 +17,68 @@ from pyspark.sql import functions as F
 
 from .common import WORD, free_name, words
 
-# Page furniture, lower case.
-BOILERPLATE_PHRASES = (
-    "accept cookies",
-    "all rights reserved",
-    "back to top",
-    "click here",
-    "cookie policy",
-    "enable javascript",
-    "follow us on",
-    "log in to",
-    "lorem ipsum",
-    "powered by",
-    "privacy policy",
-    "read more",
-    "share this",
-    "sign up for",
-    "skip to content",
-    "subscribe to",
-    "terms of service",
-    "terms of use",
-)
+# Page furniture by language, lower case.
+BOILERPLATE = {
+    "en": (
+        "accept cookies",
+        "all rights reserved",
+        "back to top",
+        "click here",
+        "cookie policy",
+        "enable javascript",
+        "follow us on",
+        "log in to",
+        "lorem ipsum",
+        "powered by",
+        "privacy policy",
+        "read more",
+        "share this",
+        "sign up for",
+        "skip to content",
+        "subscribe to",
+        "terms of service",
+        "terms of use",
+    ),
+    "de": (
+        "alle rechte vorbehalten",
+        "cookies akzeptieren",
+        "datenschutzerklärung",
+        "folgen sie uns",
+        "hier klicken",
+        "jetzt anmelden",
+        "mehr lesen",
+        "nach oben",
+        "newsletter abonnieren",
+        "nutzungsbedingungen",
+        "zum inhalt springen",
+    ),
+    "es": (
+        "aceptar cookies",
+        "haga clic aquí",
+        "ir al contenido",
+        "leer más",
+        "política de cookies",
+        "política de privacidad",
+        "síguenos en",
+        "suscríbete a",
+        "todos los derechos reservados",
+        "términos de uso",
+        "volver arriba",
+    ),
+    "fr": (
+        "accepter les cookies",
+        "aller au contenu",
+        "cliquez ici",
+        "conditions d'utilisation",
+        "haut de page",
+        "inscrivez-vous à",
+        "lire la suite",
+        "politique de confidentialité",
+        "suivez-nous sur",
+        "tous droits réservés",
+    ),
+}
+BOILERPLATE_PHRASES = tuple(x for phrases in BOILERPLATE.values() for x in phrases)
 
 
 @dataclass(frozen=True)
@@ -68,7 +109,7 @@ def _line_failure(line: Column, n: Column, rules: LineRules) -> Column:
     shouts = F.regexp_count(line, F.lit(r"[!?]{2,}"))
     bars = F.regexp_count(line, F.lit(r"(?:^|[\x20\x09-\x0D])(?:[|\x{00BB}\x{203A}\x{2022}\x{00B7}>/-])(?=[\x20\x09-\x0D]|$)"))
     distinct = F.size(F.array_distinct(F.regexp_extract_all(line, F.lit(WORD), F.lit(0))))
-    phrases = F.lit("(?i)(?:" + "|".join(BOILERPLATE_PHRASES) + ")")
+    phrases = F.lit("(?iu)(?:" + "|".join(BOILERPLATE_PHRASES) + ")")
     return (
         F.when(n == 0, F.lit(None).cast("string"))
         .when((bars >= rules.min_separators) & (bars * 100 > n * rules.max_separators_pct), F.lit("navigation"))
@@ -120,8 +161,8 @@ def clean_lines(docs: DataFrame, text: str = "text", rules: LineRules = LineRule
     clean_text (the lines that passed, blank ones stay).
 
     Null text: no words, so base_failed; clean_text is empty. Empty text and text of white space:
-    the same. Columns of ``docs`` by these names are replaced. Repeated rows are judged alike, an
-    empty table gives an empty table."""
+    the same. Whole texts are judged, of any length. Columns of ``docs`` by these names, in any case, are
+    replaced. Null ids are carried. Repeated rows are judged alike, an empty table gives an empty table."""
     keep = [c for c in docs.columns if c.lower() not in {"n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "lost_words", "failed_lines", "kept", "clean_text"}]
     docs = docs.select(*(F.col(f"`{c}`") for c in keep))
     t, w, j = (free_name(docs, x) for x in ("_t", "_w", "_j"))

@@ -10,7 +10,7 @@ from .common import fold_bucket, read_table
 
 
 def op1_line_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    cols = ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "lost_words")
+    cols = ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "lost_words", "clean_text")
     return quality_rules.clean_lines(read_table(spark, sf_dir, "documents").select("doc_id", "text")).select(*cols)
 
 
@@ -76,7 +76,7 @@ def queries() -> dict:
     return {"pipeline": pipeline, "op1_line_rules": op1_line_rules, "op2_license_scan": op2_license_scan, "op3_best_fit_packing": op3_best_fit_packing, "op4_posting_lists": op4_posting_lists, "op5_quality_mil": op5_quality_mil, "op6_simhash": op6_simhash, "op7_log_bilinear": op7_log_bilinear, "op8_source_mixing": op8_source_mixing, "op9_pii_surrogates": op9_pii_surrogates, "op10_html_layout": op10_html_layout}
 
 
-_PHRASES = "|".join(quality_rules.BOILERPLATE_PHRASES)
+_PHRASES = "|".join(quality_rules.BOILERPLATE_PHRASES).replace("'", "''")
 
 OP1_SQL = rf"""
 WITH d AS (
@@ -90,9 +90,10 @@ WITH d AS (
 ), covered AS (
   SELECT rid, count(DISTINCT p) AS n FROM (SELECT rid, unnest([i, i + 1, i + 2]) AS p FROM repeats) GROUP BY rid
 ), lines AS (
-  SELECT rid, l, regexp_extract_all(l, '[^\x20\x09-\x0D]+') AS w FROM (SELECT rid, unnest(string_split(t, chr(10))) AS l FROM d)
+  SELECT rid, l, place, regexp_extract_all(l, '[^\x20\x09-\x0D]+') AS w
+  FROM (SELECT rid, unnest(string_split(t, chr(10))) AS l, generate_subscripts(string_split(t, chr(10)), 1) AS place FROM d)
 ), judged AS (
-  SELECT rid, l, len(w) AS n, CASE
+  SELECT rid, l, place, len(w) AS n, CASE
       WHEN len(w) = 0 THEN false
       WHEN len(list_filter(w, lambda x: x IN ('|', '»', '›', '•', '·', '>', '/', '-'))) >= 3
        AND len(list_filter(w, lambda x: x IN ('|', '»', '›', '•', '·', '>', '/', '-'))) * 100 > len(w) * 20 THEN true
@@ -104,7 +105,8 @@ WITH d AS (
       ELSE false END AS failed
   FROM lines
 ), per AS (
-  SELECT rid, count(*) FILTER (n > 0) - count(DISTINCT l) FILTER (n > 0) AS n_dup_lines, coalesce(sum(n) FILTER (failed), 0) AS lost_words
+  SELECT rid, count(*) FILTER (n > 0) - count(DISTINCT l) FILTER (n > 0) AS n_dup_lines, coalesce(sum(n) FILTER (failed), 0) AS lost_words,
+         coalesce(string_agg(l, chr(10) ORDER BY place) FILTER (NOT failed), '') AS clean_text
   FROM judged GROUP BY rid
 )
 SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words,
@@ -113,7 +115,7 @@ SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words,
        CAST(n_dup_lines AS BIGINT) AS n_dup_lines, CAST(coalesce(c.n, 0) AS BIGINT) AS n_repeat_words,
        len(w) < 50 OR 100 * coalesce(c.n, 0) > 50 * len(w) AS base_failed,
        NOT (len(w) < 50 OR 100 * coalesce(c.n, 0) > 50 * len(w)) AND lost_words * 100 <= len(w) * 50 AS kept,
-       CAST(lost_words AS BIGINT) AS lost_words
+       CAST(lost_words AS BIGINT) AS lost_words, clean_text
 FROM d LEFT JOIN covered c USING (rid) JOIN per USING (rid)
 """
 
