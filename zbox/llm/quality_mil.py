@@ -17,8 +17,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from .common import fold_bucket
+from .common import fold_bucket, materialize
 
 PASSAGE_WORDS = 96
 BUCKETS = 32
@@ -91,7 +92,7 @@ class AttentionMil:
         logit = np.clip(z @ p["c"] + p["d"][0], -30, 30)
         return h, t, s, w, z, 1 / (1 + np.exp(-logit))
 
-    def fit(self, bags: list[np.ndarray], labels: np.ndarray, steps: int = 240, rate: float = 0.02, decay: float = 1e-4) -> AttentionMil:
+    def fit(self, bags: list[np.ndarray], labels: np.ndarray, steps: int = 400, rate: float = 0.02, decay: float = 1e-4) -> AttentionMil:
         """No labels, or labels of one kind: every score is the prior (one half without labels)."""
         y = np.asarray(labels, dtype=np.float64)
         if len(y):
@@ -136,9 +137,10 @@ class AttentionMil:
         return self._forward(x, np.concatenate([[0], np.cumsum(counts)[:-1]]), counts, self.p)[-1].astype(np.float64)
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, id_col: str, text: str, label: str, folds: int, max_docs: int) -> tuple[list[np.ndarray], np.ndarray]:
+def labelled_sample(docs: DataFrame, labels: DataFrame, id_col: str, text: str, label: str, folds: int, max_docs: int, max_passages: int) -> tuple[list[np.ndarray], np.ndarray]:
     """Encoded passages and labels of about ``max_docs`` labelled documents outside fold 0, the ones
-    of least hash. Labels that are null or contradict each other are left out."""
+    of least hash, as far as they have ``max_passages`` in all: so much the driver may hold, however long the
+    texts. Labels that are null or contradict each other are left out."""
     pure = labels.select(F.col(id_col).alias("id"), F.col(label).cast("int").alias("y")).filter("id is not null and y is not null")
     pure = pure.filter(fold_bucket(F.col("id"), folds) != 0).groupBy("id").agg(F.min("y").alias("y"), F.max("y").alias("y2")).filter("y = y2").select("id", "y")
     n = pure.count()
@@ -152,21 +154,35 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, id_col: str, text: str,
 
     def run(batches):
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([encode(x.as_py()).tobytes() for x in b.column(2)], pa.binary())], names=["id", "y", "x"])
-
-    rows = part.mapInArrow(run, "id bigint, y int, x binary").collect()
+            for at in range(0, b.num_rows, 256):
+                some = b.slice(at, 256)
+                yield pa.RecordBatch.from_arrays([some.column(0), some.column(1), pa.array([encode(x.as_py()).tobytes() for x in some.column(2)], pa.binary())], names=["id", "y", "x"])
+
+    rows = materialize(part.mapInArrow(run, "id bigint, y int, x binary"))
+    # about max_docs rows, of which only the lengths are ordered in one task
+    sizes = rows.select("id", (F.length("x") / (4 * WIDTH)).cast("bigint").alias("n")).groupBy("id").agg(F.sum("n").alias("n"))
+    upto = F.sum("n").over(Window.orderBy(F.xxhash64("id"), "id").rowsBetween(Window.unboundedPreceding, 0))
+    fits = sizes.withColumn("upto", upto).filter(F.col("upto") <= max_passages).select("id")
+    rows = rows.join(fits, "id", "left_semi").select("id", "y", "x").collect()
     rows.sort(key=lambda r: (r["id"], bytes(r["x"])))
     return [np.frombuffer(bytes(r["x"]), dtype=np.float32).reshape(-1, WIDTH) for r in rows], np.array([r["y"] for r in rows])
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", folds: int = 5, max_docs: int = 4000) -> AttentionMil:
-    return AttentionMil().fit(*labelled_sample(docs, labels, id_col, text, label, folds, max_docs))
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", folds: int = 5, max_docs: int = 4000, max_passages: int = 60_000) -> AttentionMil:
+    """The classifier of ``labels`` (id_col, label), learnt from a bounded sample of the labelled documents
+    outside fold 0 (``max_docs``, ``max_passages``).
+
+    A document without label, a label without document, null ids and labels and ids with both labels teach
+    nothing; null and empty texts are one empty passage; rows repeated in id count as often as they stand.
+    Without labels, or with labels of one kind, every score is the prior. Other columns are not read."""
+    return AttentionMil().fit(*labelled_sample(docs, labels, id_col, text, label, folds, max_docs, max_passages))
 
 
 def add_score(docs: DataFrame, model: AttentionMil, text: str = "text", keep: list[str] | None = None, out: str = "score") -> DataFrame:
     """``keep`` (all columns by default) and ``out``: the score, 0 to 1, of every whole text. Null and
-    empty texts are one empty passage. Repeated rows score alike. A column named ``out`` is replaced."""
-    keep = [c for c in (docs.columns if keep is None else keep) if c != out]
+    empty texts are one empty passage; long texts are read whole. Repeated rows score alike, null ids are
+    carried. A column named ``out``, in any case, is replaced. An empty table gives an empty result."""
+    keep = [c for c in (docs.columns if keep is None else keep) if c.lower() != out.lower()]
     part = docs.select(*(F.col(f"`{c}`") for c in keep), F.col(f"`{text}`").alias("__text"))
     schema = part.drop("__text").withColumn(out, F.lit(0.0)).schema
 
