@@ -10,7 +10,7 @@ from zbox.baselines.indices import IndependentIndex, MedianSplitIndex, MultiColu
 from zbox.box import Box
 from zbox.functions import curve
 from zbox.operators import boxes as B
-from zbox.operators.joins import levels_of, pieces_join, with_prefixes
+from zbox.operators.joins import level_of, level_of_table, opened_at, pieces_join
 from zbox.plans.strategy import STRATEGIES, choose, choose_threshold
 from zbox.refine import refine
 from zbox.sources import ztable as Z
@@ -90,8 +90,9 @@ def test_refine_boxes_empty_and_null(spark):
 def test_levels_agree(spark):
     pieces = [(0, 0), (5, 300), (1000, 1 << 40), ((1 << 62), (1 << 62) + 70_000)]
     df = spark.createDataFrame([(0, k, a, b) for k, (a, b) in enumerate(pieces)], B.PIECES)
-    opened = with_prefixes(df)
-    assert levels_of(pieces) == (sorted({r.level for r in opened.select("level").distinct().collect()}), opened.count())
+    level, n = level_of(pieces)
+    assert level_of_table(df) == (level, n) and opened_at(df, level).count() == n <= max(16 * len(pieces), 4096)
+    assert level_of_table(df.limit(0)) is None
 
 
 def test_join_plans(spark):
@@ -180,7 +181,7 @@ def test_stream_drops_late_rows_and_appends_to_a_table(spark, tmp_path):
         df.select("box_id", "c1", "c2", F.to_timestamp("t").alias("ts")).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
         time.sleep(1.1)  # files are taken in order of time
     stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
-    hits = S.run_once(S.windowed_hits(stream, "ts", "1 hour", delay="1 hour"), "late_hits").collect()
+    hits = S.run_once(S.windowed_hits(stream, "ts", "1 hour", delay="1 hour")).collect()
     assert {(r.start.hour, r.hits) for r in hits} == {(0, 1), (5, 1), (9, 1)}  # 00:06 came after its window had closed; Spark sifts late rows by the watermark of the batch before
     S.append_to_z_table(stream.drop("ts"), spec, str(tmp_path / "z"), str(tmp_path / "c")).awaitTermination()
     table = Z.ZTable.open(spark, str(tmp_path / "z"))

@@ -6,10 +6,10 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from zbox.box import Box
 from zbox.functions.curve import in_box
+from zbox.sources.scratch import scratch
 
 
 def full_scan(df: DataFrame, cols: list[str], box: Box) -> DataFrame:
@@ -92,13 +92,14 @@ class LeafIndex:
         return out.select(*columns) if columns else out
 
     @classmethod
-    def _of(cls, leafed: DataFrame, cols: list[str], path: str | None, files: int) -> LeafIndex:
-        if path:
-            leafed.repartitionByRange(files, "leaf").sortWithinPartitions("leaf").write.mode("overwrite").parquet(path)
-            leafed = leafed.sparkSession.read.parquet(path)
+    def _of(cls, leafed: DataFrame, cols: list[str], path: str, files: int) -> LeafIndex:
+        spark = leafed.sparkSession
+        leafed.repartitionByRange(files, "leaf").sortWithinPartitions("leaf").write.mode("overwrite").parquet(f"{path}/rows")
+        leafed = spark.read.parquet(f"{path}/rows")
         ends = lambda f: F.array(*(f(c).cast("bigint") for c in cols))
         directory = leafed.groupBy("leaf").agg(ends(F.min).alias("lo"), ends(F.max).alias("hi"), F.count("*").alias("rows"))
-        return cls(leafed, cols, directory, path)
+        directory.coalesce(1).write.mode("overwrite").parquet(f"{path}/directory")
+        return cls(leafed, cols, spark.read.parquet(f"{path}/directory"), path)
 
 
 class PackedRectIndex(LeafIndex):
@@ -107,10 +108,11 @@ class PackedRectIndex(LeafIndex):
 
     @classmethod
     def build(cls, df: DataFrame, cols: list[str], leaf_rows: int = 5_000, path: str | None = None, files: int = 8) -> LeafIndex:
+        path = path or scratch(df.sparkSession, "rect")
         parts = max(1, round((df.count() / leaf_rows) ** (1 / len(cols))))
         out = df.withColumn("leaf", F.lit(0).cast("bigint"))
-        for c in cols:
-            out = _split_by_quantiles(out, c, parts)
+        for level, c in enumerate(cols):
+            out = _split_by_quantiles(out, c, parts, parts**level, f"{path}/level{level}")
         return cls._of(out, cols, path, files)
 
 
@@ -119,23 +121,25 @@ class MedianSplitIndex(LeafIndex):
 
     @classmethod
     def build(cls, df: DataFrame, cols: list[str], depth: int = 6, path: str | None = None, files: int = 8) -> LeafIndex:
+        path = path or scratch(df.sparkSession, "median")
         out = df.withColumn("leaf", F.lit(0).cast("bigint"))
         for level in range(depth):
-            out = _split_by_quantiles(out, cols[level % len(cols)], 2)
+            out = _split_by_quantiles(out, cols[level % len(cols)], 2, 2**level, f"{path}/level{level}")
         return cls._of(out, cols, path, files)
 
 
-def _split_by_quantiles(df: DataFrame, c: str, parts: int) -> DataFrame:
-    """leaf * parts + the number of that leaf's quantiles of c that lie below the row."""
+MAX_BROADCAST_LEAVES = 100_000
+
+
+def _split_by_quantiles(df: DataFrame, c: str, parts: int, leaves: int, path: str) -> DataFrame:
+    """leaf * parts + the number of that leaf's quantiles of c that lie below the row. The cuts, a row for
+    each of at most ``leaves`` leaves, are written, so that rows are read once more and joined to them
+    without being shuffled."""
     if parts == 1:
         return df
     at = [k / parts for k in range(1, parts)]
-    cuts = df.groupBy("leaf").agg(F.percentile_approx(c, at, 10_000).alias("__q"))
-    joined = df.join(cuts, "leaf")
+    df.groupBy("leaf").agg(F.percentile_approx(c, at, 10_000).alias("__q")).coalesce(1).write.mode("overwrite").parquet(path)
+    cuts = df.sparkSession.read.parquet(path)
+    joined = df.join(F.broadcast(cuts) if leaves <= MAX_BROADCAST_LEAVES else cuts, "leaf")
     below = F.aggregate("__q", F.lit(0).cast("bigint"), lambda a, q: a + F.when(F.col(c) > q, 1).otherwise(0))
     return joined.withColumn("leaf", F.col("leaf") * parts + F.coalesce(below, F.lit(0))).drop("__q")
-
-
-def ntile_leaves(df: DataFrame, z: str, n: int) -> DataFrame:
-    """Leaves of equal numbers of rows in key order; an exact ranking, for small tables."""
-    return df.withColumn("leaf", F.ntile(n).over(Window.orderBy(z)))

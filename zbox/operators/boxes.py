@@ -12,6 +12,7 @@ from pyspark.sql.window import Window
 
 from zbox.box import Box
 from zbox.functions.curve import z_encode
+from zbox.leaps import inside
 from zbox.refine import refine
 from zbox.spec import ZSpec
 from zbox.widen import face_costs, widen
@@ -82,6 +83,18 @@ def face_cost_table(boxes: DataFrame, spec: ZSpec) -> DataFrame:
     return _per_box(boxes, "box_id bigint, dim int, side string, face_num bigint, shift int", lambda b: [(c.dim + 1, c.side, c.num, c.shift) for c in face_costs(b, spec)])
 
 
+def leap_table(boxes: DataFrame, spec: ZSpec, leaps: list, col: str) -> DataFrame:
+    """(box_id, z, col0, ...): every key of the grid outside the box (of ``leap_in``), or inside it before its
+    last (of ``leap_out``), and what each function gives for it. For small grids."""
+
+    def make(b: Box):
+        zs, ze = b.envelope(spec)
+        keys = range(spec.full + 1) if col == "leap_in" else range(zs, ze)
+        return [(z, *(f(z, zs, ze, spec) for f in leaps)) for z in keys if inside(z, zs, ze, spec) == (col == "leap_out")]
+
+    return _per_box(boxes, ", ".join(["box_id bigint", "z bigint", *(f"{col}{k} bigint" for k in range(len(leaps)))]), make)
+
+
 def widen_boxes(boxes: DataFrame, spec: ZSpec, threshold: float = 500) -> DataFrame:
     """(box_id, lo, hi, steps, total): every box widened under the threshold."""
     flat = ", ".join(["box_id bigint"] + [f"{e}{d} bigint" for e in ("lo", "hi") for d in range(spec.m)] + ["steps int", "total double"])
@@ -117,6 +130,21 @@ def merge_pieces(pieces: DataFrame) -> DataFrame:
     return runs.select("box_id", (F.col("run") - 1).cast("int").alias("piece"), "z_lo", "z_hi")
 
 
+def intersect_pieces(a: DataFrame, b: DataFrame, key: str) -> DataFrame:
+    """(key, z_lo, z_hi): what two tables of pieces share. Pieces of one key and side are disjoint, so a sweep
+    over the ends tells where both are open; no pairs are made."""
+    ends = None
+    for side in (a, b):
+        for at in (side.select(key, F.col("z_lo").alias("at"), F.lit(1).alias("step")), side.select(key, (F.col("z_hi") + 1).alias("at"), F.lit(-1).alias("step"))):
+            ends = at if ends is None else ends.unionByName(at)
+    ends = ends.groupBy(key, "at").agg(F.sum("step").alias("step"))
+    along = Window.partitionBy(key).orderBy("at")
+    open_ = F.sum("step").over(along.rowsBetween(Window.unboundedPreceding, 0))
+    swept = ends.withColumns({"open": open_, "next": F.lead("at").over(along)})
+    both = swept.filter("open = 2").select(key, F.col("at").alias("z_lo"), (F.col("next") - 1).alias("z_hi"))
+    return both
+
+
 def refine_prefix_tree(boxes: DataFrame, spec: ZSpec, max_depth: int | None = None) -> DataFrame:
     """Pieces by splitting cells level by level in DataFrame operations: cells within the box are kept,
     cells across its border split in 2**m, others dropped. Stopping at ``max_depth`` keeps border cells

@@ -1,33 +1,42 @@
 """Joining rows to the pieces of many boxes.
 
-Pieces are opened into the prefixes they touch and joined to rows on (level, prefix), then checked by
-range: an equi-join whose work does not grow with the number of pieces. A piece's level follows from
-its length, so it opens into at most 2**STEP + 1 prefixes. The piece side is broadcast only if it is
-counted and found small; else it is shuffled."""
+All pieces are opened into the prefixes they touch at one level, and rows are joined by their prefix at that
+level, then checked by range: an equi-join that makes no row twice before the join, whose work does not
+grow with the number of pieces. The level is the finest at which the opened pieces stay few. The piece side
+is broadcast only if it is counted and found small; else it is shuffled."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-STEP = 4
+STEP = 3
+LEVELS = tuple(range(0, 63, STEP))
 MAX_BROADCAST_PREFIXES = 1_000_000
 
 
-def with_prefixes(pieces: DataFrame) -> DataFrame:
-    """pieces with level and prefix: a row per prefix that a piece touches."""
-    span = F.col("z_hi") - F.col("z_lo") + 1
-    level = (F.floor((F.length(F.bin(span)) - 1) / STEP) * STEP).cast("int")
-    out = pieces.withColumn("level", level)
-    shift = lambda c: F.expr(f"shiftrightunsigned({c}, level)")
-    return out.withColumn("prefix", F.explode(F.sequence(shift("z_lo"), shift("z_hi"))))
+def opened_at(pieces: DataFrame, level: int) -> DataFrame:
+    """pieces with prefix: a row per prefix of ``level`` that a piece touches."""
+    return pieces.withColumn("prefix", F.explode(F.sequence(F.shiftrightunsigned("z_lo", level), F.shiftrightunsigned("z_hi", level))))
 
 
-def levels_of(pieces: list[tuple[int, int]]) -> tuple[list[int], int]:
-    """Levels of pieces at hand, and how many prefixes they open into."""
-    at = [(b - a + 1).bit_length() - 1 for a, b in pieces]
-    at = [k // STEP * STEP for k in at]
-    return sorted(set(at)), sum((b >> k) - (a >> k) + 1 for (a, b), k in zip(pieces, at, strict=True))
+def finest_level(opened: list[int], pieces: int) -> tuple[int, int]:
+    """(level, prefixes): the finest level at which ``pieces`` open into 16 prefixes each on average at most
+    (or 4,096 in all). ``opened``: prefixes by level."""
+    most = max(16 * pieces, 4096)
+    return next((k, n) for k, n in zip(LEVELS, opened, strict=True) if n <= most or k == LEVELS[-1])
+
+
+def level_of(pieces: list[tuple[int, int]]) -> tuple[int, int]:
+    """The same of pieces at hand."""
+    return finest_level([sum((b >> k) - (a >> k) + 1 for a, b in pieces) for k in LEVELS], len(pieces))
+
+
+def level_of_table(pieces: DataFrame) -> tuple[int, int] | None:
+    """The same of a table, by one aggregate; None without pieces."""
+    n = [F.sum((F.shiftrightunsigned("z_hi", k) - F.shiftrightunsigned("z_lo", k) + 1).cast("decimal(38,0)")) for k in LEVELS]
+    got = pieces.agg(F.count("*"), *n).first()
+    return finest_level([int(x) for x in got[1:]], got[0]) if got[0] else None
 
 
 def pieces_join(rows: DataFrame, pieces: DataFrame, z: str = "z", hint: str | None = None, known: list[tuple[int, int]] | None = None) -> DataFrame:
@@ -36,24 +45,16 @@ def pieces_join(rows: DataFrame, pieces: DataFrame, z: str = "z", hint: str | No
     ``hint``: broadcast, merge, shuffle_hash, or 'nested' for the plain range join; by default
     broadcast if the opened pieces are few enough. ``known``: the pieces themselves, where the driver has
     them; it saves a job that counts them."""
+    within = (F.col(z) >= F.col("z_lo")) & (F.col(z) <= F.col("z_hi"))
     if hint == "nested":
-        return rows.join(pieces, (F.col(z) >= F.col("z_lo")) & (F.col(z) <= F.col("z_hi")))
-    opened = with_prefixes(pieces)
-    if known is not None:
-        levels, n = levels_of(known)
-    else:
-        stats = opened.groupBy("level").agg(F.count("*").alias("n")).collect()  # a row per level: at most 16
-        levels, n = sorted(r["level"] for r in stats), sum(r["n"] for r in stats)
-    if not levels:
+        return rows.join(pieces, within)
+    at = (level_of(known) if known else None) if known is not None else level_of_table(pieces)
+    if at is None:
         return rows.join(pieces.limit(0), F.col(z) == F.col("z_lo"))
+    level, n = at
     hint = hint or ("broadcast" if n <= MAX_BROADCAST_PREFIXES else "merge")
-    if len(levels) == 1:
-        own = rows.withColumn("level", F.lit(levels[0])).withColumn("prefix", F.shiftrightunsigned(F.col(z), levels[0]))
-    else:
-        entry = F.array(*(F.struct(F.lit(k).alias("level"), F.shiftrightunsigned(F.col(z), k).alias("prefix")) for k in levels))
-        own = rows.withColumn("__e", F.explode(entry)).withColumns({"level": F.col("__e.level"), "prefix": F.col("__e.prefix")}).drop("__e")
-    joined = own.join(opened.hint(hint), ["level", "prefix"])
-    return joined.filter((F.col(z) >= F.col("z_lo")) & (F.col(z) <= F.col("z_hi"))).drop("level", "prefix")
+    own = rows.withColumn("prefix", F.shiftrightunsigned(F.col(z), level))
+    return own.join(opened_at(pieces, level).hint(hint), "prefix").filter(within).drop("prefix")
 
 
 def asof_join(left: DataFrame, right: DataFrame, on: list[str], time: str, value: list[str], suffix: str = "_prev") -> DataFrame:

@@ -11,7 +11,7 @@ from pyspark.sql.window import Window
 from zbox import workload as W
 from zbox.baselines.indices import IndependentIndex, MedianSplitIndex, MultiColumnIndex, PackedRectIndex, full_scan
 from zbox.functions import curve
-from zbox.leaps import LEAPS_IN, LEAPS_OUT, inside
+from zbox.leaps import LEAPS_IN, LEAPS_OUT
 from zbox.operators import boxes as B
 from zbox.operators.joins import asof_join, interval_pairs, pieces_join
 from zbox.refine import refine
@@ -130,6 +130,9 @@ for _name, _method, _grid in (
 ):
     _run = lambda spark, sf, k=_method, m=_grid: B.refine_boxes(B.make_boxes(spark, 40, m, {2: 21, 3: 7}[m], {2: 6, 3: 4}[m]), ZSpec.grid(m, {2: 6, 3: 4}[m]), k)
     add(_name, _run, _P2 if _grid == 2 else _P3)
+for _m, _bits, _side in ((4, 3, 4), (5, 2, 2), (6, 2, 2)):
+    for _method in ("exact", "scan"):
+        add(f"refine_{_method}_{_m}d", lambda spark, sf, m=_m, b=_bits, s=_side, k=_method: B.refine_boxes(B.make_boxes(spark, 12, m, s, b), ZSpec.grid(m, b), k), f"WITH {pieces_sql(_m, _bits, _side, 12)} SELECT * FROM x")
 add("refine_prefix_tree_2d", lambda spark, sf: B.refine_prefix_tree(B.make_boxes(spark, 40, 2, 21, 6), ZSpec.grid(2, 6)), _P2)
 add("refine_prefix_tree_3d", lambda spark, sf: B.refine_prefix_tree(B.make_boxes(spark, 40, 3, 7, 4), ZSpec.grid(3, 4)), _P3)
 
@@ -165,14 +168,7 @@ for _method in ("published", "published_one_bits", "widened"):
 
 
 def leap_table(spark, sf, leaps, col):
-    spec, rows = ZSpec.grid(2, 5), []
-    for i in range(12):
-        zs, ze = B.box_of(i, 2, 11, 5).envelope(spec)
-        for z in range(1 << 10):
-            if inside(z, zs, ze, spec) == (col == "leap_out") and (col == "leap_in" or z < ze):
-                rows.append((i, z, *(f(z, zs, ze, spec) for f in leaps)))
-    names = ", ".join(f"{col}{k} bigint" for k in range(len(leaps)))
-    return spark.createDataFrame(rows, f"box_id bigint, z bigint, {names}")
+    return B.leap_table(B.make_boxes(spark, 12, 2, 11, 5), ZSpec.grid(2, 5), leaps, col)
 
 
 _ALL = f"{grid_sql(2, 5, 11, 12)}, k AS (SELECT *, unnest(range(0, 1024)) AS z FROM e), n AS (SELECT *, {inside_sql('z', 2, 5)} AS inn FROM k)"
@@ -180,7 +176,25 @@ add("leap_in_table", lambda spark, sf: leap_table(spark, sf, list(LEAPS_IN.value
     f"WITH {_ALL}, o AS (SELECT box_id, z, inn, min(CASE WHEN inn THEN z END) OVER (PARTITION BY box_id ORDER BY z ROWS BETWEEN 1 FOLLOWING AND UNBOUNDED FOLLOWING) AS nxt FROM n) SELECT box_id, z, nxt AS leap_in0, nxt AS leap_in1, nxt AS leap_in2 FROM o WHERE NOT inn")
 add("leap_out_table", lambda spark, sf: leap_table(spark, sf, [LEAPS_OUT["exact"]], "leap_out"),
     f"WITH {_ALL}, o AS (SELECT box_id, z, ze, inn, min(CASE WHEN NOT inn THEN z END) OVER (PARTITION BY box_id ORDER BY z ROWS BETWEEN 1 FOLLOWING AND UNBOUNDED FOLLOWING) AS nxt FROM n) SELECT box_id, z, CASE WHEN nxt < ze THEN nxt END AS leap_out0 FROM o WHERE inn AND z < ze")
-add("leap_out_published", lambda spark, sf: leap_table(spark, sf, [LEAPS_OUT["published"], LEAPS_OUT["published_one_bits"]], "leap_out"))
+
+
+def _published_sql() -> str:
+    """Slides set one coordinate past the box; of the cells that start after a bit the rule takes, the first
+    outside before the least slide."""
+    c = [W.decode_sql("z", d, 2, 5) for d in range(2)]
+    slides = [f"CASE WHEN z{d} < 31 THEN {W.encode_sql([f'(z{d} + 1)' if j == d else c[j] for j in range(2)], 5)} END" for d in range(2)]
+    start = "((z >> b) + 1) << b"
+    at = " AND ".join(f"{W.decode_sql('s', d, 2, 5)} BETWEEN a{d} AND z{d}" for d in range(2))
+    exits = ", ".join(f"min(CASE WHEN taken = {t} AND s < slide AND NOT ({at}) THEN s END) AS e{k}" for k, t in enumerate((0, 1)))
+    return (
+        f"WITH {_ALL}, i AS (SELECT *, least(ze, {slides[0]}, {slides[1]}) AS slide FROM n WHERE inn AND z < ze), "
+        f"s AS (SELECT *, {start} AS s, (z >> b) & 1 AS taken FROM i, (SELECT CAST(unnest(range(1, 10)) AS INTEGER) AS b) t), "
+        f"m AS (SELECT box_id, z, any_value(ze) AS ze, any_value(slide) AS slide, {exits} FROM s GROUP BY box_id, z) "
+        "SELECT box_id, z, CASE WHEN coalesce(e0, slide) < ze THEN coalesce(e0, slide) END AS leap_out0, CASE WHEN coalesce(e1, slide) < ze THEN coalesce(e1, slide) END AS leap_out1 FROM m"
+    )
+
+
+add("leap_out_published", lambda spark, sf: leap_table(spark, sf, [LEAPS_OUT["published"], LEAPS_OUT["published_one_bits"]], "leap_out"), _published_sql())
 add("face_costs", lambda spark, sf: B.face_cost_table(B.make_boxes(spark, 60, 3, 100), ZSpec.grid(3, 10)), "WITH " + grid_sql(3, 10, 100, 60) + " " + " UNION ALL ".join(
     f"SELECT box_id, CAST({d + 1} AS INTEGER) AS dim, '{s}' AS side, " + " * ".join(f"(z{j} - a{j} + 1)" for j in range(3) if j != d)
     + f" AS face_num, CAST(2 * (SELECT count(*) FROM range(1, 11) t(k) WHERE " + (f"a{d} % (1 << k) = 0" if s == "lo" else f"(z{d} + 1) % (1 << k) = 0") + f") + {d} AS INTEGER) AS shift FROM e"
@@ -188,8 +202,8 @@ add("face_costs", lambda spark, sf: B.face_cost_table(B.make_boxes(spark, 60, 3,
 add("surface_volume", lambda spark, sf: B.box_measures(B.make_boxes(spark, 100, 4, 37), 4), "SELECT i AS box_id, CAST(37*37*37*37 AS BIGINT) AS volume, CAST(8*37*37*37 AS BIGINT) AS surface FROM range(0, 100) t(i)")
 
 
-def _widen_sql(bits: int, side: int, n: int, threshold: int) -> str:
-    """Two dimensions. Costs are scaled by 2**(2 * bits + 2) and compared as integers."""
+def _widen_sql(bits: int, side: int, n: int, threshold: int, boxes: str | None = None) -> str:
+    """Two dimensions. ``boxes``: the boxes, instead of those of the rule. Costs are scaled by 2**(2 * bits + 2) and compared as integers."""
     top, scale = (1 << bits) - 1, 2 * bits + 2
     run = lambda v: "(CASE WHEN {0} = 0 THEN {1} ELSE (SELECT count(*) FROM range(1, {2}) t(k) WHERE ({0}) % (1 << k) = 0) END)".format(v, bits, bits + 1)
     cost = [
@@ -203,7 +217,8 @@ def _widen_sql(bits: int, side: int, n: int, threshold: int) -> str:
     c0 = [f"((7919 * i + {104729 * d}) % {(1 << bits) - side + 1})" for d in range(2)]
     lowest = lambda v: f"({v} & ({v} - 1))"
     highest = lambda v: f"({v} | ({v} + 1))"
-    return f"""WITH RECURSIVE g AS (SELECT i AS box_id, {', '.join(f'CAST({x} AS BIGINT) AS a{d}, CAST({x} + {side - 1} AS BIGINT) AS z{d}' for d, x in enumerate(c0))}, 0 AS steps FROM range(0, {n}) t(i)),
+    boxes = boxes or f"SELECT i AS box_id, {', '.join(f'CAST({x} AS BIGINT) AS a{d}, CAST({x} + {side - 1} AS BIGINT) AS z{d}' for d, x in enumerate(c0))}, 0 AS steps FROM range(0, {n}) t(i)"
+    return f"""WITH RECURSIVE g AS ({boxes}),
  w AS (SELECT * FROM g UNION ALL SELECT box_id,
    CASE WHEN f = 0 THEN {lowest('a0')} ELSE a0 END, CASE WHEN f = 1 THEN {highest('z0')} ELSE z0 END, CASE WHEN f = 2 THEN {lowest('a1')} ELSE a1 END, CASE WHEN f = 3 THEN {highest('z1')} ELSE z1 END, steps + 1
   FROM (SELECT *, {pick} AS f FROM (SELECT *, {costs()} FROM w) WHERE k0 + k1 + k2 + k3 > {threshold}::BIGINT << {scale} AND {best} >= 0)),
@@ -219,44 +234,55 @@ add("coalesce_pieces", lambda spark, sf: B.coalesce_piece_table(B.refine_boxes(B
 
 
 def piece_intersect(spark, sf):
-    spec = ZSpec.grid(2, 6)
-    p = B.refine_boxes(B.make_boxes(spark, 2, 2, 21, 6), spec, "exact")
-    a, b = p.filter("box_id = 0").select(F.col("z_lo").alias("a"), F.col("z_hi").alias("b")), p.filter("box_id = 1").select(F.col("z_lo").alias("c"), F.col("z_hi").alias("d"))
-    return a.join(b, (F.col("a") <= F.col("d")) & (F.col("c") <= F.col("b"))).select(F.greatest("a", "c").alias("z_lo"), F.least("b", "d").alias("z_hi"))
+    """What the pieces of box 2k and box 2k + 1 share, by a sweep."""
+    p = B.refine_boxes(B.make_boxes(spark, 12, 2, 40, 6), ZSpec.grid(2, 6), "exact")
+    pair = p.withColumn("pair", F.shiftright("box_id", 1))
+    return B.intersect_pieces(*(pair.filter(F.col("box_id") % 2 == i).select("pair", "z_lo", "z_hi") for i in range(2)), "pair")
 
 
-add("piece_intersect", piece_intersect, f"WITH {pieces_sql(2, 6, 21, 2)} SELECT greatest(s.z_lo, t.z_lo) AS z_lo, least(s.z_hi, t.z_hi) AS z_hi FROM x s, x t WHERE s.box_id = 0 AND t.box_id = 1 AND s.z_lo <= t.z_hi AND t.z_lo <= s.z_hi")
+add("piece_intersect", piece_intersect, f"WITH {pieces_sql(2, 6, 40, 12)} SELECT s.box_id // 2 AS pair, greatest(s.z_lo, t.z_lo) AS z_lo, least(s.z_hi, t.z_hi) AS z_hi FROM x s, x t WHERE s.box_id % 2 = 0 AND t.box_id = s.box_id + 1 AND s.z_lo <= t.z_hi AND t.z_lo <= s.z_hi")
 
 # --- box queries ------------------------------------------------------------------------------------
 
 
-def box_query(name: str, m: int, side: int, n: int = 3, method: str = "widened", strategy: str = "prefix_join", drop: tuple[int, ...] = ()) -> tuple[Query, str]:
+def _stored(spark, df, spec, files: int = 8) -> Z.ZTable:
+    """The z-table of df, written and opened."""
+    path = scratch(spark, "z")
+    Z.write_z_table(df, spec, path, files)
+    return Z.ZTable.open(spark, path)
+
+
+def box_query(name: str, m: int, side: int, n: int = 3, method: str = "widened", strategy: str = "prefix_join", drop: tuple[int, ...] = (), stored: bool = False, along: int = 1) -> tuple[Query, str]:
     f = W.FIXTURES[name]
 
     def run(spark, sf):
         df, spec = W.points(spark, sf, name, m)
-        table, out = Z.ZTable.of(df, spec), []
+        table, out = _stored(spark, df, spec) if stored else Z.ZTable.of(df, spec), []
         for i in range(n):
-            box = W.value_box(spec, i, side)
+            box = W.value_box(spec, i, side, along)
             for d in drop:
                 box = box.drop(d)
             out.append(table.query(box, method, strategy, list(f.key)).withColumn("box_id", F.lit(i).cast("bigint")))
         return union(out)
 
-    sql = f"WITH {W.points_sql(name, m)}, {W.boxes_sql(m, side, n)} SELECT {', '.join(f.key)}, box_id FROM p, b WHERE {W.within_sql(name, m, drop)}"
+    sql = f"WITH {W.points_sql(name, m)}, {W.boxes_sql(m, side, n, along=along)} SELECT {', '.join(f.key)}, box_id FROM p, b WHERE {W.within_sql(name, m, drop)}"
     return run, sql
 
 
 for _m, _side in ((2, 100), (3, 220), (4, 330), (5, 420), (6, 520)):
-    add(f"box_query_{_m}d", *box_query("lineitem", _m, _side))
+    add(f"box_query_{_m}d", *box_query("lineitem", _m, _side, strategy="auto", stored=True))
+for _strategy in ("pushed_or", "prefix_join", "manifest"):
+    add(f"box_query_stored_{_strategy}", *box_query("lineitem", 3, 60, 3, strategy=_strategy, stored=True))
 for _strategy in ("pushed_or", "prefix_join", "range_join", "array_search", "scan"):
     add(f"box_query_{_strategy}", *box_query("orders", 3, 220, 2, strategy=_strategy))
 for _method in ("none", "exact", "published"):
     add(f"box_query_{_method}", *box_query("orders", 2, 64, 2, method=_method))
 for _name, _label in (("events", "events"), ("events_near_diagonal", "correlated"), ("part", "part_dims"), ("customer", "customer_dims"), ("supplier", "supplier_dims"), ("documents", "text_dims"), ("pages", "page_dims"), ("conversations", "conv_dims"), ("embeddings", "array_dims")):
-    add(f"box_query_{_label}" if _label in ("events", "correlated") else _label, *box_query(_name, len(W.FIXTURES[_name].dims) if _name != "embeddings" else 4, 512 if _name != "events_near_diagonal" else 300, 3))
-add("partial_first", *box_query("lineitem", 6, 400, 2, drop=(0,)))
-add("partial_last", *box_query("lineitem", 6, 400, 2, drop=(5,)))
+    add(f"box_query_{_label}" if _label in ("events", "correlated") else _label, *box_query(_name, len(W.FIXTURES[_name].dims) if _name != "embeddings" else 4, 512 if _name != "events_near_diagonal" else 300, 3, along=2 if _name == "events_near_diagonal" else 1))
+add("partial_first", *box_query("lineitem", 6, 400, 2, strategy="auto", drop=(0,), stored=True))
+add("partial_last", *box_query("lineitem", 6, 400, 2, strategy="auto", drop=(5,), stored=True))
+add("partial_none", *box_query("lineitem", 6, 400, 2, strategy="auto", stored=True))
+add("box_query_leap_in_only", *box_query("orders", 2, 64, 2, method="scan"))
 
 
 def _wide(spark, sf):
@@ -300,7 +326,7 @@ def index_query(build, m: int, side: int, drop: tuple[int, ...] = ()) -> Query:
     def run(spark, sf):
         df, spec = W.points(spark, sf, "lineitem", m)
         cols, key = [d.column for d in spec.dims], list(W.FIXTURES["lineitem"].key)
-        index, out = build(df, cols, key), []
+        index, out = build(df, cols, key, scratch(spark, "index")), []
         for i in range(2):
             box = W.value_box(spec, i, side)
             for d in drop:
@@ -320,15 +346,15 @@ class _Scan:
 
 
 _BUILD = {
-    "full_scan": lambda df, cols, key: _Scan(df, cols),
-    "independent": lambda df, cols, key: IndependentIndex.build(df, cols, key),
-    "multicolumn": lambda df, cols, key: MultiColumnIndex.build(df, cols),
-    "rect": lambda df, cols, key: PackedRectIndex.build(df, cols),
-    "median": lambda df, cols, key: MedianSplitIndex.build(df, cols),
+    "full_scan": lambda df, cols, key, path: _Scan(df, cols),
+    "independent": lambda df, cols, key, path: IndependentIndex.build(df, cols, key, path=path),
+    "multicolumn": lambda df, cols, key, path: MultiColumnIndex.build(df, cols, path=path),
+    "rect": lambda df, cols, key, path: PackedRectIndex.build(df, cols, path=path),
+    "median": lambda df, cols, key, path: MedianSplitIndex.build(df, cols, path=path),
 }
 for _name, _build in _BUILD.items():
     add(f"box_query_{_name}", index_query(_build, 3, 220), box_query("lineitem", 3, 220, 2)[1])
-for _drop, _label in (((0,), "first"), ((5,), "last")):
+for _drop, _label in (((0,), "first"), ((5,), "last"), ((), "none")):
     add(f"partial_multicolumn_{_label}", index_query(_BUILD["multicolumn"], 6, 400, _drop), box_query("lineitem", 6, 400, 2, drop=_drop)[1])
 
 
@@ -339,7 +365,7 @@ def extracted_counts(spark, sf):
     spec = ZSpec.grid(2, 10)
     keyed, boxes = Z.add_key(df, spec), [(i, _conv_box(i)) for i in range(10)]
     out = []
-    for method, options in (("none", {}), ("exact", {}), ("widened", {"threshold": 0})):
+    for method, options in (("none", {}), ("exact", {}), ("widened", {"threshold": _CONV_THRESHOLD})):
         for i, box in boxes:
             pieces = refine(box, spec, method, **options).pieces
             hit = keyed.agg(F.count_if(curve.in_ranges(F.col("z"), pieces)).alias("extracted"), F.count_if(curve.in_box(box, [F.col("c1"), F.col("c2")])).alias("returned"))
@@ -347,6 +373,10 @@ def extracted_counts(spark, sf):
     return union(out)
 
 
+#: Low enough to move faces of these small boxes, above zero.
+_CONV_THRESHOLD = 6
+
+
 def _conv_box(i: int):
     from zbox.box import Box
 
@@ -355,44 +385,134 @@ def _conv_box(i: int):
 
 _CONV = f"t AS (SELECT conv_id AS c1, turn AS c2, {W.encode_sql(['conv_id', 'turn'], 10)} AS z FROM conversations), b AS (SELECT i AS box_id, 5 + 7 * i AS a0, 14 + 7 * i AS z0, 1 AS a1, 4 AS z1 FROM range(0, 10) q(i)), v AS (SELECT *, {W.encode_sql(['a0', 'a1'], 10)} AS zs, {W.encode_sql(['z0', 'z1'], 10)} AS ze FROM b)"
 _RET = "count(*) FILTER (c1 BETWEEN a0 AND z0 AND c2 BETWEEN a1 AND z1)"
-add("extracted_counts", extracted_counts, f"WITH {_CONV}, c AS (SELECT box_id, count(*) FILTER (z BETWEEN zs AND ze) AS env, {_RET} AS ret, count(*) FILTER (z BETWEEN 0 AND 1048575) AS al FROM t, v GROUP BY box_id) "
-    "SELECT box_id, 'none' AS method, env AS extracted, ret AS returned FROM c UNION ALL SELECT box_id, 'exact', ret, ret FROM c UNION ALL SELECT box_id, 'widened', al, ret FROM c")
+_CONV_WIDE = _widen_sql(10, 0, 10, _CONV_THRESHOLD, "SELECT i AS box_id, CAST(5 + 7 * i AS BIGINT) AS a0, CAST(14 + 7 * i AS BIGINT) AS z0, CAST(1 AS BIGINT) AS a1, CAST(4 AS BIGINT) AS z1, 0 AS steps FROM range(0, 10) t(i)")
+add("extracted_counts", extracted_counts, f"WITH {_CONV}, wide AS ({_CONV_WIDE}), c AS (SELECT box_id, count(*) FILTER (z BETWEEN zs AND ze) AS env, {_RET} AS ret FROM t, v GROUP BY box_id), "
+    "l AS (SELECT box_id, count(*) FILTER (c1 BETWEEN lo[1] AND hi[1] AND c2 BETWEEN lo[2] AND hi[2]) AS al FROM t, wide GROUP BY box_id) "
+    "SELECT box_id, 'none' AS method, env AS extracted, ret AS returned FROM c UNION ALL SELECT box_id, 'exact', ret, ret FROM c UNION ALL SELECT box_id, 'widened', al, ret FROM c JOIN l USING (box_id)")
 
 
-def refine_counters(spark, sf):
-    """W3/W4: mean leaps, pieces and covered cells by method, dimension and length over 20 boxes."""
+#: W3, W4: sides by dimension; longer ones trip the guards of both refiners without widening.
+GRID = tuple((m, side) for m in range(2, 7) for side in (4, 8, 16, 32, 64, 128, 256))
+METHOD_GRID = ("scan", "exact", "published", "published_one_bits", "widened")
+MOST_VISITS, MOST_LEAPS = 20_000, 20_000
+
+
+def within_guard(method: str, m: int, side: int) -> bool:
+    """Whether a refiner that visits the volume, or leaps over the surface, is let run."""
+    return {"scan": side**m <= MOST_VISITS, "widened": True}.get(method, 2 * m * side ** (m - 1) <= MOST_LEAPS)
+
+
+def refine_grid(spark, n: int = 100):
+    """W3, W4 (K4, K5, K6, K7): visits, leaps, pieces, covered cells, widening steps and milliseconds of
+    every refiner, by dimension and side, over n boxes each: a row per box."""
     out = []
-    for m, sides in ((2, (16, 64, 256)), (3, (16, 32)), (4, (8,))):
-        for side in sides:
-            for method in ("exact", "published", "widened"):
-                c = B.refine_costs(B.make_boxes(spark, 20, m, side), ZSpec.grid(m, 10), method)
-                out.append(c.agg(F.avg("leaps").alias("leaps"), F.avg("pieces").alias("pieces"), F.avg("covered").alias("covered")).select(F.lit(m).alias("m"), F.lit(side).alias("side"), F.lit(method).alias("method"), "leaps", "pieces", "covered"))
-    return union(out)
+    for m, side in GRID:
+        for method in METHOD_GRID:
+            if within_guard(method, m, side):
+                c = B.refine_costs(B.make_boxes(spark, n, m, side), ZSpec.grid(m, 10), method)
+                out.append(c.select(F.lit(m).alias("m"), F.lit(side).alias("side"), F.lit(method).alias("method"), *c.columns))
+    return out
+
+
+def refine_counters(spark, sf):
+    """What the counters must be, box by box: the scan visits every cell of the box and one key behind each
+    piece but the last; it leaps in behind each; leaping both ways takes two leaps a piece but one; exact
+    pieces cover the volume, widened and published ones no less."""
+    grid = [x for x in refine_grid(spark, 10) if x is not None]
+    c = union(grid).filter("side <= 32")
+    volume = F.pow(F.col("side").cast("double"), F.col("m")).cast("bigint")
+    scan, both = F.col("method") == "scan", F.col("method") != "scan"
+    broken = (
+        F.when(scan & (F.col("visits") != volume + F.col("pieces") - 2), 1).when(scan & (F.col("leaps") != F.col("pieces") - 1), 2)
+        .when(both & (F.col("leaps") != 2 * F.col("pieces") - 1), 3).when(F.col("method").isin("scan", "exact") & (F.col("covered") != volume), 4).when(F.col("covered") < volume, 5).otherwise(0)
+    )
+    return c.select("m", "side", "method", "box_id", broken.alias("broken"))
+
+
+_GRID_SQL = " UNION ALL ".join(f"SELECT CAST({m} AS INTEGER) AS m, CAST({side} AS INTEGER) AS side, '{k}' AS method, i AS box_id, CAST(0 AS INTEGER) AS broken FROM range(0, 10) t(i)" for m, side in GRID for k in METHOD_GRID if side <= 32 and within_guard(k, m, side))
+add("refine_counters", refine_counters, _GRID_SQL)
+
 
+def refine_means(spark, sf):
+    """W3, W4 as the published figures show them: means over 100 boxes by dimension, side and method."""
+    means = [F.avg(x).alias(x) for x in ("visits", "leaps", "pieces", "covered", "steps")]
+    return union([c.filter("m <= 3 or side <= 16").groupBy("m", "side", "method").agg(*means) for c in refine_grid(spark)])
 
-add("refine_counters", refine_counters)
+
+add("refine_means", refine_means)
 
 
 def threshold_sweep(spark, sf):
-    """W8: pieces and covered cells by threshold."""
+    """W8: pieces, covered cells, steps and waste by threshold, without one too, in 2 to 6 dimensions."""
     out = []
-    for t in (50, 100, 500, 1000, 5000):
-        c = B.refine_costs(B.make_boxes(spark, 20, 3, 128), ZSpec.grid(3, 10), "widened", threshold=t)
-        out.append(c.agg(F.avg("pieces").alias("pieces"), F.avg("covered").alias("covered"), F.avg("steps").alias("steps")).select(F.lit(t).alias("threshold"), "pieces", "covered", "steps"))
+    for m, side in ((2, 128), (3, 64), (4, 16), (5, 8), (6, 6)):
+        for t in (10, 50, 100, 500, 1000, 5000, float("inf")):
+            c = B.refine_costs(B.make_boxes(spark, 100, m, side), ZSpec.grid(m, 10), "widened", threshold=t)
+            means = [F.avg(x).alias(x) for x in ("pieces", "covered", "steps")]
+            out.append(c.agg(*means).select(F.lit(m).alias("m"), F.lit(float(t)).alias("threshold"), "pieces", "covered", "steps", (F.col("covered") / side**m).alias("waste")))
     return union(out)
 
 
 add("threshold_sweep", threshold_sweep)
 
 
+SELECTIVITIES = (1e-4, 1e-3, 1e-2, 1e-1)
+
+
+def _by_selectivity(m: int, n: int):
+    def run(spark, sf):
+        """W6, K11, K12: rows returned, share of all rows, and rows that exact pieces of cells extract (their
+        waste comes from values that share a border cell), over n boxes of each selectivity."""
+        df, spec = W.points(spark, sf, "lineitem", m)
+        rows, out = df.count(), []
+        keyed = Z.add_key(df, spec)
+        for s in SELECTIVITIES:
+            boxes = [W.value_box(spec, i, W.side_for(s, m)) for i in range(n)]
+            hits, envelope = [curve.in_box(b, [F.col(d.column) for d in spec.dims]) for b in boxes], [b.cells(spec).envelope(spec) for b in boxes]
+            cells = [curve.z_in_box(F.col("z"), *e, spec) for e in envelope]
+            total = lambda tests: sum((F.count_if(t) for t in tests), F.lit(0))
+            got = keyed.agg(total(hits).alias("returned"), total(cells).alias("exact"), total(F.col("z").between(*e) for e in envelope).alias("envelope"))
+            out.append(got.select(F.lit(f"{s:g}").alias("selectivity"), (F.col("returned") / F.lit(rows * n)).alias("share"), "returned", "exact", "envelope"))
+        return union(out)
+
+    return run
+
+
+def _selectivity_sql(m: int, n: int) -> str:
+    parts = []
+    for s in SELECTIVITIES:
+        side = W.side_for(s, m)
+        corner = [f"((7919 * i + {104729 * d}) % {1024 - side + 1})" for d in range(m)]
+        # the box's ends as cells, by the same arithmetic on its values
+        ends = ", ".join(f"((a{d} - lo{d}) * 1024) // (hi{d} - lo{d} + 1) AS s{d}, ((z{d} - lo{d}) * 1024) // (hi{d} - lo{d} + 1) AS e{d}" for d in range(m))
+        cells = ", ".join(f"{W.cell_sql('lineitem', d)} AS c{d}" for d in range(m))
+        inside = " AND ".join(f"c{d} BETWEEN s{d} AND e{d}" for d in range(m))
+        z, zs, ze = (W.encode_sql([f"{x}{d}" for d in range(m)], 10) for x in "cse")
+        del corner
+        parts.append(
+            f"SELECT '{s:g}' AS selectivity, count(*) FILTER ({W.within_sql('lineitem', m)}) / CAST((SELECT count(*) FROM p) * {n} AS DOUBLE) AS share, count(*) FILTER ({W.within_sql('lineitem', m)}) AS returned, "
+            f"count(*) FILTER ({inside}) AS exact, count(*) FILTER (z BETWEEN zs AND ze) AS envelope FROM (SELECT p.*, {z} AS z FROM (SELECT p.*, {cells} FROM p, r) p) p, "
+            f"(SELECT *, {zs} AS zs, {ze} AS ze FROM (SELECT b.*, {ends} FROM ({W.boxes_sql(m, side, n)[6:-1]}) b, r)) b"
+        )
+    return f"WITH {W.points_sql('lineitem', m)} " + " UNION ALL ".join(parts)
+
+
+for _m, _n in ((3, 20), (6, 20)):
+    add(f"waste_by_selectivity_{_m}d", _by_selectivity(_m, _n), _selectivity_sql(_m, _n))
+
+
 def waste_ratio(spark, sf):
-    """Extracted over returned rows of 3-d boxes, by method: envelope above widened above exact."""
+    """K12: rows extracted over rows returned, by method: the envelope's, the widened box's, the box's own
+    cells. Pieces are joined, so none is left out however many they are."""
     df, spec = W.points(spark, sf, "lineitem", 3)
-    keyed, out = Z.add_key(df, spec), []
+    keyed, out, n = Z.add_key(df, spec), [], 10
+    boxes = [W.value_box(spec, i, 100) for i in range(n)]
+    returned = keyed.agg(sum((F.count_if(curve.in_box(b, [F.col(d.column) for d in spec.dims])) for b in boxes), F.lit(0)).alias("returned"))
     for method in ("none", "widened", "exact"):
-        n = [F.count_if(curve.in_ranges(F.col("z"), refine(W.value_box(spec, i, 200).cells(spec), spec, method, max_pieces=64).pieces)) for i in range(3)]
-        r = [F.count_if(curve.in_box(W.value_box(spec, i, 200), [F.col(d.column) for d in spec.dims])) for i in range(3)]
-        out.append(keyed.agg(sum(n[1:], n[0]).alias("extracted"), sum(r[1:], r[0]).alias("returned")).withColumn("method", F.lit(method)))
+        rows = [(i, k, a, z) for i, b in enumerate(boxes) for k, (a, z) in enumerate(refine(b.cells(spec), spec, method).pieces)]
+        pieces = spark.createDataFrame(rows, "box_id bigint, piece int, z_lo bigint, z_hi bigint")
+        hit = pieces_join(keyed, pieces, known=[(a, z) for *_, a, z in rows]).agg(F.count("*").alias("extracted"))
+        out.append(hit.crossJoin(returned).select(F.lit(method).alias("method"), "extracted", "returned", (F.col("extracted") / F.col("returned")).alias("waste")))
     return union(out)
 
 
@@ -665,7 +785,7 @@ def _stream(spark, sf):
 def ev_stream_equals_batch(spark, sf):
     """Hits per box and day by a file stream."""
     out = S.windowed_hits(_hits(spark, sf, _stream(spark, sf)), "ts", "1 day")
-    return S.run_once(out, f"zbox_{abs(hash(sf)) % 10**8}_hits", "complete")
+    return S.run_once(out, "complete")
 
 
 add("ev_stream_equals_batch", ev_stream_equals_batch, SQL["ev_tumbling"])
@@ -674,7 +794,7 @@ add("ev_stream_equals_batch", ev_stream_equals_batch, SQL["ev_tumbling"])
 def ev_dedup(spark, sf):
     e = _stream(spark, sf).select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id")
     twice = e.withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["event_id"]).drop("copy", "ts")
-    return S.run_once(twice, f"zbox_{abs(hash(sf)) % 10**8}_dedup")
+    return S.run_once(twice)
 
 
 add("ev_dedup", ev_dedup, "SELECT event_id, user_id FROM events")
@@ -686,10 +806,10 @@ def ev_state(spark, sf):
     before = spark.conf.get(provider, None)
     spark.conf.set(provider, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
-        out = S.run_once(S.running_counts(_hits(spark, sf, _stream(spark, sf))), f"zbox_{abs(hash(sf)) % 10**8}_state", "update")
+        out = S.run_once(S.running_counts(_hits(spark, sf, _stream(spark, sf))), "update", ("box_id", "user_id"))
     finally:
         spark.conf.set(provider, before) if before else spark.conf.unset(provider)
-    return out.groupBy("box_id", "user_id").agg(F.max("hits").alias("hits"))
+    return out
 
 
 add("ev_state", ev_state, f"WITH {_EH} SELECT box_id, user_id, count(*) AS hits FROM h GROUP BY 1, 2")

@@ -1,8 +1,9 @@
 """Tables laid out in key order, their manifests, and queries on them.
 
 A z-table is Parquet whose files hold disjoint spans of the key; the manifest (path, least and largest
-key, rows) stands for the one-dimensional index. A box query refines its key interval on the driver,
-picks files by the manifest, lets the scan skip row groups by a few coarse ranges, keeps rows by the
+key, rows) stands for the one-dimensional index. It is written beside the files when they are, has a row
+a file, and is read in part: only the rows that meet the query's envelope come to the driver. A box query
+refines its key interval on the driver, picks files by the manifest, lets the scan skip row groups by a few coarse ranges, keeps rows by the
 exact pieces, and applies the original condition last, so the answer is exact whatever the pieces
 cover."""
 
@@ -56,11 +57,40 @@ def write_z_table(df: DataFrame, spec: ZSpec, path: str, files: int, key: list[s
         out.write.mode(mode).partitionBy("z_prefix").parquet(path)
     else:
         out.write.mode(mode).parquet(path)
+    update_manifest(df.sparkSession, path)
 
 
-def build_manifest(spark: SparkSession, path: str) -> DataFrame:
-    """(path, z_min, z_max, rows): one row a file, from the key column alone."""
-    f = spark.read.parquet(path).select("z", F.col("_metadata.file_path").alias("path"))
+#: Beside the files of a table; names that begin with an underscore are no rows of it.
+MANIFEST = "_z_manifest"
+MANIFEST_COLUMNS = "path string, z_min bigint, z_max bigint, rows bigint"
+
+
+def stored_manifest(spark: SparkSession, path: str) -> DataFrame | None:
+    """The manifest as it was written; None if the table has none."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/{MANIFEST}")
+    if not where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where):
+        return None
+    return spark.read.schema(MANIFEST_COLUMNS).parquet(f"{path}/{MANIFEST}")
+
+
+def update_manifest(spark: SparkSession, path: str) -> None:
+    """Adds the files that the manifest does not list yet; only their keys are read."""
+    known = stored_manifest(spark, path)
+    files = build_manifest(spark, path, known)
+    files.coalesce(1).write.mode("append").parquet(f"{path}/{MANIFEST}")
+
+
+def build_manifest(spark: SparkSession, path: str, known: DataFrame | None = None) -> DataFrame:
+    """(path, z_min, z_max, rows): one row a file, from the key column alone; of files not ``known``."""
+    table = spark.read.parquet(path)
+    if known is not None:
+        bare = lambda f: f.split(":", 1)[-1].lstrip("/")  # noqa: E731  one file may be written file:/a or file:///a
+        old = {bare(r["path"]) for r in known.select("path").collect()}  # a row a file
+        new = [f for f in table.inputFiles() if bare(f) not in old]
+        if not new:
+            return spark.createDataFrame([], MANIFEST_COLUMNS)
+        table = spark.read.schema(table.schema).parquet(*new)
+    f = table.select("z", F.col("_metadata.file_path").alias("path"))
     return f.groupBy("path").agg(F.min("z").alias("z_min"), F.max("z").alias("z_max"), F.count("*").alias("rows"))
 
 
@@ -85,6 +115,7 @@ def compact(spark: SparkSession, path: str, to: str, files: int) -> None:
     df = spark.read.parquet(path)
     spec = spec_of(df)
     df.repartitionByRange(files, "z").sortWithinPartitions("z").withMetadata("z", {"zspec": spec.to_json()}).write.mode("overwrite").parquet(to)
+    update_manifest(spark, to)
 
 
 def piece_table(spark: SparkSession, pieces: list[tuple[int, int]], box_id: int = 0) -> DataFrame:
@@ -119,6 +150,7 @@ class ZTable:
     path: str | None = None
     z: str = "z"
     _manifest: list | None = field(default=None, repr=False)
+    _stored: DataFrame | None = field(default=None, repr=False)
 
     @classmethod
     def open(cls, spark: SparkSession, path: str) -> ZTable:
@@ -129,16 +161,27 @@ class ZTable:
     def of(cls, df: DataFrame, spec: ZSpec) -> ZTable:
         return cls(add_key(df, spec), spec)
 
-    def manifest(self) -> list:
-        """Read once; a row per file."""
-        if self._manifest is None:
-            self._manifest = build_manifest(self.df.sparkSession, self.path).collect() if self.path else []
+    def manifest(self, z_lo: int | None = None, z_hi: int | None = None) -> list:
+        """Rows of the files that meet the interval; of all files without one, which are then kept."""
+        if not self.path:
+            return []
+        if self._manifest is not None:
+            return self._manifest
+        spark = self.df.sparkSession
+        if self._stored is None:
+            self._stored = stored_manifest(spark, self.path)
+            if self._stored is None:
+                self._stored = build_manifest(spark, self.path)
+        if z_lo is not None:
+            return self._stored.filter((F.col("z_max") >= z_lo) & (F.col("z_min") <= z_hi)).collect()
+        self._manifest = self._stored.collect()
         return self._manifest
 
     def files_for(self, pieces: list[tuple[int, int]]) -> list[str]:
         """Files whose span meets a piece: both sides in order, one sweep."""
         out, i = [], 0
-        for r in sorted((r for r in self.manifest() if r["z_min"] is not None), key=lambda r: r["z_min"]):
+        near = self.manifest(pieces[0][0], pieces[-1][1]) if pieces else []
+        for r in sorted((r for r in near if r["z_min"] is not None), key=lambda r: r["z_min"]):
             while i < len(pieces) and pieces[i][1] < r["z_min"]:
                 i += 1
             if any(a <= r["z_max"] and b >= r["z_min"] for a, b in pieces[i : i + 1]):
@@ -191,6 +234,3 @@ class ZTable:
         out = df.filter(in_box(box, [F.col(d.column) for d in self.spec.dims]))
         return out.select(*columns) if columns else out.drop(self.z)
 
-
-def describe(spec: ZSpec) -> dict:
-    return json.loads(spec.to_json())

@@ -4,8 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
-from zbox.operators.joins import with_prefixes
+from zbox.operators.joins import level_of_table, opened_at
+from zbox.sources.scratch import scratch
 from zbox.sources.ztable import add_key
 from zbox.spec import ZSpec
 
@@ -14,12 +16,11 @@ def tag_boxes(rows: DataFrame, pieces: DataFrame, spec: ZSpec, residual=None) ->
     """Rows of a stream (or batch) with the box_id of every standing box they are in. The pieces are a
     static table, opened into prefixes and broadcast: standing boxes are few and bounded by the caller."""
     keyed = add_key(rows, spec)
-    opened = with_prefixes(pieces)
-    levels = sorted(r["level"] for r in opened.select("level").distinct().collect())
-    entry = F.array(*(F.struct(F.lit(k).alias("level"), F.shiftrightunsigned(F.col("z"), k).alias("prefix")) for k in levels or [0]))
-    own = keyed.withColumn("__e", F.explode(entry)).withColumns({"level": F.col("__e.level"), "prefix": F.col("__e.prefix")}).drop("__e")
-    hit = own.join(F.broadcast(opened), ["level", "prefix"]).filter((F.col("z") >= F.col("z_lo")) & (F.col("z") <= F.col("z_hi")))
-    hit = hit.drop("level", "prefix", "piece", "z_lo", "z_hi")
+    at = level_of_table(pieces)
+    level = at[0] if at else 0
+    own = keyed.withColumn("prefix", F.shiftrightunsigned("z", level))
+    hit = own.join(F.broadcast(opened_at(pieces, level)), "prefix").filter((F.col("z") >= F.col("z_lo")) & (F.col("z") <= F.col("z_hi")))
+    hit = hit.drop("prefix", "piece", "z_lo", "z_hi")
     return hit if residual is None else hit.filter(residual)
 
 
@@ -35,11 +36,28 @@ def session_hits(tagged: DataFrame, ts: str, gap: str, key: str, delay: str | No
     return t.groupBy(F.session_window(ts, gap).alias("w"), key).agg(F.count("*").alias("hits")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), key, "hits")
 
 
-def run_once(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Drives a bounded stream to its end into a table in memory (for tests and small answers)."""
-    q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+def run_once(df: DataFrame, mode: str = "append", key: tuple[str, ...] = ()) -> DataFrame:
+    """Drives a bounded stream to its end into files below the shared folder, and reads them. In complete and
+    update mode every micro-batch is written in a folder of its own: of complete results the last one counts,
+    of updates the last row of each ``key``. A batch that is run again overwrites its own folder."""
+    spark, path = df.sparkSession, scratch(df.sparkSession, "stream")
+    spark.createDataFrame([], df.schema).write.parquet(f"{path}/rows/batch=-1")  # a stream without rows has a result too
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/rows/batch={number}")
+
+    q = df.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return df.sparkSession.table(name)
+    schema = StructType([*df.schema.fields, StructField("batch", LongType())])
+    rows = spark.read.schema(schema).option("basePath", f"{path}/rows").parquet(f"{path}/rows")
+    if mode == "complete":
+        last = rows.agg(F.max("batch")).first()[0]
+        return rows.filter(F.col("batch") == (last if last is not None else -1)).drop("batch")
+    if mode == "update":
+        others = [c for c in df.columns if c not in key]
+        last = rows.groupBy(*key).agg(F.max_by(F.struct(*others), "batch").alias("last"))
+        return last.select(*key, *(F.col(f"last.{c}").alias(c) for c in others))
+    return rows.drop("batch")
 
 
 def append_to_z_table(df: DataFrame, spec: ZSpec, path: str, checkpoint: str, files: int = 4):

@@ -79,11 +79,12 @@ def points(spark: SparkSession, sf_dir: str, name: str, m: int | None = None, ex
     return df, ZSpec(dims, BITS)
 
 
-def value_box(spec: ZSpec, i: int, side: int) -> Box:
-    """Box i, ``side`` cells of 1024 wide in every dimension, in the columns' units."""
+def value_box(spec: ZSpec, i: int, side: int, along: int = 1) -> Box:
+    """Box i, ``side`` cells of 1024 wide in every dimension, in the columns' units. The first ``along``
+    dimensions share their corner: boxes on the diagonal, where columns that go together have their rows."""
     lo, hi = [], []
     for d, x in enumerate(spec.dims):
-        width, c = int(x.hi) - int(x.lo) + 1, corner(i, d, side)
+        width, c = int(x.hi) - int(x.lo) + 1, corner(i, d if d >= along else 0, side)
         lo.append(int(x.lo) + c * width // 1024)
         hi.append(int(x.lo) + (c + side) * width // 1024 - 1)
     return Box(tuple(lo), tuple(hi))
@@ -105,11 +106,11 @@ def points_sql(name: str, m: int | None = None, extra: tuple[str, ...] = ()) ->
     return f"p AS (SELECT {cols} FROM {f.table}), r AS (SELECT {ends} FROM p)"
 
 
-def boxes_sql(m: int, side: int, n: int, first: int = 0) -> str:
+def boxes_sql(m: int, side: int, n: int, first: int = 0, along: int = 1) -> str:
     """CTE b: box_id and a<d>, z<d>, the ends in units."""
     ends = []
     for d in range(m):
-        c = f"((7919 * i + {104729 * d}) % {1024 - side + 1})"
+        c = f"((7919 * i + {104729 * (d if d >= along else 0)}) % {1024 - side + 1})"
         ends.append(f"lo{d} + ({c} * (hi{d} - lo{d} + 1)) // 1024 AS a{d}, lo{d} + (({c} + {side}) * (hi{d} - lo{d} + 1)) // 1024 - 1 AS z{d}")
     return f"b AS (SELECT i AS box_id, {', '.join(ends)} FROM range({first}, {first + n}) t(i), r)"
 
