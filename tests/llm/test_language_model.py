@@ -40,12 +40,12 @@ def test_every_score_from_its_definition(spark, monkeypatch):
     models = []
 
     def train(texts_, shared, unigram, runs, **_):
-        voc = L.Vocabulary(shared.value["words"], shared.value["contexts"])
+        voc = L.Vocabulary(shared.value["words"], shared.value["contexts"], shared.value["modelled"])
         models.append((voc, some_model(unigram, voc.contexts)))
         return models[-1][1]
 
     monkeypatch.setattr(L, "train", train)
-    got = L.score(docs, contexts=8, head_words=4).collect()
+    got = L.score(docs, contexts=8, vocabulary=3, head_words=5).collect()
     (voc, m), = models
     learnt = collections.Counter()
     ends = 0
@@ -56,12 +56,12 @@ def test_every_score_from_its_definition(spark, monkeypatch):
     bucket = lambda w: zlib.crc32(w) % L.BUCKETS
     total, kinds = collections.Counter(), collections.Counter()
     for w, c in learnt.items():
-        if w not in voc.head:
+        if voc.head.get(w, 9) >= 3:
             total[bucket(w)] += c
             kinds[bucket(w)] += 1
 
     def prob(p, w):
-        if w in voc.head:
+        if voc.head.get(w, 9) < 3:
             return p[voc.head[w]]
         return p[voc.end + 1 + bucket(w)] * (learnt[w] + 1) / (total[bucket(w)] + kinds[bucket(w)] + 1)
 

@@ -1,6 +1,6 @@
 """Language-model scores of documents: a log-bilinear neural model trained by noise contrast.
 
-All words are counted first. The model's vocabulary is the ``head_words`` most frequent ones, the end of a
+All words are counted first. The model's vocabulary is the ``vocabulary`` most frequent ones, the end of a
 text, and ``BUCKETS`` buckets that every other word falls into by a hash; a word of a bucket gets the bucket's
 probability times its smoothed share within it, so probabilities sum to one over all words, unseen
 ones included. What comes before is seen through ``contexts`` context classes: the most frequent words and the
@@ -168,23 +168,29 @@ def log10_of(model: dict, z: np.ndarray, far: np.ndarray, near: np.ndarray, targ
     return (np.einsum("nd,nd->n", q, model["out"][target]) + model["bias"][target] - z[near, far]) / math.log(10)
 
 
+def context_classes(words: int, contexts: int) -> tuple[int, int, int]:
+    """Words that are classes of their own (the end comes after them), classes by suffix, all classes."""
+    own = min(words, contexts // 2)
+    suffixes = max(1, contexts - own - 1)
+    return own, suffixes, own + 1 + suffixes
+
+
 class Vocabulary:
-    """Numbers of words: the head in order, then the end, then the buckets; and their context classes."""
+    """Numbers of words: the first ``modelled`` of the head in order, then the end, then the buckets; and their
+    context classes."""
 
-    def __init__(self, words: list[str], contexts: int):
+    def __init__(self, words: list[str], contexts: int, modelled: int):
         self.head = {w.encode("utf-8", "surrogatepass"): i for i, w in enumerate(words)}
-        self.end = len(words)
-        self.size = self.end + 1 + BUCKETS
-        own = min(len(words), contexts // 2)
-        self.suffixes = max(1, contexts - own - 1)
-        self.contexts = own + 1 + self.suffixes
-        self.end_context = own
+        self.end = min(len(words), modelled)
+        self.end_context, self.suffixes, self.contexts = context_classes(len(words), contexts)
+        own = self.end_context
+        self.target = np.array([i if i < self.end else self.end + 1 + zlib.crc32(w) % BUCKETS for w, i in self.head.items()] + [-1], dtype=np.int32)
         self.context = np.array([i if i < own else own + 1 + suffix_bucket(w, self.suffixes) for w, i in self.head.items()] + [own], dtype=np.int32)
 
     def number(self, w: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(place in the head or -1, target, context class) of a text's words; targets and classes with the end."""
         place = np.fromiter(map(self.head.get, w, repeat(-1)), dtype=np.int64, count=len(w))
-        target, context = np.append(place, self.end), np.append(self.context[place], self.end_context)
+        target, context = np.append(self.target[place], self.end), np.append(self.context[place], self.end_context)
         for i in np.flatnonzero(place < 0).tolist():
             target[i] = self.end + 1 + zlib.crc32(w[i]) % BUCKETS
             context[i] = self.end_context + 1 + suffix_bucket(w[i], self.suffixes)
@@ -201,7 +207,7 @@ def _vocabulary(shared) -> Vocabulary:
     head = shared.value
     if head["key"] not in _CACHE:
         _CACHE.clear()
-        _CACHE[head["key"]] = Vocabulary(head["words"], head["contexts"])
+        _CACHE[head["key"]] = Vocabulary(head["words"], head["contexts"], head["modelled"])
     return _CACHE[head["key"]]
 
 
@@ -228,9 +234,7 @@ def _average(table: pa.Table) -> pa.Table:
 def train(texts: DataFrame, shared, unigram: np.ndarray, runs: int, rounds: int = 4, least_runs: int = 4_000_000) -> dict:
     """The model, trained on all runs of ``texts`` (``runs`` of them), each once; where they are fewer than
     ``least_runs``, so many times over that they come to that."""
-    vocabulary = Vocabulary(shared.value["words"], shared.value["contexts"])
-    model = new_model(unigram, vocabulary.contexts)
-    del vocabulary
+    model = new_model(unigram, context_classes(len(shared.value["words"]), shared.value["contexts"])[-1])
     spark = texts.sparkSession
     trainers, passes = max(1, spark.sparkContext.defaultParallelism), max(1, math.ceil(least_runs / max(1, runs)))
     # texts that are equal go to one round; which is no matter to the model
@@ -281,14 +285,16 @@ def train(texts: DataFrame, shared, unigram: np.ndarray, runs: int, rounds: int
             rows = np.frombuffer(bytes(r["rows"]), "<f4").reshape(len(met), -1)
             of = model[r["name"]].reshape(len(model[r["name"]]), -1)
             of[r["at"] : r["at"] + len(met)][met] = rows[met]
-        start.unpersist()
+        start.destroy()
+        del got
+    unigram_shared.destroy()
     return model
 
 
 # --- scoring --------------------------------------------------------------------------------------
 
 
-def score(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folds: int = 7, held_fold: int = 2, contexts: int = 384, head_words: int = 100_000) -> DataFrame:
+def score(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folds: int = 7, held_fold: int = 2, contexts: int = 384, vocabulary: int = 40_000, head_words: int = 100_000) -> DataFrame:
     """One row per row of ``docs``: id_col, held_out, n_tokens, n_known, train_tokens, base_score, score.
 
     Documents of ``held_fold`` are scored but not learnt from. base_score: smoothed unigram log10
@@ -304,20 +310,21 @@ def score(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folds: in
     words, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
     n, v = words + ends, distinct + (1 if ends else 0)
     head = head_of(counts, head_words)
-    # tokens and distinct words of each bucket: all but the head, which is joined away as a small table of words
-    known = spark.createDataFrame([(w,) for w, _ in head], "word string")
+    # tokens and distinct words of each bucket: all but the modelled words, joined away as a small table of words
+    modelled = head[:vocabulary]
+    known = spark.createDataFrame([(w,) for w, _ in modelled], "word string")
     of_bucket = F.pmod(F.crc32(F.encode("word", "UTF-8")), F.lit(BUCKETS)).cast("int")
     rest = counts.join(F.broadcast(known), "word", "left_anti").groupBy(of_bucket.alias("b")).agg(F.sum("c").alias("c"), F.count("*").alias("d")).collect()
     tokens_in, words_in = np.zeros(BUCKETS), np.zeros(BUCKETS)
     for r in rest:
         tokens_in[r["b"]], words_in[r["b"]] = r["c"], r["d"]
-    unigram = np.concatenate([[c for _, c in head], [ends], tokens_in]) + 0.5
+    unigram = np.concatenate([[c for _, c in modelled], [ends], tokens_in]) + 0.5
     unigram /= unigram.sum()
     log_count = np.log10(np.array([c for _, c in head] + [0], dtype=np.float64) + 1)
     share = np.log10(tokens_in + words_in + 1)
-    shared = spark.sparkContext.broadcast({"key": uuid.uuid4().hex, "words": [w for w, _ in head], "contexts": contexts})  # at most head_words
+    shared = spark.sparkContext.broadcast({"key": uuid.uuid4().hex, "words": [w for w, _ in head], "contexts": contexts, "modelled": vocabulary})  # at most head_words
     trained = train(learn, shared, unigram, n)
-    model = spark.sparkContext.broadcast((trained, normaliser(trained), log_count, share))  # (head_words + BUCKETS) * DIM + contexts ** 2 numbers
+    model = spark.sparkContext.broadcast((trained, normaliser(trained), log_count, share))  # (vocabulary + BUCKETS) * DIM + contexts ** 2 numbers
 
     def run(batches):
         voc, (m, z, logc, inside) = _vocabulary(shared), model.value
@@ -333,9 +340,9 @@ def score(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folds: in
                     out["n"].append(len(w) + 1)
                     out["known"].append(int((place >= 0).sum()) + (1 if ends else 0))
                     out["head"].append(float(logc[place[place >= 0]].sum()))
-                    # of a bucket's word the share within is (its count + 1) over all of the bucket; the counts are joined
+                    # of a bucket's word the share within is (its count + 1) over all of the bucket; counts beyond the head are joined
                     lm = sum(float(log10_of(m, z, far[i : i + 65536], near[i : i + 65536], to[i : i + 65536]).sum(dtype=np.float64)) for i in range(0, len(to), 65536))
-                    out["lm"].append(lm - float(inside[bucket].sum()))
+                    out["lm"].append(lm - float(inside[bucket].sum()) + float(logc[place[place >= voc.end]].sum()))
                     out["rare"].append([w[k].decode("utf-8", "surrogatepass") for k in np.flatnonzero(place < 0)])
                 arrays = [pa.array(out["n"], pa.int64()), pa.array(out["known"], pa.int64()), pa.array(out["head"]), pa.array(out["lm"]), pa.array(out["rare"], pa.list_(pa.string()))]
                 yield pa.RecordBatch.from_arrays([some.column(0), some.column(1), *arrays], names=["id", "held_out", *out])
