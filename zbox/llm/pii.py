@@ -377,7 +377,7 @@ def replace(docs: DataFrame, key: str, id_col: str = "doc_id", text: str = "text
     again = F.size(b) > 0  # only these texts are searched a second time
     df = df.withColumn(e, F.when(again, F.regexp_extract_all(t, _with_names(F.col(b)), F.lit(0))).otherwise(F.col(e)))
     bare = F.transform(b, lambda n: F.lower(n["name"]))
-    df = df.withColumn(k, F.when(again, F.transform(e, lambda x: _kind(x, bare))).otherwise(F.transform(e, lambda x: _kind(x))))
+    df = df.withColumn(f"{b}l", bare).withColumn(k, F.transform(e, lambda x: _kind(x, F.col(f"{b}l"))))
     if exceptions is not None:
         row = F.struct(F.col(f"`{id_col}`").alias("id"), F.xxhash64(t).alias("h"))
         each = F.flatten(F.zip_with(F.col(e), F.col(k), lambda x, kind: F.when(kind == "person", _name_parts(x)).otherwise(F.array(F.struct(kind.alias("kind"), x.alias("e"))))))
@@ -389,13 +389,14 @@ def replace(docs: DataFrame, key: str, id_col: str = "doc_id", text: str = "text
     else:
         attempts = lambda kind, x: F.lit(0)
 
-    def known(x: Column) -> Column:
-        """A bare name by the title that it was introduced with."""
+    def titled(x: Column, kind: Column) -> Column:
+        """A bare name becomes a person by the title that it was introduced with, which goes again later."""
         title = F.get(F.filter(b, lambda n: F.lower(n["name"]) == F.lower(x)), F.lit(0))["title"]
-        return _let(title, lambda h: F.substr(_person(F.concat(h, F.lit(" "), x), key, attempts), F.length(h) + 2))
+        title = F.when(kind == "name", F.concat(title, F.lit(" "))).otherwise(F.lit(""))
+        return F.struct(F.concat(title, x).alias("e"), F.when(kind == "name", "person").otherwise(kind).alias("kind"), F.length(title).alias("drop"))
 
-    made = lambda x, kind: surrogate(x, kind, attempts, key)
-    new = F.when(again, F.zip_with(F.col(e), F.col(k), lambda x, kind: F.when(kind == "name", known(x)).otherwise(made(x, kind)))).otherwise(F.zip_with(F.col(e), F.col(k), made))
+    df = df.withColumn(f"{s}t", F.zip_with(F.col(e), F.col(k), titled))
+    new = F.transform(f"{s}t", lambda x: F.substr(surrogate(x["e"], x["kind"], attempts, key), x["drop"] + 1))
     df = df.withColumn(s, F.when(F.size(e) > 0, F.concat(new, F.array(F.lit("")))))
     between = F.when(again, F.split(t, _with_names(F.col(b)), -1)).otherwise(F.split(t, PATTERN, -1))
     rewritten = F.when(F.size(e) > 0, F.array_join(F.zip_with(between, F.col(s), lambda x, y: F.concat(x, y)), "")).otherwise(t)
