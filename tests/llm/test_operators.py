@@ -325,7 +325,7 @@ def test_surrogates(spark):
 def test_collisions_are_keyed_again(spark, monkeypatch):
     """With a surrogate that cannot tell first attempts apart, later attempts must."""
     made = pii.surrogate
-    monkeypatch.setattr(pii, "surrogate", lambda e, kind, attempts, key: F.when(attempts(kind, e) == 0, F.lit("9.9.9.9")).otherwise(made(e, kind, attempts, key)))
+    monkeypatch.setattr(pii, "surrogate", lambda e, kind, attempts, key, *w, **o: F.when(attempts(kind, e) == 0, F.lit("9.9.9.9")).otherwise(made(e, kind, attempts, key, *w, **o)))
     rows = pii.replace(docs_of(spark, ["a 1.2.3.4 b", "c 5.6.7.8 d 1.2.3.4", "e 10.20.30.40"]), "key").orderBy("doc_id").collect()
     found = [re.findall(r"[\d.]{7,}", r.text) for r in rows]
     assert found[0][0] == found[1][1] and len({found[0][0], found[1][0], found[2][0]}) == 3

@@ -153,8 +153,7 @@ def _luhn_holds(e: Column) -> Column:
     return F.when(F.length(digits) < 2, False).otherwise(F.concat(head, _check_digit(head)) == digits)
 
 
-def _card(e: Column, stream: Column) -> Column:
-    new = _spelled(e, stream)
+def _card(new: Column) -> Column:
     new_head = F.regexp_replace(F.substr(new, F.lit(1), F.length(new) - 1), "[^0-9]", "")
     return F.concat(F.substr(new, F.lit(1), F.length(new) - 1), _check_digit(new_head))
 
@@ -174,15 +173,11 @@ def _iban_holds(e: Column) -> Column:
     return F.when(F.rlike(bare, F.lit("^[A-Z]{2}[0-9]{2}[0-9A-Z]{8,30}$")), _mod97(F.concat(F.substr(bare, F.lit(5)), F.substr(bare, F.lit(1), F.lit(4)))) == 1).otherwise(False)
 
 
-def _iban(e: Column, stream: Column) -> Column:
+def _iban(e: Column, new: Column) -> Column:
     """The same country, the rest moved, new check digits; spaces stay."""
-    country, rest = F.substr(e, F.lit(1), F.lit(2)), F.substr(e, F.lit(5))
-
-    def made(new: Column) -> Column:
-        check = 98 - _mod97(F.concat(F.replace(new, F.lit(" "), F.lit("")), country, F.lit("00")))
-        return F.concat(country, F.lpad(check.cast("string"), 2, "0"), new)
-
-    return _let(_spelled(rest, stream), made)
+    country = F.substr(e, F.lit(1), F.lit(2))
+    check = 98 - _mod97(F.concat(F.replace(new, F.lit(" "), F.lit("")), country, F.lit("00")))
+    return F.concat(country, F.lpad(check.cast("string"), 2, "0"), new)
 
 
 def _date(value: Column, key: str) -> Column:
@@ -202,11 +197,11 @@ def _date(value: Column, key: str) -> Column:
     return F.coalesce(*made, F.translate(value, "0123456789", "1234567890"))
 
 
-def _email(e: Column, key: str, stream: Column) -> Column:
-    local, domain = F.substring_index(e, "@", 1), F.substring_index(e, "@", -1)
+def _email(e: Column, key: str, local: Column) -> Column:
+    domain = F.substring_index(e, "@", -1)
     host = F.substr(F.translate(F.sha2(F.concat(F.lit(f"{key}\x1fdomain\x1f"), F.lower(domain)), 256), "0123456789", "ghijklmnop"), F.lit(1), F.lit(10))
     ends = F.element_at(F.array(F.lit("com"), F.lit("net"), F.lit("org")), F.pmod(F.length(domain), F.lit(3)).cast("int") + 1)
-    new = F.concat(_spelled(local, stream), F.lit("@"), host, F.lit(".example."), ends)
+    new = F.concat(local, F.lit("@"), host, F.lit(".example."), ends)
     return F.when((F.upper(e) == e) & (F.lower(e) != e), F.upper(new)).otherwise(new)
 
 
@@ -265,36 +260,42 @@ def _person(e: Column, key: str, attempts) -> Column:
     return F.concat(title, F.lit(" "), F.array_join(F.transform(names, name), " "))
 
 
-def _address(e: Column, stream: Column, key: str) -> Column:
+def _address(e: Column, number: Column, stream: Column, key: str) -> Column:
     """Number and names moved, the kind of street kept."""
-    word = lambda w: F.when(w.isin(*STREETS), w).when(F.rlike(w, F.lit("^[0-9]")), _spelled(w, stream)).otherwise(F.initcap(_stem(F.concat(w, F.lit("\x1f"), stream), F.lit("street"), F.lit(0), key)))
+    word = lambda w, i: F.when(i == 0, number).when(w.isin(*STREETS), w).otherwise(F.initcap(_stem(F.concat(w, F.lit("\x1f"), stream), F.lit("street"), F.lit(0), key)))
     return F.array_join(F.transform(F.split(e, "\x20"), word), " ")
 
 
-def surrogate(e: Column, kind: Column, attempts, key: str) -> Column:
-    """The replacement of entity ``e``; ``attempts(kind, entity)`` gives the attempt."""
+def surrogate(e: Column, kind: Column, attempts, key: str, whole: bool = True) -> Column:
+    """The replacement of entity ``e``; ``attempts(kind, entity)`` gives the attempt. ``whole`` False: of
+    persons there are name words alone."""
     attempt = attempts(kind, e)
-    return _let(_stream(key, kind, _normal(e, kind), attempt), lambda stream: _made(e, kind, attempts, key, stream))
+    # what is moved letter by letter stands in the expression once
+    part = (
+        F.when(kind == "email", F.substring_index(e, "@", 1)).when(kind == "iban", F.substr(e, F.lit(5))).when(kind == "address", F.substring_index(e, " ", 1))
+        .when(kind.isin("none", "ip", "birth_date", "person", "given", "family", "secret"), F.lit("")).otherwise(e)
+    )
+    spelled = lambda stream: _let(_spelled(part, stream), lambda new: _made(e, kind, attempts, key, stream, new, whole))
+    return _let(_stream(key, kind, _normal(e, kind), attempt), spelled)
 
 
-def _made(e: Column, kind: Column, attempts, key: str, stream: Column) -> Column:
+def _made(e: Column, kind: Column, attempts, key: str, stream: Column, new: Column, whole: bool) -> Column:
     value = _value(e, kind)
     octets = F.array_join(F.transform(F.split(e, r"\."), lambda o, i: F.pmod(o.cast("int") + 1 + _draw(stream, i, 255), F.lit(256)).cast("string")), ".")
     prefix = F.substr(e, F.lit(1), F.length(e) - F.length(value))
     hexed = F.rlike(value, F.lit("^(?:[0-9a-f]+|[0-9A-F]+)$"))
     return (
         F.when(kind == "none", e)
-        .when(kind == "email", _email(e, key, stream))
+        .when(kind == "email", _email(e, key, new))
         .when(kind == "ip", octets)
-        .when(kind == "card", _card(e, stream))
-        .when(kind == "iban", _iban(e, stream))
+        .when(kind == "card", _card(new))
+        .when(kind == "iban", _iban(e, new))
         .when(kind == "birth_date", F.concat(prefix, _date(value, key)))
-        .when(kind == "address", _address(e, stream, key))
-        .when(kind == "person", _person(e, key, attempts))
-        .when(kind.isin("given", "family"), _stem(e, kind, attempts(kind, e), key))
+        .when(kind == "address", _address(e, new, stream, key))
+        .when(kind == "person" if whole else kind.isin("given", "family"), _person(e, key, attempts) if whole else _stem(e, kind, attempts(kind, e), key))
         .when(kind.isin("secret", "key") & hexed, F.concat(prefix, _hex_spelled(value, stream)))
         .when(kind == "secret", F.concat(prefix, _each(value, lambda c, i: _moved(c, i, stream))))
-        .otherwise(F.concat(prefix, _spelled(value, stream)))
+        .otherwise(new)
     )
 
 
@@ -349,8 +350,9 @@ def resolve_collisions(entities: DataFrame, key: str, max_rounds: int = 20) -> D
     state = materialize(entities.repartition(tasks, "normal").withColumn("attempt", F.lit(0)))
     moved = False
     for _ in range(max_rounds):
-        made = state.withColumn("s", surrogate(F.col("e"), F.col("kind"), lambda kind, e: F.col("attempt"), key))
-        made = materialize(made.withColumn("s", _normal(F.col("s"), F.col("kind"))))
+        # in one go: a column that the next one names many times would be made as many times
+        made = _let(surrogate(F.col("e"), F.col("kind"), lambda kind, e: F.col("attempt"), key, whole=False), lambda s: _normal(s, F.col("kind")))
+        made = materialize(state.withColumn("s", made))
         first = made.groupBy("kind", "s").agg(F.min("normal").alias("owner"), F.count("*").alias("k")).filter("k > 1").select("kind", "s", "owner")
         shared = made.join(first, ["kind", "s"]).filter(F.col("normal") != F.col("owner")).select("kind", "normal")
         real = made.join(state.select("kind", F.col("normal").alias("s")), ["kind", "s"], "left_semi").select("kind", "normal")
