@@ -42,7 +42,11 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
         return 0
     grams = zip(*(w[i:] for i in range(shingle))) if len(w) >= shingle else [w]
     join, digest = b" ".join, xxhash.xxh64_intdigest
-    h = np.array([digest(join(g), SEED) for g in grams], dtype=np.uint64)
+    return majority(np.array([digest(join(g), SEED) for g in grams], dtype=np.uint64))
+
+
+def majority(h: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes; 0 of none."""
     ones = np.zeros(64, dtype=np.int64)
     for at in range(0, len(h), 65536):  # a very long text in bounded steps
         ones += np.unpackbits(h[at : at + 65536].astype(">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)
