@@ -1,7 +1,7 @@
 """Headline queries on $BENCH_SF_DIR with local[$BENCH_CPUS]; prints one JSON line.
 
-Times are the median of three warm runs. The box queries run on a stored z-table, whose building is
-timed by itself; refinement is the mean milliseconds of a box over 100 boxes, on the driver."""
+Box queries are means over five boxes, warm, on stored layouts whose building is timed by itself, at every
+selectivity and with a dimension dropped; refinement is the mean milliseconds of a box, on the driver."""
 
 from __future__ import annotations
 
@@ -11,7 +11,7 @@ import os
 import sys
 import time
 from pathlib import Path
-from statistics import mean, median
+from statistics import mean
 
 sys.path.insert(0, str(Path(__file__).resolve().parent))
 
@@ -25,9 +25,10 @@ def main() -> None:
         .config("spark.sql.session.timeZone", "UTC").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
+    from zbox import experiments as X
     from zbox import workload as W
-    from zbox.baselines.indices import IndependentIndex, MedianSplitIndex, MultiColumnIndex, PackedRectIndex, full_scan
     from zbox.operators.boxes import box_of
+    from zbox.queries import within_guard
     from zbox.refine import refine
     from zbox.sources import ztable as Z
     from zbox.sources.scratch import scratch
@@ -35,61 +36,37 @@ def main() -> None:
 
     out: dict[str, float] = {}
 
-    def timed(name, run, times=3):
-        run()
-        spans = []
-        for _ in range(times):
-            began = time.perf_counter()
-            run()
-            spans.append(time.perf_counter() - began)
-        out[name] = round(median(spans), 4)
-
-    refine_ms = {}
+    # refinement: every method by dimension at side 128 (widened) and by side; null where its guard trips
+    refine_ms: dict[str, float | None] = {}
     for m in range(2, 7):
         spec = ZSpec.grid(m, 10)
-        for method in ("widened", "exact") if m == 2 else ("widened",):
-            spans = []
-            for i in range(100):
-                box = box_of(i, m, 128)
-                began = time.perf_counter()
-                refine(box, spec, method)
-                spans.append(time.perf_counter() - began)
-            refine_ms[f"{method}_{m}d"] = round(1000 * mean(spans), 3)
-    key, extracted, files = list(W.FIXTURES["lineitem"].key), {}, {}
+        for side in (16, 32, 64, 128, 256):
+            for method in ("scan", "exact", "published", "widened"):
+                if not within_guard(method, m, side):
+                    refine_ms[f"{method}_{m}d_{side}"] = None
+                    continue
+                spans = []
+                for i in range(100 if method == "widened" else 20):
+                    box = box_of(i, m, side)
+                    began = time.perf_counter()
+                    refine(box, spec, method)
+                    spans.append(time.perf_counter() - began)
+                refine_ms[f"{method}_{m}d_{side}"] = round(1000 * mean(spans), 3)
+    key, extracted, layouts = list(W.FIXTURES["lineitem"].key), {}, {}
     for m in (3, 6):
         df, spec = W.points(spark, sf_dir, "lineitem", m)
-        df, cols, path = df.cache(), [d.column for d in spec.dims], scratch(spark, "bench")
+        df = df.cache()
         df.count()
-        began = time.perf_counter()
+        kinds = ("z", "multicolumn", "independent", "rect", "median") if m == 3 else ("z", "multicolumn", "independent")
+        got = X.compare(spark, df, spec, key, 32, 5, kinds)
+        layouts[f"{m}d"] = got
+        out |= {f"build_{k}_{m}d": v for k, v in got["build"].items()}
+        names = ("scan", *kinds)
+        out |= {f"{k}_{m}d_{s}": r[k] for s, r in got["by_selectivity"].items() for k in names}
+        out |= {f"partial_{k}_{m}d_{label}": r[k] for label, r in got["partial"].items() for k in ("z", "multicolumn", "scan")}
+        path = scratch(spark, "bench")
         Z.write_z_table(df, spec, path, 32)
-        out[f"build_{m}d"] = round(time.perf_counter() - began, 4)
         table = Z.ZTable.open(spark, path)
-        table.manifest()
-        sorted_path = scratch(spark, "mc")
-        base = {"full_scan": None, "multicolumn": MultiColumnIndex.build(df, cols, 32, sorted_path), "independent": IndependentIndex.build(df, cols, key, 32, scratch(spark, "in"))}
-        if m == 3:
-            base |= {"rect": PackedRectIndex.build(df, cols, path=scratch(spark, "rt"), files=32), "median": MedianSplitIndex.build(df, cols, path=scratch(spark, "md"), files=32)}
-        plain = spark.read.parquet(path)
-        for s in (1e-4, 1e-2, 1e-1):
-            box = W.value_box(spec, 3, W.side_for(s, m))
-            files[f"z_{m}d_{s:g}"] = len(table.files_for(refine(box.cells(spec), spec, "widened").pieces))
-            files[f"multicolumn_{m}d_{s:g}"] = Z.files_by_statistics(spark, sorted_path, cols, box)[0]
-            timed(f"box_{m}d_{s:g}", lambda t=table, b=box: t.query(b, columns=key).count())
-            for name, index in base.items():
-                if s != 1e-2:
-                    continue
-                run = (lambda b=box, p=plain, c=cols: full_scan(p, c, b).select(*key).count()) if index is None else (lambda b=box, i=index: i.query(b, key).count())
-                timed(f"{name}_{m}d_{s:g}", run, 2)
-        if m == 6:
-            for label, d in (("none", None), ("first", 0), ("last", 5)):
-                box = W.value_box(spec, 3, 400)
-                box = box if d is None else box.drop(d)
-                files[f"z_drop_{label}"] = len(table.files_for(refine(box.cells(spec), spec, "widened").pieces))
-                files[f"multicolumn_drop_{label}"] = Z.files_by_statistics(spark, sorted_path, cols, box)[0]
-                if d is None:
-                    continue
-                timed(f"partial_{label}", lambda t=table, b=box: t.query(b, columns=key).count())
-                timed(f"partial_multicolumn_{label}", lambda i=base["multicolumn"], b=box: i.query(b, key).count(), 2)
         for method in ("none", "widened", "exact") if m == 3 else ("none", "widened"):
             extracted[f"{method}_{m}d"] = sum(table.extracted(W.value_box(spec, i, W.side_for(1e-2, m)), method, "prefix_join")[0].count() for i in range(2))
         df.unpersist()
@@ -102,7 +79,7 @@ def main() -> None:
                 q(spark, sf_dir).write.format("noop").mode("overwrite").save()
                 out[name] = round(time.perf_counter() - began, 4)
     engine = sum(v for k, v in out.items() if not k.startswith("op"))
-    print(json.dumps({"metric": "box queries, index baselines and layouts, total", "value": round(engine, 3), "unit": "sec", "queries": out, "refine_ms": refine_ms, "extracted_rows": extracted, "files_of_32": files, "sf": sf_dir.rsplit("sf", 1)[-1]}))
+    print(json.dumps({"metric": "box queries, index baselines and layouts, total", "value": round(engine, 3), "unit": "sec", "queries": out, "refine_ms": refine_ms, "extracted_rows": extracted, "layouts": layouts, "sf": sf_dir.rsplit("sf", 1)[-1]}))
 
 
 if __name__ == "__main__":

@@ -54,6 +54,7 @@ class MultiColumnIndex:
 
     df: DataFrame
     cols: list[str]
+    path: str | None = None
 
     @classmethod
     def build(cls, df: DataFrame, cols: list[str], files: int = 8, path: str | None = None) -> MultiColumnIndex:
@@ -61,7 +62,7 @@ class MultiColumnIndex:
         if path:
             out.write.mode("overwrite").parquet(path)
             out = df.sparkSession.read.parquet(path)
-        return cls(out, cols)
+        return cls(out, cols, path)
 
     def query(self, box: Box, columns: list[str] | None = None) -> DataFrame:
         out = full_scan(self.df, self.cols, box)

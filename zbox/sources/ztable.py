@@ -62,6 +62,7 @@ def write_z_table(df: DataFrame, spec: ZSpec, path: str, files: int, key: list[s
 
 #: Beside the files of a table; names that begin with an underscore are no rows of it.
 MANIFEST = "_z_manifest"
+KEPT = 50_000  # rows of a manifest that a driver holds
 MANIFEST_COLUMNS = "path string, z_min bigint, z_max bigint, rows bigint"
 
 
@@ -162,7 +163,8 @@ class ZTable:
         return cls(add_key(df, spec), spec)
 
     def manifest(self, z_lo: int | None = None, z_hi: int | None = None) -> list:
-        """Rows of the files that meet the interval; of all files without one, which are then kept."""
+        """Rows of the files that meet the interval (or of all). A manifest of at most KEPT files is kept after
+        the first use; of a larger one each query reads its part."""
         if not self.path:
             return []
         if self._manifest is not None:
@@ -172,10 +174,13 @@ class ZTable:
             self._stored = stored_manifest(spark, self.path)
             if self._stored is None:
                 self._stored = build_manifest(spark, self.path)
+            first = self._stored.limit(KEPT + 1).collect()
+            if len(first) <= KEPT:
+                self._manifest = first
+                return first
         if z_lo is not None:
             return self._stored.filter((F.col("z_max") >= z_lo) & (F.col("z_min") <= z_hi)).collect()
-        self._manifest = self._stored.collect()
-        return self._manifest
+        return self._stored.collect()
 
     def files_for(self, pieces: list[tuple[int, int]]) -> list[str]:
         """Files whose span meets a piece: both sides in order, one sweep."""
