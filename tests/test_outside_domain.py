@@ -34,6 +34,13 @@ def test_far_orders_beyond_a_long_are_no_error(spark, tmp_path):
     assert got == [(0, 5), (0, 900), (1, 5), (1, 900), (2, 5), (2, 900), (2, 6000), (3, 5), (3, 900), (3, 6000)]
 
 
+def test_keys_of_far_orders_wrap_as_in_sql(spark, tmp_path):
+    sf = orders_at(spark, tmp_path, [0, 7, 524_287, 524_288, 900_000, (1 << 20) - 2])
+    _, want = by_sql("z_encode_wide_domain", orders=f"{sf}/orders.parquet")
+    got = e.queries()["z_encode_wide_domain"](spark, sf).select("o_orderkey", "z").collect()
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
 @pytest.mark.parametrize("d", [DimSpec("v", -3, 8, 2, overflow="wrap"), DimSpec("v", -5, (1 << 62) - 7, 20, overflow="wrap"), DimSpec("v", -5, (1 << 62) - 7, 20), DimSpec("v", 0, 99)])
 def test_cells_of_values_beyond_a_long(spark, d):
     values = [*range(-30, 30), (1 << 62) - 7, (1 << 62) - 6, 1 << 63, 9_000_000 << 43, -(9_000_000 << 43)]
