@@ -41,6 +41,14 @@ def test_keys_of_far_orders_wrap_as_in_sql(spark, tmp_path):
     assert sorted(map(tuple, got)) == sorted(want)
 
 
+def test_extracted_counts_of_conversations_outside_the_grid(spark, tmp_path):
+    df = spark.range(0, 3000).select(F.col("id").alias("conv_id"), (F.col("id") % 8).alias("turn"))
+    df.write.parquet(f"{tmp_path}/conversations.parquet")
+    cols, want = by_sql("extracted_counts", conversations=f"{tmp_path}/conversations.parquet")
+    got = e.queries()["extracted_counts"](spark, str(tmp_path)).select(*cols).collect()
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
 @pytest.mark.parametrize("d", [DimSpec("v", -3, 8, 2, overflow="wrap"), DimSpec("v", -5, (1 << 62) - 7, 20, overflow="wrap"), DimSpec("v", -5, (1 << 62) - 7, 20), DimSpec("v", 0, 99)])
 def test_cells_of_values_beyond_a_long(spark, d):
     values = [*range(-30, 30), (1 << 62) - 7, (1 << 62) - 6, 1 << 63, 9_000_000 << 43, -(9_000_000 << 43)]
