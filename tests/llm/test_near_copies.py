@@ -69,3 +69,29 @@ def test_candidates_of_a_heap_grow_with_its_size(spark):
     df = spark.createDataFrame(some, "node bigint, bands array<bigint>")
     assert shingles.candidates(df).filter(F.col("u") == F.col("v")).count() == 0
     assert shingles.candidates(df, list_cap=8).count() <= 400 * shingles.BANDS * 4
+
+
+def linked(spark, some, bands, fps):
+    """Links of texts under the given bands and fingerprints, as pairs of texts."""
+    docs = spark.createDataFrame([(x,) for x in some], "text string").withColumn("node", F.xxhash64("text"))
+    marks = spark.createDataFrame([(x, b, f) for x, b, f in zip(some, bands, fps, strict=True)], "text string, bands array<bigint>, fp bigint")
+    distinct = docs.join(marks, "text").select("node", "bands", "fp")
+    names = {r.node: r.text for r in docs.collect()}
+    return {frozenset((names[r.u], names[r.v])) for r in shingles.links(docs.select("text"), distinct).collect()}, names
+
+
+def test_links_among_texts_of_one_fingerprint_that_the_least_is_not_similar_to(spark):
+    some = [" ".join(text(60)) for _ in range(8)]
+    near = [f"{t} more" for t in some]
+    both = some + near
+    found, _ = linked(spark, both, [[i] for i in range(len(both))], [5] * 8 + [7] * 8)  # linked by two bits or fewer
+    assert found == {frozenset(x) for x in zip(some, near, strict=True)}
+
+
+def test_links_within_a_long_band_that_no_centre_has(spark):
+    some = [" ".join(text(60)) for _ in range(60)]
+    near = [f"{t} more" for t in some]
+    both = some + near
+    fps = [(i + 1) * 0x0123_4567_89AB_CDEF % (1 << 62) for i in range(len(both))]
+    found, _ = linked(spark, both, [[1, 1000 + i] for i in range(len(both))], fps)
+    assert found == {frozenset(x) for x in zip(some, near, strict=True)}

@@ -12,7 +12,13 @@ below the bound.
 
 Equal texts never multiply: bands are posted once per distinct text. A posting of at most ``list_cap``
 texts is paired in full. A longer one (a heap of near copies) is tied to several members of it, another
-choice in each band, so that links grow with its size and not with the square."""
+choice in each band, so that links grow with its size and not with the square. Likewise texts of one
+fingerprint are tied to the least of them, and its links stand for theirs.
+
+What these ties leave open is decided exactly (:func:`rest_pairs`). Where a long posting, or texts whose
+fingerprints are linked, do not come out as one component, their texts are joined once more, by prefixes:
+two sets of similarity t share an element among the |x| - ceil(t |x|) + 1 first of each, in one order of all
+elements, here the rarest first. No pair that is similar is missed, and no posting is capped."""
 
 from __future__ import annotations
 
@@ -21,11 +27,15 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from . import simhash
 from .common import materialize
+from .components import connected_components
 
 SEED, SHINGLE, BANDS, ROWS = 42, 5, 18, 4
+#: Texts of a posting that is paired in full.
+LIST_CAP = 64
 _R = np.random.default_rng(SEED)
 _FLIP, _ODD = (_R.integers(0, 1 << 64, BANDS * ROWS, dtype=np.uint64) for _ in range(2))
 _ODD |= np.uint64(1)
@@ -75,11 +85,17 @@ def add_marks(docs: DataFrame, keep: list[str], text: str = "text") -> DataFrame
     return part.mapInArrow(run, schema)
 
 
-def candidates(distinct: DataFrame, list_cap: int = 64, centres: int = 4) -> DataFrame:
-    """(u, v), u > v: pairs of nodes of ``distinct`` (node bigint, bands) that share a band; some repeatedly."""
+def band_postings(distinct: DataFrame) -> DataFrame:
+    """(band, node, n): the postings of two nodes or more of ``distinct`` (node bigint, bands), with their lengths."""
     posts = distinct.select("node", F.explode("bands").alias("band"))
     sizes = posts.groupBy("band").agg(F.count("*").alias("n")).filter("n > 1")
-    listed = materialize(posts.join(sizes, "band"))
+    return materialize(posts.join(sizes, "band"))
+
+
+def candidates(distinct: DataFrame, list_cap: int = LIST_CAP, centres: int = 4, listed: DataFrame | None = None) -> DataFrame:
+    """(u, v), u > v: pairs of nodes of ``distinct`` (node bigint, bands) that share a band; some repeatedly.
+    ``listed``: their postings, where they are at hand."""
+    listed = band_postings(distinct) if listed is None else listed
     light = listed.filter(F.col("n") <= list_cap)
     a, b = (light.select("band", F.col("node").alias(x)) for x in "uv")
     pairs = a.join(b, "band").filter("u > v").select("u", "v")
@@ -90,17 +106,60 @@ def candidates(distinct: DataFrame, list_cap: int = 64, centres: int = 4) -> Dat
     return pairs.unionByName(ties.select(F.greatest("node", "c").alias("u"), F.least("node", "c").alias("v")))
 
 
-def simhash_candidates(distinct: DataFrame) -> DataFrame:
+def simhash_candidates(distinct: DataFrame, near: DataFrame | None = None) -> DataFrame:
     """(u, v), u > v: pairs of nodes of ``distinct`` (node, fp) whose fingerprints are equal or linked. Of the
-    nodes of one fingerprint each is paired with the least."""
+    nodes of one fingerprint each is paired with the least. ``near``: the links of the fingerprints."""
     reps = materialize(distinct.groupBy("fp").agg(F.min("node").alias("rep")))
     same = distinct.join(reps, "fp").filter("node != rep").select(F.col("node").alias("u"), F.col("rep").alias("v"))
     of = lambda c: reps.select(F.col("fp").alias(c), F.col("rep").alias(f"{c}r"))
-    near = simhash.link_fingerprints(reps.select("fp")).join(of("u"), "u").join(of("v"), "v")
+    near = simhash.link_fingerprints(reps.select("fp")) if near is None else near
+    near = near.join(of("u"), "u").join(of("v"), "v")
     near = near.select(F.greatest("ur", "vr").alias("u"), F.least("ur", "vr").alias("v"))
     return same.unionByName(near)
 
 
+def open_nodes(distinct: DataFrame, listed: DataFrame, near: DataFrame, found: DataFrame, list_cap: int = LIST_CAP) -> DataFrame:
+    """(node, root): the nodes of groups that were tied and not paired in full, long postings and texts of linked
+    fingerprints, where the links ``found`` leave the group in several components; root is the node's."""
+    roots = connected_components(found)
+    of = connected_components(near)
+    prints = distinct.select("node", "fp").join(of.select(F.col("node").alias("fp"), F.col("root").alias("to")), "fp", "left")
+    groups = prints.select(F.lit("fp").alias("kind"), F.coalesce("to", "fp").alias("group"), "node")
+    groups = groups.unionByName(listed.filter(F.col("n") > list_cap).select(F.lit("band").alias("kind"), F.col("band").alias("group"), "node"))
+    rooted = materialize(groups.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")))
+    several = rooted.groupBy("kind", "group").agg(F.min("root").alias("a"), F.max("root").alias("z")).filter("a != z").select("kind", "group")
+    return materialize(rooted.join(several, ["kind", "group"], "left_semi").select("node", "root").distinct())
+
+
+def rest_pairs(nodes: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
+    """(u, v), u > v: every pair of ``nodes`` (node, root) of different roots that may be similar by ``percent``
+    hundredths, by prefixes; no posting is capped. ``texts``: (node, text)."""
+    own = texts.join(nodes, "node", "left_semi").groupBy("node").agg(F.first("text").alias("text"))
+
+    def run(batches):
+        for batch in batches:
+            for i in range(batch.num_rows):
+                h = shingles(batch.column(1)[i].as_py())
+                size, h = len(h), h if len(h) else np.zeros(1, dtype=np.uint64)  # sets without elements are equal
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(x, len(h))) for x in (batch.column(0)[i].as_py(), size)] + [pa.array(h.view(np.int64))], names=["node", "size", "h"])
+
+    sets = materialize(own.mapInArrow(run, "node bigint, size bigint, h bigint"))
+    common = sets.groupBy("h").agg(F.count("*").alias("n"))
+    order = Window.partitionBy("node").orderBy("n", "h")
+    posts = sets.join(common, "h").withColumn("at", F.row_number().over(order) - 1)
+    posts = posts.filter((F.col("n") > 1) & (F.col("at") <= F.col("size") - F.expr(f"(size * {percent} + 99) div 100")))
+    posts = materialize(posts.join(nodes, "node").select("h", "node", "root", "size", "at"))
+    # a posting within one component has nothing left to decide
+    several = posts.groupBy("h").agg(F.min("root").alias("a"), F.max("root").alias("z")).filter("a != z").select("h")
+    posts = posts.join(several, "h", "left_semi")
+    a, b = (posts.select("h", *(F.col(c).alias(f"{c}_{x}") for c in ("node", "root", "size", "at"))) for x in "uv")
+    # from their first common element on, both must hold as many as the similarity asks for
+    most = F.least(F.col("size_u") - F.col("at_u"), F.col("size_v") - F.col("at_v"))
+    enough = (100 + percent) * most >= percent * (F.col("size_u") + F.col("size_v"))
+    pairs = a.join(b, "h").filter((F.col("node_u") > F.col("node_v")) & (F.col("root_u") != F.col("root_v")) & enough)
+    return pairs.select(F.col("node_u").alias("u"), F.col("node_v").alias("v")).distinct()
+
+
 def verified(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     """The pairs (u, v) whose texts (node, text) are similar by ``percent`` hundredths or more."""
     pairs = materialize(pairs)
@@ -124,5 +183,9 @@ def verified(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
 def links(docs: DataFrame, distinct: DataFrame, text: str = "text", percent: int = 80) -> DataFrame:
     """(u, v): verified links between nodes (node, bands, fp), a node being the xxhash64 of a text."""
     texts = docs.select(F.xxhash64(f"`{text}`").alias("node"), F.col(f"`{text}`").alias("text"))
-    pairs = candidates(distinct).unionByName(simhash_candidates(distinct.select("node", "fp"))).distinct()
-    return verified(pairs, texts, percent)
+    listed, prints = band_postings(distinct), distinct.select("node", "fp")
+    near = materialize(simhash.link_fingerprints(prints.select("fp").distinct()))
+    pairs = candidates(distinct, listed=listed).unionByName(simhash_candidates(prints, near)).distinct()
+    found = materialize(verified(pairs, texts, percent))
+    rest = open_nodes(prints, listed, near, found)
+    return found.unionByName(verified(rest_pairs(rest, texts, percent), texts, percent))
