@@ -6,6 +6,7 @@ import __spark_entry__ as e
 
 NAMES = (
     "coalesce_pieces",
+    "cover_published",
 )
 
 
