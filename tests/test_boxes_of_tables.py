@@ -7,6 +7,7 @@ import __spark_entry__ as e
 NAMES = (
     "coalesce_pieces",
     "cover_published",
+    "cover_published_one_bits",
 )
 
 
