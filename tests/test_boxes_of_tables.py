@@ -8,6 +8,7 @@ NAMES = (
     "coalesce_pieces",
     "cover_published",
     "cover_published_one_bits",
+    "cover_widened",
 )
 
 
