@@ -9,6 +9,7 @@ NAMES = (
     "cover_published",
     "cover_published_one_bits",
     "cover_widened",
+    "envelope_boxes",
 )
 
 
