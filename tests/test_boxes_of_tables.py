@@ -10,6 +10,7 @@ NAMES = (
     "cover_published_one_bits",
     "cover_widened",
     "envelope_boxes",
+    "face_costs",
 )
 
 
