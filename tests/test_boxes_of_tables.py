@@ -11,6 +11,7 @@ NAMES = (
     "cover_widened",
     "envelope_boxes",
     "face_costs",
+    "leap_in_table",
 )
 
 
