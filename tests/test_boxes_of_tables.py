@@ -12,6 +12,7 @@ NAMES = (
     "envelope_boxes",
     "face_costs",
     "leap_in_table",
+    "leap_out_published",
 )
 
 
