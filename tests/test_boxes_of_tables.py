@@ -13,6 +13,7 @@ NAMES = (
     "face_costs",
     "leap_in_table",
     "leap_out_published",
+    "leap_out_table",
 )
 
 
