@@ -14,6 +14,7 @@ NAMES = (
     "leap_in_table",
     "leap_out_published",
     "leap_out_table",
+    "monotone_keys",
 )
 
 
