@@ -15,6 +15,7 @@ NAMES = (
     "leap_out_published",
     "leap_out_table",
     "monotone_keys",
+    "piece_intersect",
 )
 
 
