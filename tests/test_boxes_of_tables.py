@@ -16,6 +16,7 @@ NAMES = (
     "leap_out_table",
     "monotone_keys",
     "piece_intersect",
+    "refine_counters",
 )
 
 
